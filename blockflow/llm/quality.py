@@ -64,21 +64,23 @@ def _band(bad: Column, good: Column) -> Column:
 
 
 def rules() -> dict[str, Column]:
-    """The voting rules over text_features(): bad beyond one bound, good within another, else silent."""
+    """The voting rules over text_features(): most look for one defect and are silent without it; three may speak for good."""
     n = F.greatest(F.col("n_words"), F.lit(1)).cast("double")
     chars = F.greatest(F.col("word_chars"), F.lit(1)).cast("double")
     lines = F.greatest(F.col("q_n_lines"), F.lit(1)).cast("double")
     enough = F.col("n_words") >= 20
+    quiet = F.lit(False)
     return {
         "length": _band(F.col("n_words") < 5, F.col("n_words") >= 50),
-        "word_length": _band((F.col("word_chars") / n > 14) | (F.col("word_chars") / n < 2), (F.col("word_chars") / n).between(3, 10)),
-        "symbols": _band(F.col("n_symbols") / n > 0.2, F.col("n_symbols") / n < 0.02),
-        "bars": _band(F.col("q_bars") / n > 0.2, F.col("q_bars") == 0),
-        "shouting": _band(F.col("q_upper") / chars > 0.4, F.col("q_upper") / chars < 0.12),
-        "stress": _band(F.col("q_stress") / n > 0.4, F.col("q_stress") / n < 0.05),
-        "dup_lines": _band(enough & (F.col("n_dup_lines") / lines > 0.4), F.col("n_dup_lines") / lines < 0.1),
-        "repeats": _band(enough & (F.col("n_repeat_words") / n > 0.35), F.col("n_repeat_words") / n < 0.15),
-        "variety": _band(enough & (F.col("q_distinct") / n < 0.12), F.col("q_distinct") / n > 0.35),
+        "sentences": _band(enough & (F.col("q_stops") == 0), enough & (F.col("q_stops") / n).between(0.02, 0.5)),
+        "variety": _band(enough & (F.col("q_distinct") / n < 0.12), enough & (F.col("q_distinct") / n > 0.35)),
+        "word_length": _band((F.col("word_chars") / n > 14) | (F.col("word_chars") / n < 2), quiet),
+        "symbols": _band(F.col("n_symbols") / n > 0.2, quiet),
+        "bars": _band(F.col("q_bars") / n > 0.2, quiet),
+        "shouting": _band(F.col("q_upper") / chars > 0.4, quiet),
+        "stress": _band(F.col("q_stress") / n > 0.4, quiet),
+        "dup_lines": _band(enough & (F.col("n_dup_lines") / lines > 0.4), quiet),
+        "repeats": _band(enough & (F.col("n_repeat_words") / n > 0.35), quiet),
     }
 
 
@@ -103,7 +105,7 @@ class VoteModel:
         odds = F.lit(math.log(self.prior / (1 - self.prior)))
         for name, (bad, good) in zip(self.names, self.table, strict=True):
             steps = [math.log(g / b) for g, b in zip(good, bad, strict=True)]
-            odds = odds + F.when(F.col(f"v_{name}") < 0, steps[0]).when(F.col(f"v_{name}") > 0, steps[2]).otherwise(steps[1])
+            odds = odds + F.when(F.col(f"v_{name}") < 0, steps[0]).when(F.col(f"v_{name}") > 0, steps[2]).otherwise(0.0)
         return 1 / (1 + F.exp(-F.greatest(F.least(odds, F.lit(700.0)), F.lit(-700.0))))
 
 
@@ -117,19 +119,18 @@ def _oriented(bad: tuple[float, ...], good: tuple[float, ...]) -> tuple[tuple[fl
 
 
 def fit_votes(patterns: list[tuple[tuple[int, ...], int]], names: tuple[str, ...], rounds: int = 60, smooth: float = 1.0) -> VoteModel:
-    """EM for two classes with rules independent given the class.
+    """EM for two classes with rules independent given the class; a silent rule is no evidence for either.
 
     A document with any bad vote starts as probably bad, since each rule looks for another defect and one is enough. After
     each step a rule's bad vote may not speak for good, nor its good vote for bad; so the classes cannot swap. A smoothed
-    prior belief that a vote is right keeps a rule that never speaks harmless.
+    prior belief that a vote is right keeps a rule that never speaks harmless. The class balance, which votes of this kind
+    don't identify, stays at the share of documents without a bad vote.
     """
-    prior, k = 0.9, len(names)
+    k, total = len(names), sum(n for _, n in patterns)
+    prior = (sum(n for votes, n in patterns if min(votes) >= 0) + 9 * smooth) / (total + 10 * smooth)
     post = [0.04 if min(votes) < 0 else 0.96 for votes, _ in patterns]
     table: list = [((0.6, 0.3, 0.1), (0.05, 0.25, 0.7))] * k
     for _ in range(rounds):
-        good_n = sum(p * n for p, (_, n) in zip(post, patterns, strict=True))
-        total = sum(n for _, n in patterns)
-        prior = (good_n + 9 * smooth) / (total + 10 * smooth)
         counts = [[[2 * smooth, smooth, smooth / 4], [smooth / 4, smooth, 2 * smooth]] for _ in range(k)]
         for p, (votes, n) in zip(post, patterns, strict=True):
             for j, v in enumerate(votes):
@@ -138,7 +139,7 @@ def fit_votes(patterns: list[tuple[tuple[int, ...], int]], names: tuple[str, ...
         table = [_oriented(*[tuple(x / sum(row) for x in row) for row in c]) for c in counts]
         last, post = post, []
         for votes, _ in patterns:
-            odds = math.log(prior / (1 - prior)) + sum(math.log(table[j][1][v + 1] / table[j][0][v + 1]) for j, v in enumerate(votes))
+            odds = math.log(prior / (1 - prior)) + sum(math.log(table[j][1][v + 1] / table[j][0][v + 1]) for j, v in enumerate(votes) if v)
             post.append(1 / (1 + math.exp(-max(-700.0, min(700.0, odds)))))
         if max((abs(a - b) for a, b in zip(last, post, strict=True)), default=0) < 1e-9:
             break
