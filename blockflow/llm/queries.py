@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blockflow.session import materialize
+from blockflow.llm.licenses import license_report
 from blockflow.llm.quality import quality_verdicts
 from blockflow.llm.tables import table
 
@@ -22,3 +23,9 @@ def query(f):
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
     return quality_verdicts(docs, lambda df: materialize(df, "quality"))
+
+
+@query
+def op6_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents", "doc_id", "text")
+    return license_report(docs).drop("spans")
