@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from blockflow.session import materialize
 from blockflow.llm.licenses import license_report
+from blockflow.llm.neardup import near_duplicates
 from blockflow.llm.quality import quality_verdicts
 from blockflow.llm.tables import table
 
@@ -29,3 +30,8 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op6_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents", "doc_id", "text")
     return license_report(docs).drop("spans")
+
+
+@query
+def op1_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"))
