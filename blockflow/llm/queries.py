@@ -9,6 +9,7 @@ from blockflow.session import materialize
 from blockflow.llm.licenses import license_report
 from blockflow.llm.neardup import near_duplicates
 from blockflow.llm.quality import quality_verdicts
+from blockflow.llm.substrings import remove_repeats
 from blockflow.llm.tables import table
 
 QUERIES: dict = {}
@@ -35,3 +36,8 @@ def op6_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def op1_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+@query
+def op2_repeated_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return remove_repeats(table(spark, sf_dir, "documents", "doc_id", "text"))
