@@ -6,8 +6,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blockflow.session import materialize
+from blockflow.llm.huffman import read_shards, write_shards
 from blockflow.llm.licenses import license_report
 from blockflow.llm.neardup import near_duplicates
+from blockflow.llm.packing import pack_documents
 from blockflow.llm.quality import quality_verdicts
 from blockflow.llm.substrings import remove_repeats
 from blockflow.llm.tables import table
@@ -41,3 +43,21 @@ def op1_near_duplicates(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def op2_repeated_substrings(spark: SparkSession, sf_dir: str) -> DataFrame:
     return remove_repeats(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+def _tokenizer(name: str) -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(name)
+
+
+@query
+def op5_token_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents", "doc_id", "text")
+    return read_shards(*write_shards(docs, _tokenizer("word_bpe_49k.json"), end_id=2))
+
+
+@query
+def op9_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents", "doc_id", "text")
+    return pack_documents(docs, _tokenizer("byte_bpe_50k.json"), end_id=1)
