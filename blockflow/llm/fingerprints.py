@@ -1,14 +1,16 @@
 """Document fingerprints of statistically improbable byte windows in chained Bloom filters.
 
-Every 64-byte window of a text has an entropy, scaled to 0..1000. How often each value occurs in the corpus gives its
+A text of 256 bytes or more has windows of 64 bytes, one under 2048 bytes has windows of 16 bytes as well or instead; the
+two scales are kept apart. Each window has an entropy, scaled to 0..1000. How often each value occurs in the corpus gives its
 rarity, and a window's rank is the place of its entropy in order of rarity, rarest first; windows of very low entropy are
-left out. Among each run of 64 neighbouring windows the best-ranked (leftmost of equals) gains a point, and windows with at
-least 16 points are the features. A feature sets 5 bits of a Bloom filter of 2048 bits; after 160 features the next filter
+left out. Among each run of neighbouring windows, as many as a window has bytes, the best-ranked (leftmost of equals) gains
+a point, and windows with points of a quarter of a run, or an eighth at the small scale, are the features. A feature sets 5 bits of a Bloom filter of 2048 bits; after 160 features the next filter
 of the chain begins. Two fingerprints are compared filter by filter: the overlap of set bits beyond what chance gives, as a
-share of the most possible; the mean over the shorter chain's best matches is their likeness.
+share of the most possible; the mean over the shorter chain's best matches is the likeness at a scale, and the best of the
+scales that both texts have is the likeness.
 
 Defined cases: null is the empty text; an empty text has an empty fingerprint, which is like another empty one (1) and unlike
-all else (0); a text shorter than a window is one feature; where no window has enough points, the one with most is the
+all else (0); a text shorter than a window of its scale is one feature; where no window has enough points, the one with most is the
 feature; equal texts have equal fingerprints, of likeness 1; repeated rows stand next to each other in doc_id order; rows
 without doc_id come first; the next document of the last is the first, so a lone document is its own next.
 """
@@ -28,7 +30,10 @@ from blockflow.llm import kernels as K
 from blockflow.llm.ordered import RANGE_BYTES, estimated_bytes
 
 U64 = np.uint64
-SPAN, RUN, POINTS = 64, 64, 16
+#: Bytes of a window (and windows of a run), and points that make a feature: for long and for short texts.
+SCALES = ((64, 16), (16, 2))
+#: Bytes from which, and below which, a text has a scale.
+REACH = ((256, 1 << 62), (0, 2048))
 LEVELS = 1001
 #: Windows below this scaled entropy are never features.
 LEAST = 100
@@ -36,79 +41,90 @@ BITS, HASHES, MOST = 2048, 5, 160
 CHANCE = 0.3
 NO_ID = -(1 << 63)
 
-_counts = np.arange(SPAN + 1)
+_counts = np.arange(SCALES[0][0] + 1)
 _terms = np.round(_counts * np.log2(np.maximum(_counts, 1)) * (1 << 20)).astype(np.int64)
 #: What one more of c equal bytes adds to the sum of c * log2(c), in 2**-20.
 _GAIN = np.append(np.diff(_terms), 0)
 
 
-def entropies(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def entropies(data: np.ndarray, offsets: np.ndarray, span: int) -> tuple[np.ndarray, np.ndarray]:
     """Scaled entropy of the window beginning at each byte, and where a window fits into its text."""
     n = len(data)
     start = np.repeat(offsets[:-1], np.diff(offsets))
     depth = np.minimum(np.arange(n) - start, 255).astype(np.uint8)
     before, after = np.zeros(n, np.uint8), np.zeros(n, np.uint8)
-    for lag in range(1, min(SPAN, n)):
+    for lag in range(1, min(span, n)):
         same = (data[lag:] == data[:-lag]) & (depth[lag:] >= lag)
         before[lag:] += same
         after[:-lag] += same
     gained = np.append(0, np.cumsum(_GAIN[before]))
     lost = np.append(0, np.cumsum(_GAIN[after]))
     fits = np.zeros(n, bool)
-    whole = np.repeat(offsets[1:], np.diff(offsets)) - SPAN >= np.arange(n)
+    whole = np.repeat(offsets[1:], np.diff(offsets)) - span >= np.arange(n)
     fits[whole] = True
     at = np.flatnonzero(fits)
-    total = gained[at + SPAN] - gained[start[at]] - (lost[at] - lost[start[at]])
+    total = gained[at + span] - gained[start[at]] - (lost[at] - lost[start[at]])
     scaled = np.zeros(n, np.int64)
-    scaled[at] = np.clip(((6 << 20) * SPAN - total) * 1000 // ((6 << 20) * SPAN), 0, 1000)
+    full = int(_terms[span])
+    scaled[at] = np.clip((full - total) * 1000 // full, 0, 1000)
     return scaled, fits
 
 
-def features(data: np.ndarray, offsets: np.ndarray, order: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """64-bit feature hashes in place order, and where each text's begin; order is the rank by scaled entropy."""
+def _of_scale(data: np.ndarray, offsets: np.ndarray, scale: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Numbers, bytes and offsets of the texts that have a scale."""
+    lengths = np.diff(offsets)
+    mine = (lengths >= REACH[scale][0]) & (lengths < REACH[scale][1])
+    return np.flatnonzero(mine), data[np.repeat(mine, lengths)], np.append(0, np.cumsum(lengths[mine]))
+
+
+def _selected(data: np.ndarray, offsets: np.ndarray, order: np.ndarray, span: int, least: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the features in place order, and where each text's begin."""
     n, texts = len(data), len(offsets) - 1
     if not n:
         return np.zeros(0, U64), np.zeros(texts + 1, np.int64)
-    scaled, fits = entropies(data, offsets)
-    prefix = K.prefix_hash(data)
+    scaled, fits = entropies(data, offsets, span)
     low = max(24, n.bit_length())
     mask = U64((1 << low) - 1)
     rank = np.where(fits & (scaled >= LEAST), order[scaled], LEVELS + 1).astype(U64)
-    keys = np.full(-(-n // RUN) * RUN + RUN, ~U64(0))
+    keys = np.full(-(-n // span) * span + span, ~U64(0))
     keys[:n] = (rank << U64(low)) | np.arange(n, dtype=U64)
-    blocks = keys.reshape(-1, RUN)
+    blocks = keys.reshape(-1, span)
     ahead = np.minimum.accumulate(blocks, axis=1).ravel()
     behind = np.minimum.accumulate(blocks[:, ::-1], axis=1)[:, ::-1].ravel()
-    # runs of windows that lie in one text; a text with fewer windows has one run of them all
+    # all runs of windows that lie in one text; where a text has too few windows, the run of them all
     lengths = np.diff(offsets)
-    windows = np.maximum(lengths - SPAN + 1, 0)
-    runs = np.where(windows > 0, np.maximum(windows - RUN + 1, 1), 0)
+    windows = np.maximum(lengths - span + 1, 0)
+    runs = np.where(windows > 0, np.maximum(windows - span + 1, 1), 0)
     owner = np.repeat(np.arange(texts), runs)
     begin = offsets[:-1][owner] + np.arange(runs.sum()) - (np.cumsum(runs) - runs)[owner]
-    best = np.minimum(behind[begin], ahead[begin + RUN - 1])
-    few = windows[owner] < RUN
-    for k in np.flatnonzero(few):
+    best = np.minimum(behind[begin], ahead[begin + span - 1])
+    for k in np.flatnonzero(windows[owner] < span):
         best[k] = keys[begin[k] : begin[k] + windows[owner[k]]].min()
-    place = (best & mask).astype(np.int64)
-    place = place[(best >> U64(low)) <= LEVELS]
+    place = (best & mask).astype(np.int64)[(best >> U64(low)) <= LEVELS]
     points = np.bincount(place, minlength=n)
-    points[place[np.isin(place, begin[few])]] += 0
-    chosen = points >= POINTS
-    has = np.add.reduceat(np.append(chosen, False).astype(np.int64), np.minimum(offsets[:-1], n)) * (lengths > 0)
-    hashes_at = list(np.flatnonzero(chosen))
-    single: list[tuple[int, int]] = []
-    for t in np.flatnonzero((has == 0) & (lengths > 0)):
-        a, b = int(offsets[t]), int(offsets[t + 1])
-        if b - a < SPAN:
-            single.append((a, b))
-        else:
-            most = a + int(points[a : b - SPAN + 1].argmax())
-            single.append((most, most + SPAN))
-    starts = np.array(hashes_at + [a for a, _ in single], np.int64)
-    ends = np.array([x + SPAN for x in hashes_at] + [b for _, b in single], np.int64)
-    rank_ = np.argsort(starts, kind="stable")
-    starts, ends = starts[rank_], ends[rank_]
-    return K.span_hash(prefix, starts, ends), np.searchsorted(starts, offsets, "left")
+    starts = np.flatnonzero(points >= least)
+    ends = starts + span
+    none = np.flatnonzero((np.searchsorted(starts, offsets[1:]) == np.searchsorted(starts, offsets[:-1])) & (lengths > 0))
+    a, b = offsets[none], offsets[none + 1]
+    most = np.array([x if y - x < span else x + int(points[x : y - span + 1].argmax()) for x, y in zip(a.tolist(), b.tolist(), strict=True)], np.int64)
+    starts, ends = np.append(starts, most), np.append(ends, np.minimum(most + span, b))
+    by_place = np.argsort(starts, kind="stable")
+    starts, ends = starts[by_place], ends[by_place]
+    return K.span_hash(K.prefix_hash(data), starts, ends), np.searchsorted(starts, offsets, "left")
+
+
+Chains = tuple[np.ndarray, ...]
+
+
+def features(data: np.ndarray, offsets: np.ndarray, orders: np.ndarray) -> list[list[np.ndarray]]:
+    """Each text's 64-bit feature hashes by scale; orders has the rank by scaled entropy for each scale."""
+    out: list = [[np.zeros(0, U64)] * len(SCALES) for _ in range(len(offsets) - 1)]
+    for scale, (span, least) in enumerate(SCALES):
+        texts, part, at = _of_scale(data, offsets, scale)
+        hashes, edges = _selected(part, at, orders[scale], span, least)
+        for k, t in enumerate(texts.tolist()):
+            out[t][scale] = hashes[edges[k] : edges[k + 1]]
+    return out
 
 
 def filters(hashes: np.ndarray) -> np.ndarray:
@@ -122,20 +138,25 @@ def filters(hashes: np.ndarray) -> np.ndarray:
     return out
 
 
-def to_text(chain: np.ndarray) -> str:
-    """Number of filters, a colon, and the bits in base 64."""
-    return f"{len(chain)}:" + base64.b64encode(np.packbits(chain).tobytes()).decode()
+def to_text(chains: Chains) -> str:
+    """Number of filters by scale, and the bits in base 64, parted by colons."""
+    return ":".join([*(str(len(c)) for c in chains), base64.b64encode(np.packbits(np.concatenate(chains)).tobytes()).decode()])
 
 
-def from_text(digest: str) -> np.ndarray:
-    n, _, body = digest.partition(":")
-    return np.unpackbits(np.frombuffer(base64.b64decode(body), np.uint8)).astype(bool).reshape(int(n), BITS)
+def from_text(digest: str) -> Chains:
+    *sizes, body = digest.split(":")
+    bits = np.unpackbits(np.frombuffer(base64.b64decode(body), np.uint8)).astype(bool).reshape(-1, BITS)
+    return tuple(np.split(bits, np.cumsum([int(n) for n in sizes])[:-1]))
 
 
-def likeness(x: np.ndarray, y: np.ndarray) -> float:
+def likeness(x: Chains, y: Chains) -> float:
     """From 0 to 1; see the module's text."""
-    if not len(x) or not len(y):
-        return float(len(x) == len(y))
+    if not any(map(len, x)) or not any(map(len, y)):
+        return float(any(map(len, x)) == any(map(len, y)))
+    return max((_alike(a, b) for a, b in zip(x, y, strict=True) if len(a) and len(b)), default=0.0)
+
+
+def _alike(x: np.ndarray, y: np.ndarray) -> float:
     if x.shape == y.shape and np.array_equal(x, y):
         return 1.0
     if len(x) > len(y):
@@ -149,25 +170,28 @@ def likeness(x: np.ndarray, y: np.ndarray) -> float:
 
 
 def _tallied(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    total = np.zeros(LEVELS, np.int64)
+    total = np.zeros((len(SCALES), LEVELS), np.int64)
     for batch in batches:
         data, offsets = K.column_bytes(batch.column("text"))
         for i, j in K.slices(offsets, 1 << 18):
-            scaled, fits = entropies(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i])
-            total += np.bincount(scaled[fits], minlength=LEVELS)
+            for scale, (span, _) in enumerate(SCALES):
+                _, part, at = _of_scale(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], scale)
+                scaled, fits = entropies(part, at, span)
+                total[scale] += np.bincount(scaled[fits], minlength=LEVELS)
     used = np.flatnonzero(total)
-    yield pa.RecordBatch.from_arrays([pa.array(used), pa.array(total[used])], names=["level", "n"])
+    yield pa.RecordBatch.from_arrays([pa.array(used), pa.array(total.ravel()[used])], names=["level", "n"])
 
 
-def rarity_order(docs: DataFrame) -> np.ndarray:
-    """The place of each scaled entropy in order of rarity over all windows of all texts; what never occurs comes last."""
-    total = np.zeros(LEVELS, np.int64)
+def rarity_orders(docs: DataFrame) -> np.ndarray:
+    """For each scale the place of each scaled entropy in order of rarity over all windows; what never occurs comes last."""
+    total = np.zeros((len(SCALES), LEVELS), np.int64)
     for row in docs.select("text").mapInArrow(_tallied, "level long, n long").groupBy("level").agg(F.sum("n").alias("n")).collect():
-        total[row["level"]] = row["n"]
-    rank = np.full(LEVELS, LEVELS, np.int64)
-    order = np.lexsort((np.arange(LEVELS), total))
-    order = order[total[order] > 0]
-    rank[order] = np.arange(len(order))
+        total.ravel()[row["level"]] = row["n"]
+    rank = np.full(total.shape, LEVELS, np.int64)
+    for scale, counts in enumerate(total):
+        order = np.lexsort((np.arange(LEVELS), counts))
+        order = order[counts[order] > 0]
+        rank[scale][order] = np.arange(len(order))
     return rank
 
 
@@ -205,20 +229,19 @@ def _half(text: str, after: str) -> str:
     return text[: len(text) - cut] + after[:cut]
 
 
-def _digested(order: np.ndarray):
+def _digested(orders: np.ndarray):
     names = ["doc_id", "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint", "near_edited", "near_next"]
     kinds = [pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string(), pa.float64(), pa.float64()]
 
-    def chains(texts: list[str]) -> list[np.ndarray]:
+    def chains(texts: list[str]) -> list[Chains]:
         data, offsets = K.column_bytes(pa.array(texts, pa.string()))
-        out: list[np.ndarray] = []
+        out: list[Chains] = []
         for i, j in K.slices(offsets, 1 << 18):
-            hashes, at = features(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], order)
-            out += [filters(hashes[a:b]) for a, b in zip(at[:-1], at[1:], strict=True)]
+            out += [tuple(map(filters, h)) for h in features(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], orders)]
         return out
 
-    def compared(rows: list[tuple], head: np.ndarray | None) -> tuple[pa.RecordBatch, np.ndarray]:
-        """rows: (doc_id, text, next text); each row's next text is the next row's own but for the last of a part."""
+    def compared(rows: list[tuple]) -> pa.RecordBatch:
+        """rows: (doc_id, text, next text), where the next text is the next row's own but at the end of a part."""
         edited = [_half(t, after) for _, t, after in rows]
         own, other = chains([t for _, t, _ in rows]), chains(edited)
         alone = [k for k, (_, _, after) in enumerate(rows) if k + 1 == len(rows) or rows[k + 1][1] is not after]
@@ -228,7 +251,7 @@ def _digested(order: np.ndarray):
             [r[0] for r in rows], [len(r[1]) for r in rows], [hashlib.sha256(e.encode()).hexdigest() for e in edited],
             [to_text(c) for c in own], [to_text(c) for c in other], [likeness(a, b) for a, b in zip(own, other, strict=True)], near,
         ]
-        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=names), own[-1]
+        return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, kinds, strict=True)], names=names)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, size, last = [], 0, None
@@ -239,19 +262,19 @@ def _digested(order: np.ndarray):
                     held.append((last[1], last[2], text))
                     size += len(text)
                     if size > 1 << 20:
-                        yield compared(held, None)[0]
+                        yield compared(held)
                         held, size = [], 0
                     last = None if tail else (part, doc.as_py(), text)
                 elif not tail:
                     last = (part, doc.as_py(), text)
         if held:
-            yield compared(held, None)[0]
+            yield compared(held)
 
     return run
 
 
 def fingerprint_pairs(docs: DataFrame) -> DataFrame:
     """Each document's fingerprint, that of its edited text, and how alike they and the next document's are."""
-    order = rarity_order(docs)
+    orders = rarity_orders(docs)
     schema = "doc_id long, n_chars long, edited_sha256 string, fingerprint string, edited_fingerprint string, near_edited double, near_next double"
-    return with_next(docs).mapInArrow(_digested(order), schema)
+    return with_next(docs).mapInArrow(_digested(orders), schema)
