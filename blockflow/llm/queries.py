@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blockflow.session import materialize
-from blockflow.llm import toxicity
+from blockflow.llm import htmltext, mixing, toxicity
 from blockflow.llm.fingerprints import fingerprint_pairs
 from blockflow.llm.huffman import read_shards, write_shards
 from blockflow.llm.licenses import license_report
@@ -76,3 +76,35 @@ def op3_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def op4_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprint_pairs(table(spark, sf_dir, "documents", "doc_id", "text"))
+
+
+@query
+def op7_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents", "doc_id", "text")
+    labels = table(spark, sf_dir, "labels", "doc_id", "quality", "toxic")
+    rated, model, targets = mixing.mix(docs, labels)
+    shares = [F.round(F.get("p", F.lit(d)), 9).alias(f"p_{name}") for d, name in enumerate(model.domains)]
+    return rated.select("doc_id", "n_tokens", *shares, F.round("rate", 9).alias("rate"), mixing.copies(F.col("rate"), F.col("doc_id")).alias("copies"))
+
+
+@query
+def op8_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = table(spark, sf_dir, "pages", "page_id", "url", "html")
+    return htmltext.extract(pages).withColumnsRenamed({"main_text": "text", "main_chars": "n_chars"})
+
+
+@query
+def pipeline(spark: SparkSession, sf_dir: str) -> DataFrame:
+    import corpus_pipeline
+
+    return corpus_pipeline.run(spark, sf_dir)
+
+
+def _pipeline_oracle() -> None:
+    import corpus_pipeline
+
+    if corpus_pipeline.ORACLE_SQL is not None:
+        ORACLES["pipeline"] = corpus_pipeline.ORACLE_SQL
+
+
+_pipeline_oracle()
