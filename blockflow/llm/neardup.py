@@ -8,9 +8,10 @@ Bands of `rows` coordinates make the candidates: at 32 bands of 4, a pair at sim
 6e-11.
 
 Sets that are equal become one node first. In a bucket each node is compared with the bucket's smallest node, so a bucket of
-m nodes gives m - 1 pairs; links merge components. What a star can't tell is settled after that: pairs of a bucket whose
-nodes lie in different components, and share at least `least_shared` bands (missing a pair at 0.85 with a chance of 4e-8),
-are compared as well. All comparisons use the full sets of the whole texts.
+m nodes gives m - 1 pairs; links merge components. What a star can't tell is settled after that: nodes that buckets connect
+are a family, and where a family falls into several components, its nodes are laid out in blocks of bounded size and blocks
+are compared with each other, unless both lie in the same component. Only the links that full sets confirm leave a block.
+All comparisons use the full sets of the whole texts.
 
 Defined cases: null and empty texts, and texts without words, have empty sets and are linked with nothing; equal texts are
 linked; a row without doc_id is its own class with a null id; an empty table gives an empty result; a doc_id stands for one
@@ -24,11 +25,11 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from blockflow.llm import kernels as K
-from blockflow.llm.components import connected_components
+from blockflow.operators.components import connected_components
 from blockflow.session import materialize
 
 U64 = np.uint64
@@ -42,9 +43,8 @@ class NearDupConfig:
     #: A link: share_of * intersection >= share * union.
     share: int = 85
     share_of: int = 100
-    least_shared: int = 3
-    #: Star rounds before pairs across components are listed.
-    star_rounds: int = 3
+    #: Shingles of a block.
+    block: int = 40_000
 
     @property
     def size(self) -> int:
@@ -169,9 +169,65 @@ def verify(pairs: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataFra
     return joined.mapInArrow(_verified(config), "a long, b long")
 
 
-def _compatible(config: NearDupConfig):
-    """Set sizes that allow a link at all."""
-    return (config.share_of * F.least("n_a", "n_b") >= config.share * F.greatest("n_a", "n_b"))
+def _overlaps(x: tuple[np.ndarray, np.ndarray], y: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """Sizes of the intersections of each set of x with each of y, by the shingles they share."""
+    (xv, xa), (yv, ya) = x, y
+    nx, ny = len(xa) - 1, len(ya) - 1
+    out = np.zeros((nx, ny), np.int64)
+    owner = np.repeat(np.arange(ny), np.diff(ya))
+    order = np.argsort(yv, kind="stable")
+    yv, owner = yv[order], owner[order]
+    step = max(1, (1 << 21) // max(1, ny * int(np.diff(xa).max(initial=1))))
+    for i in range(0, nx, step):
+        j = min(nx, i + step)
+        part = xv[xa[i] : xa[j]]
+        low, high = np.searchsorted(yv, part, "left"), np.searchsorted(yv, part, "right")
+        n = high - low
+        where = np.repeat(low - (np.cumsum(n) - n), n) + np.arange(n.sum())
+        row = np.repeat(np.repeat(np.arange(j - i), np.diff(xa[i : j + 1])), n)
+        out[i:j] = np.bincount(row * ny + owner[where], minlength=(j - i) * ny).reshape(j - i, ny)
+    return out
+
+
+def _compared(config: NearDupConfig):
+    def sets(texts) -> tuple[np.ndarray, np.ndarray]:
+        return K.distinct_sorted(*K.shingles(*K.column_bytes(texts), config.width))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for left, right in zip(batch.column("left"), batch.column("right"), strict=True):
+                x, y = left.values, right.values
+                xs, ys = sets(x.field("text")), sets(y.field("text"))
+                both = _overlaps(xs, ys)
+                union = np.diff(xs[1])[:, None] + np.diff(ys[1])[None, :] - both
+                a, b = np.asarray(x.field("node")), np.asarray(y.field("node"))
+                open_ = np.asarray(x.field("root"))[:, None] != np.asarray(y.field("root"))[None, :]
+                i, j = np.nonzero((config.share_of * both >= config.share * union) & open_ & (both > 0))
+                yield pa.RecordBatch.from_arrays([pa.array(a[i]), pa.array(b[j])], names=["a", "b"])
+
+    return run
+
+
+def _family_links(rows: DataFrame, pairs: DataFrame, links: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataFrame:
+    """Links across the components of a family, from comparing its blocks."""
+    families = connected_components(pairs).select("node", F.col("root").alias("family"))
+    roots = connected_components(links)
+    sizes = rows.select("node", "n").distinct()
+    placed = families.join(sizes, "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    placed = materialize(placed, "families")
+    mixed = placed.groupBy("family").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("family")
+    # components lie together, so that most blocks of a large one hold nothing else
+    order = Window.partitionBy("family").orderBy("root", "node").rowsBetween(Window.unboundedPreceding, 0)
+    blocked = placed.join(mixed, "family", "left_semi").withColumn("block", F.floor((F.sum("n").over(order) - F.col("n")) / config.block))
+    full = blocked.join(texts.select(F.col("doc_id").alias("node"), "text"), "node")
+    blocks = materialize(full.groupBy("family", "block").agg(F.collect_list(F.struct("node", "root", "text")).alias("held"), F.min("root").alias("lo"), F.max("root").alias("hi")), "blocks")
+    thin = blocks.select("family", "block", "lo", "hi")
+    other = thin.select("family", F.col("block").alias("other"), F.col("lo").alias("other_lo"), F.col("hi").alias("other_hi"))
+    wanted = thin.join(other, "family").where("block <= other and not (lo = hi and other_lo = other_hi and lo = other_lo)").select("family", "block", "other")
+    left = blocks.select("family", "block", F.col("held").alias("left"))
+    right = blocks.select("family", F.col("block").alias("other"), F.col("held").alias("right"))
+    dealt = wanted.join(left, ["family", "block"]).join(right, ["family", "other"]).select("left", "right")
+    return dealt.mapInArrow(_compared(config), "a long, b long")
 
 
 def near_duplicates(docs: DataFrame, config: NearDupConfig = NearDupConfig()) -> DataFrame:
@@ -186,54 +242,19 @@ def near_duplicates(docs: DataFrame, config: NearDupConfig = NearDupConfig()) ->
     )
     shared = bands.groupBy("key").agg(F.min("node").alias("hub"), F.max("node").alias("last")).where("hub < last").select("key", "hub")
     # only buckets with two nodes or more matter from here on
-    rows = materialize(bands.join(shared, "key").select("key", "hub", "node", "n"), "buckets")
+    rows = materialize(bands.join(shared, "key").select("hub", "node", "n").distinct(), "buckets")
     in_play = rows.select(F.col("node").alias("doc_id")).distinct()
     texts = materialize(docs.select("doc_id", "text").join(in_play, "doc_id", "left_semi"), "texts")
     pairs = rows.where("hub < node").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct()
     links = materialize(verify(pairs, texts, config), "verified")
-    tested = materialize(pairs, "tested")
-    for _ in range(config.star_rounds - 1):
-        roots = connected_components(links)
-        placed = _with_roots(rows, roots)
-        mixed = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("key", "lo")
-        # what isn't in the component of the bucket's smallest root forms a star of its own, and meets that root's smallest node
-        rest = placed.join(mixed, "key")
-        outside = rest.where("root > lo").groupBy("key").agg(F.min("node").alias("hub"))
-        more = rest.drop("hub").join(outside, "key").where("node <> hub").select(F.least("hub", "node").alias("a"), F.greatest("hub", "node").alias("b")).distinct()
-        more = materialize(more.join(tested, ["a", "b"], "left_anti"), "star")
-        if more.isEmpty():
-            break
-        tested = tested.union(more)
-        links = materialize(links.union(verify(more, texts, config)), "verified")
-    roots = connected_components(links)
-    placed = _with_roots(rows, roots)
-    mixed = placed.groupBy("key").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("key")
-    open_rows = placed.join(mixed, "key", "left_semi").select("key", "node", "n", "root")
-    other = open_rows.select("key", F.col("node").alias("b"), F.col("n").alias("n_b"), F.col("root").alias("root_b"))
-    crossing = (
-        open_rows.select("key", F.col("node").alias("a"), F.col("n").alias("n_a"), F.col("root").alias("root_a"))
-        .join(other, "key")
-        .where((F.col("a") < F.col("b")) & (F.col("root_a") != F.col("root_b")) & _compatible(config))
-        .groupBy("a", "b")
-        .agg(F.count(F.lit(1)).alias("n"))
-        .where(F.col("n") >= config.least_shared)
-        .select("a", "b")
-        .join(tested, ["a", "b"], "left_anti")
-    )
-    crossing = materialize(crossing, "crossing")
-    if not crossing.isEmpty():
-        links = links.union(verify(crossing, texts, config))
-        roots = connected_components(links)
+    more = _family_links(rows, pairs, links, texts, config)
+    roots = connected_components(links.union(more))
     known = sketched.select("doc_id", "n_shingles", "d1", "d2").join(nodes, ["d1", "d2", "n_shingles"], "left")
     placed = known.join(roots.select("node", "root"), "node", "left")
     component = F.coalesce("root", "node", "doc_id")
     return placed.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
-def _with_roots(rows: DataFrame, roots: DataFrame) -> DataFrame:
-    return rows.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-
-
 def keep_representatives(docs: DataFrame, config: NearDupConfig = NearDupConfig()) -> DataFrame:
     """The rows of docs whose document stays; of rows that repeat a kept doc_id all stay."""
     verdict = near_duplicates(docs, config).where(~F.col("kept")).select("doc_id").distinct()
