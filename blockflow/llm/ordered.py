@@ -3,13 +3,20 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 #: Input bytes, as Spark estimates them, that a range partition holds at most on average.
 RANGE_BYTES = 64 << 20
 
 
-def estimated_bytes(df: DataFrame) -> int:
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+#: Sizes from which Spark's estimate says no more than that it has none.
+UNKNOWN = 1 << 58
+
+
+def estimated_bytes(df: DataFrame, text: str = "text") -> int:
+    """Spark's estimate of a frame's bytes; where it has none, the bytes of its texts are summed."""
+    size = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    return size if size < UNKNOWN else int(df.agg(F.sum(F.octet_length(text)).alias("n")).first()["n"] or 0)
 
 
 def ranged(docs: DataFrame, *columns: str) -> DataFrame:

@@ -35,6 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blockflow.llm import kernels as K
+from blockflow.llm.ordered import estimated_bytes
 from blockflow.session import materialize
 
 U64 = np.uint64
@@ -323,15 +324,11 @@ def _cut(size: int, with_text: bool):
     return run
 
 
-def _estimated_bytes(df: DataFrame) -> int:
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
-
-
 def repeated_spans(docs: DataFrame, size: int = SIZE, gram: int = GRAM, parts: int | None = None) -> DataFrame:
     """(doc_id, spans): for each document with repeats, blobs of SPAN over its window starts that occurred earlier."""
     known = docs.select("doc_id", "text").where(F.col("doc_id").isNotNull())
     if parts is None:
-        parts = max(8, -(-_estimated_bytes(known) // PART_BYTES))
+        parts = max(8, -(-estimated_bytes(known) // PART_BYTES))
     parsed = materialize(known.mapInArrow(_parse(parts, size, gram), _PARSED), "parse")
     entries = parsed.where("part >= 0").select("part", "payload")
     resolved = materialize(entries.repartition(parts, "part").sortWithinPartitions("part").mapInArrow(_resolve, _RESOLVED), "dictionary")
