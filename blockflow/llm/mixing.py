@@ -1,6 +1,6 @@
 """Mixing documents to target domain weights by soft membership, in DataFrame functions only.
 
-Membership. A document has a handful of discretised features of its text and a bag of hashed words. From the labelled
+Membership. A document has a handful of discretised features of its text and a set of hashed words. From the labelled
 documents, a naive Bayes classifier learns how features and word buckets are distributed in each domain, and gives every
 document its posterior over the domains; so a document without a label, or one between domains, belongs to several in part.
 
@@ -34,12 +34,12 @@ class MixConfig:
     smoothing: float = 1.0
     #: Weight of a document's words beside its other features, as words are far from independent.
     tempering: float = 30.0
-    rounds: int = 40
+    rounds: int = 25
     #: Least rate of a document.
     floor: float = 0.0
     #: Whether the targets are shares of as many tokens as the corpus has, or of so many that no domain must shrink.
     grow: bool = False
-    tolerance: float = 1e-4
+    tolerance: float = 3e-4
 
 
 GAP = r"[\x20\x09-\x0D]+"
@@ -47,15 +47,15 @@ _STEPS = {"symbols": "#*$%&|<>", "stress": "!?", "upper": "ABCDEFGHIJKLMNOPQRSTU
 
 
 def features(docs: DataFrame, config: MixConfig) -> DataFrame:
-    """Add n_tokens, mix_f (codes of discretised features) and mix_b (hash buckets of the words)."""
+    """Add n_tokens, mix_f (codes of discretised features) and mix_b (the hash buckets that hold words)."""
     text = F.coalesce(F.col("text"), F.lit(""))
     staged = docs.withColumn("mix_w", F.filter(F.split(text, GAP), lambda w: w != ""))
     staged = staged.withColumn("n_tokens", F.size("mix_w").cast("long"))
-    staged = staged.withColumn("mix_b", F.expr(f"transform(mix_w, w -> cast(pmod(hash(w), {config.buckets}) as int))")).drop("mix_w")
+    staged = staged.withColumn("mix_b", F.expr(f"array_distinct(transform(mix_w, w -> cast(pmod(hash(w), {config.buckets}) as int)))")).drop("mix_w")
     n = F.greatest(F.length(text), F.lit(1))
     share = lambda chars: F.least(F.lit(7), F.floor(F.log2(1 + 256 * (F.length(text) - F.length(F.translate(text, chars, ""))) / n))).cast("int")
     codes = [F.least(F.lit(15), F.floor(F.log2(1 + F.col("n_tokens")))).cast("int"), *[share(c) for c in _STEPS.values()]]
-    varied = F.floor(8 * F.size(F.array_distinct("mix_b")) / F.greatest(F.least(F.col("n_tokens"), F.lit(config.buckets)), F.lit(1))).cast("int")
+    varied = F.floor(8 * F.size("mix_b") / F.greatest(F.least(F.col("n_tokens"), F.lit(config.buckets)), F.lit(1))).cast("int")
     return staged.withColumn("mix_f", F.array(*[c + 16 * k for k, c in enumerate([*codes, F.least(F.lit(15), varied)])]))
 
 
@@ -72,13 +72,12 @@ class DomainModel:
     log_bucket: tuple[tuple[float, ...], ...]
 
 
-def fit_domains(featured: DataFrame, labelled: DataFrame, config: MixConfig) -> DomainModel:
-    """Naive Bayes of labelled (doc_id, domain) over features(); counts of codes and buckets alone reach the driver."""
+def fit_domains(docs: DataFrame, labelled: DataFrame, config: MixConfig) -> DomainModel:
+    """Naive Bayes of labelled (doc_id, domain) over features(docs); counts of codes and buckets alone reach the driver."""
     known = labelled.where("doc_id is not null and domain is not null").groupBy("doc_id").agg(F.min("domain").alias("domain"))
     # at most config.sample rows of an id and a short label, so this may be broadcast
     chosen = known.orderBy(F.xxhash64("doc_id"), "doc_id").limit(config.sample)
-    # each item is an array, so a document counts as often as it has codes or words
-    rows = featured.select("doc_id", "mix_f", "mix_b").join(F.broadcast(chosen), "doc_id")
+    rows = features(docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id"), config)
     items = rows.select("domain", F.explode(F.concat(F.array(F.lit(-1)), "mix_f", F.transform("mix_b", lambda b: b + CODES))).alias("item"))
     counts = items.groupBy("domain", "item").agg(F.count(F.lit(1)).alias("n")).collect()
     domains = tuple(sorted({r["domain"] for r in counts})) or ("all",)
@@ -95,15 +94,17 @@ def fit_domains(featured: DataFrame, labelled: DataFrame, config: MixConfig) ->
 def posteriors(featured: DataFrame, model: DomainModel, config: MixConfig) -> DataFrame:
     """Add p, the array of domain posteriors in the model's order."""
     lit = lambda table, d: F.array(*[F.lit(row[d]) for row in table])
-    staged, logs = featured, []
-    for d, prior in enumerate(model.log_prior):
-        codes, buckets = lit(model.log_code, d), lit(model.log_bucket, d)
-        staged = staged.withColumn(f"mix_c{d}", codes).withColumn(f"mix_t{d}", buckets)
+    # log odds against the first domain, so that this one needs no sum
+    staged, logs = featured, [F.lit(0.0)]
+    for d in range(1, len(model.domains)):
+        over = lambda table, d=d: [(row[d] - row[0],) for row in table]
+        staged = staged.withColumn(f"mix_c{d}", lit(over(model.log_code), 0)).withColumn(f"mix_t{d}", lit(over(model.log_bucket), 0))
         word = F.expr(f"aggregate(mix_b, cast(0 as double), (a, b) -> a + mix_t{d}[b])")
         code = F.expr(f"aggregate(mix_f, cast(0 as double), (a, b) -> a + mix_c{d}[b])")
         # a long text's words weigh no more than `tempering` of them would
-        logs.append(F.lit(prior) + code + word * F.least(F.lit(1.0), F.lit(config.tempering) / F.greatest(F.col("n_tokens"), F.lit(1))))
-    staged = staged.withColumn("mix_l", F.array(*logs)).drop(*[f"mix_{x}{d}" for x in "ct" for d in range(len(logs))])
+        weight = F.least(F.lit(1.0), F.lit(config.tempering) / F.greatest(F.size("mix_b"), F.lit(1)))
+        logs.append(F.lit(model.log_prior[d] - model.log_prior[0]) + code + word * weight)
+    staged = staged.withColumn("mix_l", F.array(*logs)).drop(*[f"mix_{x}{d}" for x in "ct" for d in range(1, len(logs))])
     staged = staged.withColumn("mix_l", F.expr("transform(mix_l, x -> exp(x - array_max(mix_l)))"))
     return staged.withColumn("p", F.expr("transform(mix_l, x -> x / aggregate(mix_l, cast(0 as double), (a, b) -> a + b))")).drop("mix_l", "mix_b", "mix_f")
 
@@ -166,9 +167,8 @@ def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = N
 
     Without targets, they are the documents' expected shares raised to `power`, times `emphasis` where it names a domain. docs needs a doc_id and a text.
     """
-    featured = features(docs, config)
-    model = fit_domains(featured, domains_of(labels), config)
-    members = materialize(posteriors(featured, model, config).drop("text"), "members")
+    model = fit_domains(docs, domains_of(labels), config)
+    members = materialize(posteriors(features(docs, config), model, config).drop("text"), "members")
     k = len(model.domains)
     if targets is None:
         row = members.agg(*[F.sum(F.col("n_tokens") * F.get("p", F.lit(d))).alias(f"d{d}") for d in range(k)]).first()
