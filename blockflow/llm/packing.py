@@ -28,6 +28,8 @@ WINDOW = 2048
 #: Units of a window in the histogram, and lengths in a combination.
 UNITS, DEPTH = 64, 3
 LEAST_GAP = 12
+#: Encoded pieces that a worker keeps; fewer than for token shards, as a partition's ids are held as well.
+KEEP = 250_000
 
 
 def combinations(units: int = UNITS, depth: int = DEPTH) -> list[tuple[int, ...]]:
@@ -158,7 +160,7 @@ def _packed(tokenizer: str, end_id: int, window: int):
     from pyspark import TaskContext
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, part = encoder(tokenizer), TaskContext.get().partitionId()
+        enc, part = encoder(tokenizer, KEEP), TaskContext.get().partitionId()
         names, lengths, kept = [], [], []
         for batch in batches:
             data, offsets = K.column_bytes(batch.column("text"))

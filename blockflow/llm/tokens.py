@@ -152,5 +152,5 @@ class PieceEncoder:
 
 
 @lru_cache(maxsize=4)
-def encoder(path: str) -> PieceEncoder:
-    return PieceEncoder(path)
+def encoder(path: str, keep: int = KEEP) -> PieceEncoder:
+    return PieceEncoder(path, keep)

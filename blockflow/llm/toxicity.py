@@ -106,7 +106,8 @@ def _counted(config: ToxicityConfig):
         for batch in batches:
             data, offsets = K.column_bytes(batch.column("text"))
             toxic = np.asarray(batch.column("toxic")).astype(np.int64)
-            for i, j in K.slices(offsets):
+            # all n-grams of a slice are held at once here, so slices are small
+            for i, j in K.slices(offsets, 1 << 19):
                 text, bucket = present(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], config)
                 label = toxic[i:j][text]
                 for c in (0, 1):
