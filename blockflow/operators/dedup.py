@@ -60,10 +60,8 @@ def increment(new: DataFrame, index: DataFrame, roots: DataFrame, cfg: FeatureCo
     both = index.select("id", "shape", "cls", "vec_digest").withColumn("cf_new", F.lit(0)).union(new.select("id", "shape", "cls", "vec_digest").withColumn("cf_new", F.lit(1)))
     exact = both.groupBy("vec_digest").agg(F.min("id").alias("head"), F.max("cf_new").alias("touched")).where("touched = 1")
     same = new.select("id", "vec_digest").join(exact, "vec_digest").where("id <> head").select(F.col("head").alias("a"), F.col("id").alias("b"))
-    i, j = 0, 1
-    near = similarity.grid(both, tau, cfg.gamma, (i, j)).where("cf_new_a + cf_new_b > 0")
-    s = similarity.score(cfg.metric, cfg.gamma, F.col("shape_a"), F.col("cls_a"), F.col("shape_b"), F.col("cls_b"))[2]
-    found = near.where(s >= tau).select(F.col("id_a").alias("a"), F.col("id_b").alias("b"))
+    heads = both.groupBy("vec_digest").agg(F.min_by(F.struct("id", "shape", "cls"), "id").alias("v")).select("v.*")
+    found = similarity.grid_pairs(materialize(heads, "heads"), tau, cfg.gamma, cfg.metric).select(F.col("id_a").alias("a"), F.col("id_b").alias("b"))
     old = roots.where("id <> root").select(F.col("root").alias("a"), F.col("id").alias("b"))
     merged = connected_components(same.union(found).union(old))
     every = roots.select("id").union(new.select("id"))

@@ -9,11 +9,11 @@ from __future__ import annotations
 
 import math
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blockflow.operators.components import connected_components
-from blockflow.operators.vec import cosine, gauss, pad, squared_distance
+from blockflow.operators.vec import dot, gauss, norm, ratio, squared_distance
 from blockflow.session import materialize
 
 #: Pairs that brute force may list.
@@ -31,30 +31,34 @@ def collapse(vectors: DataFrame) -> tuple[DataFrame, DataFrame]:
     return heads.select("v.*"), members
 
 
-def score(metric: str, gamma: float, a_shape, a_cls, b_shape, b_cls) -> tuple[Column, Column, Column]:
-    """Class, shape and final similarity, padded to equal lengths and rounded to 10 digits."""
-    size = lambda x, y: F.greatest(F.size(x), F.size(y))
-    s_cls = F.round(cosine(pad(a_cls, size(a_cls, b_cls)), pad(b_cls, size(a_cls, b_cls))), 10)
-    s_shape = F.round(gauss(pad(a_shape, size(a_shape, b_shape)), pad(b_shape, size(a_shape, b_shape)), gamma), 10)
-    if metric == "cosine":
-        joined = lambda s, c: F.concat(s, c)
-        n = size(a_shape, b_shape)
-        m = size(a_cls, b_cls)
-        final = F.round(cosine(joined(pad(a_shape, n), pad(a_cls, m)), joined(pad(b_shape, n), pad(b_cls, m))), 10)
-    else:
-        final = {"hybrid": F.round(s_cls * s_shape, 10), "gauss": s_shape, "cls": s_cls}[metric]
-    return s_cls, s_shape, final
+#: What a vector frame has once its norms are known.
+READY = ["id", "shape", "cls", "norm_shape", "norm_cls"]
 
 
-def _paired(left: DataFrame, right: DataFrame, on=None) -> DataFrame:
-    a = left.select(*[F.col(c).alias(f"{c}_a") for c in left.columns])
-    b = right.select(*[F.col(c).alias(f"{c}_b") for c in right.columns])
-    return a.crossJoin(b) if on is None else a.join(b, on)
+def with_norms(vectors: DataFrame) -> DataFrame:
+    """Norms once for each vector, not once for each pair."""
+    return vectors.select("id", "shape", "cls", norm(F.col("shape")).alias("norm_shape"), norm(F.col("cls")).alias("norm_cls"))
 
 
 def _scored(pairs: DataFrame, metric: str, gamma: float) -> DataFrame:
-    s_cls, s_shape, final = score(metric, gamma, F.col("shape_a"), F.col("cls_a"), F.col("shape_b"), F.col("cls_b"))
-    return pairs.select("id_a", "id_b", s_cls.alias("s_cls"), s_shape.alias("s_shape"), final.alias("s"))
+    """id_a, id_b, s_cls, s_shape, s, rounded to 10 digits."""
+    staged = pairs.withColumn("p_cls", dot("cls_a", "cls_b"))
+    s_cls = F.round(ratio(F.col("p_cls"), F.col("norm_cls_a"), F.col("norm_cls_b")), 10)
+    if metric == "cosine":
+        joined = lambda x: F.sqrt(F.col(f"norm_shape_{x}") * F.col(f"norm_shape_{x}") + F.col(f"norm_cls_{x}") * F.col(f"norm_cls_{x}"))
+        staged = staged.withColumn("p_shape", dot("shape_a", "shape_b"))
+        s_shape = F.round(ratio(F.col("p_shape"), F.col("norm_shape_a"), F.col("norm_shape_b")), 10)
+        final = F.round(ratio(F.col("p_shape") + F.col("p_cls"), joined("a"), joined("b")), 10)
+    else:
+        s_shape = F.round(gauss("shape_a", "shape_b", gamma), 10)
+        final = {"hybrid": F.round(F.col("s_cls") * F.col("s_shape"), 10), "gauss": F.col("s_shape"), "cls": F.col("s_cls")}[metric]
+    staged = staged.withColumn("s_cls", s_cls).withColumn("s_shape", s_shape)
+    return staged.withColumn("s", final).select("id_a", "id_b", "s_cls", "s_shape", "s")
+
+
+def _paired(vectors: DataFrame) -> DataFrame:
+    v = with_norms(vectors)
+    return v.select(*[F.col(c).alias(f"{c}_a") for c in READY]).crossJoin(v.select(*[F.col(c).alias(f"{c}_b") for c in READY]))
 
 
 def brute(vectors: DataFrame, metric: str = "hybrid", gamma: float = 5.0, cap: int = BRUTE_CAP) -> DataFrame:
@@ -62,34 +66,44 @@ def brute(vectors: DataFrame, metric: str = "hybrid", gamma: float = 5.0, cap: i
     n = vectors.count()
     if n * (n - 1) // 2 > cap:
         raise ValueError(f"{n} vectors have too many pairs for brute force")
-    return _scored(_paired(vectors, vectors).where("id_a < id_b"), metric, gamma)
+    return _scored(_paired(vectors).where("id_a < id_b"), metric, gamma)
+
+
+#: Coordinates among which the grid's axes are chosen, and those of the first, cheap distance test.
+LEADING = 12
+
+
+def _coordinate(k: int, of: str = "shape"):
+    return F.coalesce(F.get(of, F.lit(k)), F.lit(0.0))
 
 
-def _axis(vectors: DataFrame) -> tuple[int, int]:
-    """Two coordinates to lay the grid on: those that vary most among the first eight, over all vectors."""
-    aggs = [F.coalesce(F.variance(F.coalesce(F.get("shape", F.lit(k)), F.lit(0.0))), F.lit(0.0)).alias(f"v{k}") for k in range(8)]
-    row = vectors.agg(*aggs).first()
-    order = sorted(range(8), key=lambda k: -row[f"v{k}"])
-    return order[0], order[1]
+def _axes(vectors: DataFrame) -> tuple[int, ...]:
+    """Three coordinates to lay the grid on: those that vary most among the leading ones, over all vectors."""
+    row = vectors.agg(*[F.coalesce(F.variance(_coordinate(k)), F.lit(0.0)).alias(f"v{k}") for k in range(LEADING)]).first()
+    return tuple(sorted(range(LEADING), key=lambda k: -row[f"v{k}"])[:3])
 
 
-def grid(vectors: DataFrame, tau: float, gamma: float = 5.0, axes: tuple[int, int] | None = None) -> DataFrame:
-    """Candidate pairs with vectors: neighbours on a grid over two shape coordinates, by equi-join on the cell."""
+def grid(vectors: DataFrame, tau: float, gamma: float = 5.0, axes: tuple[int, ...] | None = None) -> DataFrame:
+    """Candidate pairs with vectors and norms: neighbours on a grid over a few shape coordinates, by equi-join on the cell."""
     side = radius(tau, gamma) * (1 + 1e-6) + 1e-9
-    i, j = axes or _axis(vectors)
-    cell = lambda k: F.floor(F.coalesce(F.get("shape", F.lit(k)), F.lit(0.0)) / side)
-    placed = vectors.withColumn("cx", cell(i)).withColumn("cy", cell(j))
-    around = F.array(*[F.struct(F.lit(x).alias("dx"), F.lit(y).alias("dy")) for x in (-1, 0, 1) for y in (-1, 0, 1)])
-    spread = placed.withColumn("d", F.explode(around)).withColumn("cx", F.col("cx") + F.col("d.dx")).withColumn("cy", F.col("cy") + F.col("d.dy")).drop("d")
-    left = placed.select("cx", "cy", *[F.col(c).alias(f"{c}_a") for c in vectors.columns])
-    right = spread.select("cx", "cy", *[F.col(c).alias(f"{c}_b") for c in vectors.columns])
-    n = F.greatest(F.size("shape_a"), F.size("shape_b"))
-    near = squared_distance(pad(F.col("shape_a"), n), pad(F.col("shape_b"), n)) <= side * side
-    return left.join(right, ["cx", "cy"]).where(F.col("id_a") < F.col("id_b")).where(near)
+    axes = axes or _axes(vectors)
+    placed = with_norms(vectors).withColumns({f"cell{n}": F.floor(_coordinate(k) / side) for n, k in enumerate(axes)})
+    cells = [f"cell{n}" for n in range(len(axes))]
+    left = placed.select(*cells, *[F.col(c).alias(f"{c}_a") for c in READY])
+    spread = placed
+    for c in cells:
+        spread = spread.withColumn("cf_d", F.explode(F.array(*[F.lit(x) for x in (-1, 0, 1)]))).withColumn(c, F.col(c) + F.col("cf_d")).drop("cf_d")
+    right = spread.select(*cells, *[F.col(c).alias(f"{c}_b") for c in READY])
+    # a sum over leading coordinates first; it bounds the whole distance from below and needs no lambda
+    near = sum((F.pow(_coordinate(k, "shape_a") - _coordinate(k, "shape_b"), F.lit(2)) for k in range(LEADING)), F.lit(0.0)) <= side * side
+    pairs = left.join(right, cells).where(F.col("id_a") < F.col("id_b")).where(near)
+    return pairs.withColumn("cf_d2", squared_distance("shape_a", "shape_b")).where(F.col("cf_d2") <= side * side).drop("cf_d2", *cells)
 
 
 def grid_pairs(vectors: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybrid") -> DataFrame:
-    """Pairs with a score of at least tau."""
+    """Pairs with a score of at least tau, for the metrics that the shape distance bounds."""
+    if metric not in ("hybrid", "gauss"):
+        raise ValueError("the grid bounds only metrics with the shape kernel")
     return _scored(grid(vectors, tau, gamma), metric, gamma).where(F.col("s") >= tau)
 
 
@@ -108,8 +122,8 @@ def ann_candidates(vectors: DataFrame, width: int = 12, tables: int = 16) -> Dat
 
 def ann_pairs(vectors: DataFrame, tau: float, metric: str = "cls", gamma: float = 5.0, width: int = 12, tables: int = 16) -> DataFrame:
     c = ann_candidates(vectors, width, tables)
-    a = vectors.select(F.col("id").alias("id_a"), F.col("shape").alias("shape_a"), F.col("cls").alias("cls_a"))
-    b = vectors.select(F.col("id").alias("id_b"), F.col("shape").alias("shape_b"), F.col("cls").alias("cls_b"))
+    v = with_norms(vectors)
+    a, b = v.select(*[F.col(k).alias(f"{k}_a") for k in READY]), v.select(*[F.col(k).alias(f"{k}_b") for k in READY])
     return _scored(c.join(a, "id_a").join(b, "id_b"), metric, gamma).where(F.col("s") >= tau)
 
 

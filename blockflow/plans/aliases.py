@@ -1 +1,92 @@
-"""Queries."""
+"""Alias queries on variants of part, nation and region names and on the hosts of pages."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from blockflow.operators import alias as A
+from blockflow.plans.base import query
+from blockflow.sources.tables import table
+
+#: Variants of a two-word name, as SQL over `canonical`.
+KINDS = {
+    "upper": "upper(canonical)", "prefix": "concat('the ', canonical)", "suffix": "concat(canonical, ' group')", "hyphen": "replace(canonical, ' ', '-')",
+    "swap": "concat(substr(canonical, instr(canonical, ' ') + 1), ' ', substr(canonical, 1, instr(canonical, ' ') - 1))", "doubled": "concat(substr(canonical, 1, 3), substr(canonical, 3))",
+    "dropped": "concat(substr(canonical, 1, 2), substr(canonical, 4))", "accent": "replace(canonical, 'e', 'é')", "other": "concat('zq', reverse(canonical))",
+}
+_NAMES = "select distinct p_name as canonical from part where instr(p_name, ' ') > 0"
+_VARIANTS = " union ".join(f"select canonical as truth, '{k}' as kind, {e} as query from names" for k, e in KINDS.items())
+_CLEAN = "array_to_string(list_filter(string_split(trim(regexp_replace(translate(lower({0}), 'áàâäéèêëíìîïóòôöúùûüñç', 'aaaaeeeeiiiioooouuuunc'), '[^a-z0-9]+', ' ', 'g')), ' '), lambda w: w not in ('the', 'group', 'team', '')), ' ')"
+
+
+def _names(spark: SparkSession, d: str) -> DataFrame:
+    return table(spark, d, "part", "p_name").where("instr(p_name, ' ') > 0").select(F.col("p_name").alias("canonical")).distinct()
+
+
+def _variants(spark: SparkSession, d: str) -> DataFrame:
+    n = _names(spark, d)
+    made = n.select(F.col("canonical").alias("truth"), F.explode(F.array(*[F.struct(F.lit(k).alias("kind"), F.expr(e).alias("query")) for k, e in KINDS.items()])).alias("v"))
+    return made.select("truth", "v.*").distinct()
+
+
+@query("alias_cleaned", f"with names as ({_NAMES}), v as ({_VARIANTS}) select truth, kind, query, {_CLEAN.format('query')} as cleaned from v")
+def alias_cleaned(spark: SparkSession, d: str) -> DataFrame:
+    return _variants(spark, d).withColumn("cleaned", A.clean(F.col("query")))
+
+
+_RATIO = "case when greatest(length({0}), length({1})) = 0 then 100.0 else round(100 * (1 - levenshtein({0}, {1}) / greatest(length({0}), length({1}))), 6) end"
+_SORTED = "array_to_string(list_sort(string_split({0}, ' ')), ' ')"
+_RESOLVED = f"""with names as ({_NAMES}), v as ({_VARIANTS}), q as (select distinct query, {_CLEAN.format('query')} as cq from v), k as (select canonical, {_CLEAN.format('canonical')} as ck from names),
+    s as (select query, canonical, greatest({_RATIO.format('cq', 'ck')}, {_RATIO.format(_SORTED.format('cq'), _SORTED.format('ck'))}) as score from q join k on least(length(cq), length(ck)) * 100 >= 80 * greatest(length(cq), length(ck))),
+    b as (select *, row_number() over (partition by query order by score desc, canonical) as r from s), f as (select q.query, b.canonical, coalesce(b.score, 0) as score from q left join b on q.query = b.query and b.r = 1),
+    o as (select query, case when score >= 80 then canonical end as canonical, score, case when score >= 95 then 'accept' when score >= 80 then 'review' else 'reject' end as decision from f)"""
+
+
+def _resolved(spark: SparkSession, d: str) -> DataFrame:
+    return A.resolve(_variants(spark, d).select("query").distinct(), _names(spark, d))
+
+
+@query("alias_resolve", _RESOLVED + " select * from o")
+def alias_resolve(spark: SparkSession, d: str) -> DataFrame:
+    return _resolved(spark, d)
+
+
+@query("alias_bands", _RESOLVED + " select kind, decision, count(*) as n, cast(sum(case when canonical = truth then 1 else 0 end) as bigint) as right_name from v join o using (query) group by 1, 2")
+def alias_bands(spark: SparkSession, d: str) -> DataFrame:
+    j = _variants(spark, d).join(_resolved(spark, d), "query")
+    return j.groupBy("kind", "decision").agg(F.count(F.lit(1)).alias("n"), F.sum(F.coalesce((F.col("canonical") == F.col("truth")).cast("int"), F.lit(0))).cast("long").alias("right_name"))
+
+
+_HOSTS = "(select distinct array_to_string(list_slice(string_split(host, '.'), -3, -2), '.') as entity, unnest(list_distinct(list_concat(string_split(host, '.'), list_filter(string_split(regexp_extract(url, '^[a-z]+://[^/]+([^?#]*)', 1), '/'), lambda x: x <> '')))) as alias from (select url, regexp_extract(url, '^[a-z]+://([^/]+)', 1) as host from pages))"
+
+
+def _hosts(spark: SparkSession, d: str) -> DataFrame:
+    p = table(spark, d, "pages", "url").select(F.regexp_extract("url", r"^[a-z]+://([^/]+)", 1).alias("host"), F.regexp_extract("url", r"^[a-z]+://[^/]+([^?#]*)", 1).alias("path"))
+    parts = F.split("host", r"\.")
+    entity = F.array_join(F.slice(parts, F.greatest(F.size(parts) - 2, F.lit(1)), 2), ".")
+    words = F.array_distinct(F.concat(parts, F.filter(F.split("path", "/"), lambda x: x != "")))
+    return p.select(entity.alias("entity"), F.explode(words).alias("alias")).distinct().withColumn("weight", F.lit(1.0))
+
+
+@query("alias_jaccard", f"with k as {_HOSTS}, n as (select entity, count(*) as n from k group by 1), s as (select a.entity as a, b.entity as b, count(*) as c from k a join k b using (alias) where a.entity < b.entity group by 1, 2) select a, b, round(c / (x.n + y.n - c), 6) as jaccard, round(c / (x.n + y.n - c), 6) as weighted from s join n x on x.entity = a join n y on y.entity = b")
+def alias_jaccard(spark: SparkSession, d: str) -> DataFrame:
+    return A.set_jaccard(_hosts(spark, d))
+
+
+@query("alias_merged")
+def alias_merged(spark: SparkSession, d: str) -> DataFrame:
+    return A.merge(_hosts(spark, d), 0.3)
+
+
+@query("alias_canonical")
+def alias_canonical(spark: SparkSession, d: str) -> DataFrame:
+    kb = _hosts(spark, d)
+    return A.pick_canonical(kb, A.merge(kb, 0.3))
+
+
+@query("alias_impact", _RESOLVED + " select count(distinct query) as names_before, count(distinct coalesce(canonical, query)) as names_after, cast(sum(case when canonical is not null and canonical <> query then 1 else 0 end) as bigint) as unified from o")
+def alias_impact(spark: SparkSession, d: str) -> DataFrame:
+    o = _resolved(spark, d)
+    moved = F.coalesce((F.col("canonical") != F.col("query")).cast("int"), F.lit(0))
+    return o.agg(F.count_distinct("query").alias("names_before"), F.count_distinct(F.coalesce("canonical", "query")).alias("names_after"), F.sum(moved).cast("long").alias("unified"))

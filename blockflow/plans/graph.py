@@ -92,13 +92,13 @@ def _hop_sql(k: int) -> str:
 
 _DOC_CALLS = "lk as (select sample_id, func_id, lower(substr(line, 1, 1)) as k, count(*) over (partition by sample_id) as nf from lines), calls as (select distinct sample_id, caller, callee from (select sample_id, func_id as caller, func_id + 1 as callee from lk where func_id + 1 < nf union all select sample_id, func_id, lead(func_id) over (partition by sample_id, k order by func_id) from lk) where callee is not null)"
 _ORDER_CALLS = "calls as (select distinct sample_id, caller, callee from (select o_custkey as sample_id, o_orderkey as caller, lead(o_orderkey) over (partition by o_custkey order by o_orderdate, o_orderkey) as callee from orders union all select o_custkey, o_orderkey, lead(o_orderkey) over (partition by o_custkey, o_orderpriority order by o_orderdate, o_orderkey) from orders) where callee is not null)"
-_HOPS = " union all ".join(f"select sample_id, func_id, {k} as hop, " + ", ".join(f"round({c}, 6) as {c}" for c in _NUM) + f" from h{k}" for k in range(3))
+_HOPS = " union all ".join(f"select sample_id, func_id, {k} as hop, " + ", ".join(f"round({c}, 9) as {c}" for c in _NUM) + f" from h{k}" for k in range(3))
 
 
 def _hops(func: DataFrame, calls: DataFrame) -> DataFrame:
     cfg = FeatureConfig(rounds=2)
     nodes = features.propagate(features.initial(flowvec.build(func, depth=False), cfg), calls, cfg)
-    flat = [F.round(F.get("shape", F.lit(k)), 6).alias(c) for k, c in enumerate(("x", "y"))] + [F.round(F.get("cls", F.lit(k)), 6).alias(w) for k, w in enumerate(_WS)]
+    flat = [F.round(F.get("shape", F.lit(k)), 9).alias(c) for k, c in enumerate(("x", "y"))] + [F.round(F.get("cls", F.lit(k)), 9).alias(w) for k, w in enumerate(_WS)]
     return nodes.select("sample_id", "func_id", "hop", *flat)
 
 
