@@ -1 +1,109 @@
-"""Queries."""
+"""The seventeen configurations on a truth set derived from the documents, and what follows from them."""
+
+from __future__ import annotations
+
+import time
+from functools import reduce
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from blockflow.operators import dedup, similarity
+from blockflow.operators import evaluate as E
+from blockflow.plans.base import query
+from blockflow.session import materialize
+from blockflow.sources import carriers
+
+
+def truth(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame]:
+    """Functions and (id, grp) of the truth set; the small design where the large one doesn't fit."""
+    func = materialize(carriers.documents(spark, d), "functions")
+    small = func.select("sample_id").distinct().count() < 900
+    made = materialize(E.truth_set(func, *((30, 20, True) if small else (85, 136, False))), "truth")
+    return made, made.select(F.col("sample_id").alias("id"), "grp").distinct()
+
+
+def scored(spark: SparkSession, func: DataFrame, name: str, least: float = 0.9) -> DataFrame:
+    """Scores of all pairs of the truth set (some hundred thousand) that reach the lowest cut."""
+    vectors = materialize(dedup.sample_frame(func, E.line_calls(func), E.CONFIGS[name]), "vectors")
+    heads, members = similarity.collapse(vectors.select("id", "shape", "cls", "vec_digest"))
+    heads, members = materialize(heads, "heads"), materialize(members, "members")
+    near = materialize(similarity.brute(heads, E.CONFIGS[name].metric).where(F.col("s") >= least), "scores").select("id_a", "id_b", "s")
+    same = heads.select(F.col("id").alias("id_a"), F.col("id").alias("id_b"), F.lit(1.0).alias("s"))
+    a, b = members.toDF("x", "id_a"), members.toDF("y", "id_b")
+    return near.union(same).join(a, "id_a").join(b, "id_b").where((F.col("id_a") < F.col("id_b")) | (F.col("x") < F.col("y"))).select(F.col("x").alias("id_a"), F.col("y").alias("id_b"), "s")
+
+
+def one(spark: SparkSession, d: str, name: str) -> DataFrame:
+    func, groups = truth(spark, d)
+    return E.sweep(scored(spark, func, name), groups, E.TAUS).select(F.lit(name).alias("config"), "*")
+
+
+for _name in E.CONFIGS:
+    query(f"ablation_{_name}")(lambda spark, d, name=_name: one(spark, d, name))
+
+
+def table_of(spark: SparkSession, d: str, names: list[str]) -> DataFrame:
+    func, groups = truth(spark, d)
+    out = []
+    for name in names:
+        began = time.time()
+        rows = materialize(E.sweep(scored(spark, func, name), groups, E.TAUS), "sweep")
+        out.append(rows.select(F.lit(name).alias("config"), "*", F.lit(time.time() - began).alias("seconds")))
+    return reduce(DataFrame.union, out)
+
+
+def best(rows: DataFrame) -> DataFrame:
+    """Each configuration at its best cut."""
+    return rows.groupBy("config").agg(F.max_by(F.struct("tau", "precision", "recall", "f1", "seconds"), F.struct(F.coalesce("f1", F.lit(-1.0)), "tau")).alias("b")).select("config", "b.*")
+
+
+@query("ablation_table")
+def ablation_table(spark: SparkSession, d: str) -> DataFrame:
+    return best(table_of(spark, d, list(E.CONFIGS)))
+
+
+@query("ablation_contributions")
+def ablation_contributions(spark: SparkSession, d: str) -> DataFrame:
+    used = sorted({x for pair in E.COMPONENTS.values() for x in pair})
+    b = materialize(best(table_of(spark, d, used)), "best")
+    pairs = spark.createDataFrame([(k, x, y) for k, (x, y) in E.COMPONENTS.items()], "component string, before string, after string")
+    j = pairs.join(b.select(F.col("config").alias("before"), F.col("f1").alias("f0"), F.col("seconds").alias("s0")), "before").join(b.select(F.col("config").alias("after"), "f1", "seconds"), "after")
+    return j.select("component", "before", "after", F.round(F.col("f1") - F.col("f0"), 6).alias("f1_change"), F.round(F.col("seconds") / F.col("s0"), 3).alias("time_ratio"))
+
+
+@query("ablation_path")
+def ablation_path(spark: SparkSession, d: str) -> DataFrame:
+    return best(table_of(spark, d, E.PATH))
+
+
+@query("threshold_curves")
+def threshold_curves(spark: SparkSession, d: str) -> DataFrame:
+    return table_of(spark, d, E.PATH).select("config", "tau", "f1")
+
+
+@query("truth_summary")
+def truth_summary(spark: SparkSession, d: str) -> DataFrame:
+    _, groups = truth(spark, d)
+    g = groups.groupBy("grp").agg(F.count(F.lit(1)).alias("k"))
+    many = F.when(F.col("k") > 1, F.col("k"))
+    return g.agg(F.count(F.lit(1)).alias("n_groups"), F.sum("k").alias("n_samples"), F.sum((F.col("k") == 1).cast("int")).cast("long").alias("isolated"), F.min(many).alias("least"), F.max(many).alias("most"), F.round(F.avg(many), 6).alias("mean"))
+
+
+def _split(spark: SparkSession, d: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    func, groups = truth(spark, d)
+    s = materialize(scored(spark, func, "H3"), "scored")
+    first = F.substring(F.md5("grp"), 1, 1) < "8"
+    return s, groups.where(first), groups.where(~first)
+
+
+@query("threshold_choice")
+def threshold_choice(spark: SparkSession, d: str) -> DataFrame:
+    s, validation, _ = _split(spark, d)
+    return E.pick_threshold(s, validation)
+
+
+@query("threshold_perturbation")
+def threshold_perturbation(spark: SparkSession, d: str) -> DataFrame:
+    s, _, test = _split(spark, d)
+    return E.sweep(s, test, [0.9997, 0.9998, 0.9999])
