@@ -1 +1,33 @@
-"""Queries."""
+"""Streaming queries, run over what the files hold."""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from blockflow.plans.base import query
+from blockflow.streaming.jobs import drained, events
+
+
+@query("stream_tumbling", "select event_type, cast(date_trunc('hour', ts) as timestamp) as start_ts, count(*) as n from events where ts is not null group by 1, 2")
+def stream_tumbling(spark: SparkSession, d: str) -> DataFrame:
+    s = events(spark, d).where("ts is not null").groupBy("event_type", F.window("ts", "1 hour")).agg(F.count(F.lit(1)).alias("n"))
+    return drained(s.select("event_type", F.col("window.start").alias("start_ts"), "n"), "complete").withColumn("start_ts", F.col("start_ts").cast("timestamp_ntz"))
+
+
+@query("stream_sliding", "select cast(time_bucket(interval 15 minute, ts) - k * interval 15 minute as timestamp) as start_ts, count(*) as n from events, (select unnest(range(4)) as k) where ts is not null group by 1")
+def stream_sliding(spark: SparkSession, d: str) -> DataFrame:
+    s = events(spark, d).where("ts is not null").groupBy(F.window("ts", "1 hour", "15 minutes")).agg(F.count(F.lit(1)).alias("n"))
+    return drained(s.select(F.col("window.start").alias("start_ts"), "n"), "complete").withColumn("start_ts", F.col("start_ts").cast("timestamp_ntz"))
+
+
+@query("stream_exact_dedup", "select distinct event_id from events where ts is not null")
+def stream_exact_dedup(spark: SparkSession, d: str) -> DataFrame:
+    s = events(spark, d).where("ts is not null").withWatermark("ts", "2 hours").dropDuplicatesWithinWatermark(["event_id"])
+    return drained(s.select("event_id"))
+
+
+@query("stream_session")
+def stream_session(spark: SparkSession, d: str) -> DataFrame:
+    s = events(spark, d).where("ts is not null and user_id is not null").withWatermark("ts", "2 hours").groupBy("user_id", F.session_window("ts", "12 hours")).agg(F.count(F.lit(1)).alias("n"))
+    return drained(s.select("user_id", F.col("session_window.start").alias("start_ts"), F.col("session_window.end").alias("end_ts"), "n"))
