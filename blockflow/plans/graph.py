@@ -37,11 +37,11 @@ _FLOW = f"""nx as (select *, count(*) over (partition by sample_id, func_id) as
     {', '.join(f'cast(sum(coalesce(e, 0) * c{k}) as bigint) as w{k}' for k in range(1, 10))} from blocks left join ends using (sample_id, func_id, id) left join deep using (sample_id, func_id, id) left join ec using (sample_id, func_id) group by 1, 2, 3)"""
 _WS = [f"w{k}" for k in range(1, 10)]
 _SELECT = f"select sample_id, func_id, grp, cast(n_blocks as int) as n_blocks, cast(n_edges as int) as n_edges, omega, xn, yn, zn, {', '.join(_WS)} from v"
-_FLAT = [F.get("cls", F.lit(k)).alias(f"w{k + 1}") for k in range(9)]
 
 
 def _flow(func: DataFrame) -> DataFrame:
-    return flowvec.build(func).select("sample_id", "func_id", "grp", "n_blocks", "n_edges", "omega", "xn", "yn", "zn", *_FLAT)
+    flat = [F.get("cls", F.lit(k)).alias(f"w{k + 1}") for k in range(9)]
+    return flowvec.build(func).select("sample_id", "func_id", "grp", "n_blocks", "n_edges", "omega", "xn", "yn", "zn", *flat)
 
 
 @query("flow_vectors_docs", f"with {_DOC_BLOCKS}, {_FLOW} {_SELECT}")
