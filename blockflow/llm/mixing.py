@@ -43,7 +43,7 @@ class MixConfig:
 
 
 GAP = r"[\x20\x09-\x0D]+"
-_STEPS = {"symbols": "#*$%&|<>", "stress": "!?", "upper": "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "digits": "0123456789", "stops": ".,;:"}
+_STEPS = {"symbols": "[#*$%&|<>]", "stress": "[!?]", "upper": "[A-Z]", "digits": "[0-9]", "stops": "[.,;:]"}
 
 
 def features(docs: DataFrame, config: MixConfig) -> DataFrame:
@@ -53,7 +53,7 @@ def features(docs: DataFrame, config: MixConfig) -> DataFrame:
     staged = staged.withColumn("n_tokens", F.size("mix_w").cast("long"))
     staged = staged.withColumn("mix_b", F.expr(f"array_distinct(transform(mix_w, w -> cast(pmod(hash(w), {config.buckets}) as int)))")).drop("mix_w")
     n = F.greatest(F.length(text), F.lit(1))
-    share = lambda chars: F.least(F.lit(7), F.floor(F.log2(1 + 256 * (F.length(text) - F.length(F.translate(text, chars, ""))) / n))).cast("int")
+    share = lambda chars: F.least(F.lit(7), F.floor(F.log2(1 + 256 * F.regexp_count(text, F.lit(chars)) / n))).cast("int")
     codes = [F.least(F.lit(15), F.floor(F.log2(1 + F.col("n_tokens")))).cast("int"), *[share(c) for c in _STEPS.values()]]
     varied = F.floor(8 * F.size("mix_b") / F.greatest(F.least(F.col("n_tokens"), F.lit(config.buckets)), F.lit(1))).cast("int")
     return staged.withColumn("mix_f", F.array(*[c + 16 * k for k, c in enumerate([*codes, F.least(F.lit(15), varied)])]))
