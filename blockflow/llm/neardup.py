@@ -5,7 +5,7 @@ every element is placed into a random coordinate with value (i, hash); in round
 coordinate j, which guarantees that all fill. A coordinate keeps the smallest value it gets, so rounds stop once all are
 filled, and the share of equal coordinates of two sketches is concentrated around the Jaccard similarity of the sets.
 Bands of `rows` coordinates make the candidates: at 32 bands of 4, a pair at similarity 0.85 shares no band with a chance of
-6e-11.
+6e-11, and one at 0.80, where the pipeline's stage links, with a chance of 5e-8.
 
 Sets that are equal become one node first. In a bucket each node is compared with the bucket's smallest node, so a bucket of
 m nodes gives m - 1 pairs; links merge components. What a star can't tell is settled after that: nodes that buckets connect

@@ -194,3 +194,19 @@ def test_pipeline_stages_keep_columns(spark):
             assert all(i == c for i, (_, c) in brute.components(left.items()).items())
     assert 0.5 * n < docs.select("doc_id").distinct().count() <= n
     assert pipeline.STAGES[-1][1](spark, docs, d).agg(F.sum("length")).first()[0] > 0
+
+
+def test_near_dedup_stage_links_from_four_fifths(spark):
+    pipeline = pytest.importorskip("corpus_pipeline")
+    d = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{d}/documents.parquet")
+    two = BASE.replace("word30 ", "other30 ").replace("word60 ", "other60 ")
+    three = two.replace("word90 ", "other90 ")
+    # shingles in common: 106 of 126, and 101 of 131, which is too few
+    extra = [(10_000_001, BASE), (10_000_002, two), (20_000_001, BASE.replace("word", "w")), (20_000_002, three.replace("word", "w"))]
+    rows = [(i, t, "en", "s", len(t)) for i, t in extra]
+    docs = docs.select(*pipeline.COLUMNS).union(spark.createDataFrame(rows, docs.select(*pipeline.COLUMNS).schema))
+    want = {i for i, (_, c) in brute.components([(r.doc_id, r.text) for r in docs.collect()], share=80).items() if i == c}
+    got = {r.doc_id for r in pipeline.drop_near_duplicates(spark, docs, d).collect()}
+    assert got == want
+    assert 10_000_002 not in got and 20_000_002 in got
