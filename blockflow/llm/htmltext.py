@@ -2,9 +2,15 @@
 
 A page is cut into lines, one for each block of markup, with the markup stripped. A line's length is that of its text, or 0
 where the line belongs to something that is never main text: menus, headers and footers of the page, sidebars, notices,
-adverts, forms, scripts, styles and reader comments, told by element, role or class name. The length of a line block is the
-sum over a sliding window of lines. The text surges where blocks rise above a threshold and dives where they fall to zero;
-lines between the two are kept if they have length. Where a page marks its article, the lines outside have length 0.
+adverts, forms, scripts, styles and reader comments, told by element, role or class name. Where a page marks its article, the
+marks decide: its lines with length are the text, and the lines outside have length 0.
+
+On other pages the distribution over line blocks decides. A line's weight is the part of its length outside links, and a
+block's the sum over a sliding window of lines. Blocks of weight 0 part the page into stretches. In a stretch the text
+surges where a block first exceeds a threshold and dives after the last block that does; at both ends the short lines of that
+block are left out, but for headings before the first long line. Short lines between long ones stay. A stretch without a
+surge holds menus and notices and is left out, unless no stretch of the page has one: then all lines with length are kept.
+What this can't tell: unmarked boilerplate whose blocks are as heavy as text, and short text lines at a stretch's ends.
 
 Defined cases: null and empty html, and pages without main text, give an empty text; markup that ends early or is not
 closed is read as far as it goes; rows that repeat are read one by one; an empty table gives an empty result.
@@ -19,8 +25,8 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-#: Lines of a block, and the block length above which text surges.
-BLOCK, SURGE = 3, 0
+#: Lines of a block, and the block weight above which text surges: short boilerplate lines stay below, paragraphs above.
+BLOCK, SURGE = 3, 40
 
 #: Elements whose content is no text, elements outside the main text, elements that begin a new line.
 SILENT = frozenset("script style noscript template svg math iframe object canvas audio video head title select option datalist textarea map".split())
@@ -30,6 +36,7 @@ LINES = frozenset(
     " li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul".split()
 )
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
+HEADINGS = frozenset("h1 h2 h3 h4 h5 h6 caption".split())
 #: Elements that a new one of the same kind closes.
 CLOSES = {"p": {"p"}, "li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}}
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert menu menubar toolbar".split())
@@ -64,21 +71,32 @@ def _is_outside(name: str, attributes: str, in_article: bool) -> bool:
     return False
 
 
-def lines_of(page: str) -> list[tuple[str, bool, bool]]:
-    """The page's lines as (text, outside of any main text, in a marked article)."""
-    out: list[tuple[str, bool, bool]] = []
+def _clean(parts: list[str]) -> str:
+    return _SPACE.sub(" ", html.unescape("".join(parts))).strip()
+
+
+def lines_of(page: str) -> list[tuple[str, bool, bool, int, bool]]:
+    """The page's lines as (text, outside of any main text, in a marked article, characters outside links, heading)."""
+    out: list[tuple[str, bool, bool, int, bool]] = []
     open_: list[tuple[str, bool, bool]] = []
     parts: list[str] = []
+    #: Where in `parts` the line's links begin and end.
+    links: list[int] = []
 
     def state() -> tuple[bool, bool]:
         return open_[-1][1:] if open_ else (False, False)
 
     def end_line() -> None:
         if parts:
-            text = _SPACE.sub(" ", html.unescape("".join(parts))).strip()
+            text = _clean(parts)
             if text:
-                out.append((text, *state()))
+                plain = len(text)
+                if links:
+                    edges = [0, *links, len(parts)]
+                    plain = len(_clean([x for a, b in zip(edges[::2], edges[1::2], strict=False) for x in parts[a:b]]))
+                out.append((text, *state(), plain, any(x[0] in HEADINGS for x in open_)))
             parts.clear()
+        links.clear()
 
     def close(k: int) -> None:
         end_line()
@@ -96,6 +114,8 @@ def lines_of(page: str) -> list[tuple[str, bool, bool]]:
         name = (found.group(2) or "").lower()
         if not name:
             continue
+        if name == "a" and bool(found.group(1)) == bool(len(links) % 2):
+            links.append(len(parts))
         if found.group(1):
             if name in LINES or name in OUTSIDE or any(x[0] == name for x in open_):
                 end_line()
@@ -131,23 +151,37 @@ def lines_of(page: str) -> list[tuple[str, bool, bool]]:
     return out
 
 
-def main_text(page: str | None) -> str:
-    """The main text's lines, with an empty line between each two."""
-    lines = lines_of(page or "")
-    marked = any(article and not outside for _, outside, article in lines)
-    length = [0 if outside or marked and not article else len(text) for text, outside, article in lines]
-    n = len(length)
-    blocks = [sum(length[i : i + BLOCK]) for i in range(n)]
-    kept: list[str] = []
-    i = 0
+def _regions(weight: list[int], heading: list[bool]) -> list[tuple[int, int]]:
+    """[from, to) of the lines between a surge and its dive, for each stretch between blocks of weight 0."""
+    n = len(weight)
+    blocks = [sum(weight[i : i + BLOCK]) for i in range(n)]
+    found, i = [], 0
     while i < n:
-        if blocks[i] <= SURGE:
+        if blocks[i] == 0:
             i += 1
             continue
-        dive = next((j for j in range(i, n) if blocks[j] == 0), n)
-        kept += [lines[j][0] for j in range(i, dive) if length[j]]
-        i = dive
-    return "\n\n".join(kept)
+        end = next((j for j in range(i, n) if blocks[j] == 0), n)
+        surges = [j for j in range(i, end) if blocks[j] > SURGE]
+        if surges:
+            long = [j for j in range(surges[0], min(end, surges[-1] + BLOCK)) if weight[j] * BLOCK > SURGE]
+            first = long[0]
+            while first > i and heading[first - 1] and weight[first - 1]:
+                first -= 1
+            found.append((first, long[-1] + 1))
+        i = end
+    return found
+
+
+def main_text(page: str | None) -> str:
+    """The main text's lines, with an empty line between each two."""
+    lines = lines_of(page or "")
+    marked = any(article and not outside for _, outside, article, *_ in lines)
+    length = [0 if outside or marked and not article else len(text) for text, outside, article, *_ in lines]
+    regions = [(0, len(lines))]
+    if not marked:
+        weight = [min(x, plain) for x, (*_, plain, _) in zip(length, lines, strict=True)]
+        regions = _regions(weight, [h for *_, h in lines]) or regions
+    return "\n\n".join(lines[j][0] for a, b in regions for j in range(a, b) if length[j])
 
 
 def _extracted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -210,3 +210,15 @@ def test_near_dedup_stage_links_from_four_fifths(spark):
     got = {r.doc_id for r in pipeline.drop_near_duplicates(spark, docs, d).collect()}
     assert got == want
     assert 10_000_002 not in got and 20_000_002 in got
+
+
+def test_html_without_marks_is_cut_where_text_surges_and_dives():
+    menu = "<div class=x1><ul><li><a href=/>Home</a><li><a href=/n>News</a><li><a href=/a>About us and our work</a><li><a href=/c>Contact</a></ul></div>"
+    body = "<div><h2>Title</h2><p>" + "One long sentence of the text. " * 5 + "<ul><li>short<li>items<li>stay<li>here</ul><p>" + "And another <a href=/x>linked</a> paragraph. " * 4 + "</div>"
+    want = ["Title", ("One long sentence of the text. " * 5).strip(), "short", "items", "stay", "here", ("And another linked paragraph. " * 4).strip()]
+    page = f"<body>{menu}{body}<div class=x2><p>Buy now!</p><p>Only today</p><p>(c) 2020</p></div></body>"
+    assert htmltext.main_text(page).split("\n\n") == want
+    # a marked page keeps what it marks, however short its lines are
+    assert htmltext.main_text(f"<body>{menu}<article><p>Tiny</p></article></body>") == "Tiny"
+    # and a page of nothing but short lines is kept whole
+    assert htmltext.main_text("<p>Roses<p>are red") == "Roses\n\nare red"
