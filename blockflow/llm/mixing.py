@@ -1,13 +1,14 @@
 """Mixing documents to target domain weights by soft membership, in DataFrame functions only.
 
-Membership. A document has a handful of discretised features of its text and a set of hashed words. From the labelled
+Membership. A document has a handful of discretised features of its text and a bag of hashed words. From the labelled
 documents, a naive Bayes classifier learns how features and word buckets are distributed in each domain, and gives every
 document its posterior over the domains; so a document without a label, or one between domains, belongs to several in part.
 
 Rates. Document i has n_i tokens (words) and posteriors p_i. Its rate w_i >= floor is how often it should be read. The
-expected tokens of domain d are the sum of w_i n_i p_id, and projected gradient descent minimises their squared distance to
-the targets. A step changes w_i by p_i times one number for each domain, so a round needs one aggregation over the
-documents, and the rates follow from the rounds' steps by folding them; only numbers for each domain reach the driver.
+expected tokens of domain d are the sum of w_i n_i p_id. The rates are those that meet the targets to within `tolerance` and
+else stay as near to 1 as they can, which are projections onto the floor of 1 plus p_i times one number for each domain. These
+numbers are found by Newton's method, a round of which needs one aggregation over the documents; only numbers for each domain
+and pair of domains reach the driver. Where no rates meet the targets, the distance left is logged as a warning.
 
 Domains are the labelled table's (quality, toxic) pairs; the classifier is fitted on at most `sample` labelled rows.
 
@@ -18,9 +19,11 @@ to is ignored, as no rates reach it; an empty table gives an empty result.
 
 from __future__ import annotations
 
+import logging
 import math
 from dataclasses import dataclass
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -34,28 +37,30 @@ class MixConfig:
     smoothing: float = 1.0
     #: Weight of a document's words beside its other features, as words are far from independent.
     tempering: float = 30.0
-    rounds: int = 25
     #: Least rate of a document.
     floor: float = 0.0
     #: Whether the targets are shares of as many tokens as the corpus has, or of so many that no domain must shrink.
     grow: bool = False
-    tolerance: float = 3e-4
+    #: Distance of the domains' tokens from their targets, in shares of the corpus.
+    tolerance: float = 1e-4
 
 
+LOG = logging.getLogger(__name__)
+
 GAP = r"[\x20\x09-\x0D]+"
 _STEPS = {"symbols": "[#*$%&|<>]", "stress": "[!?]", "upper": "[A-Z]", "digits": "[0-9]", "stops": "[.,;:]"}
 
 
 def features(docs: DataFrame, config: MixConfig) -> DataFrame:
-    """Add n_tokens, mix_f (codes of discretised features) and mix_b (the hash buckets that hold words)."""
+    """Add n_tokens, mix_f (codes of discretised features) and mix_b (the hash bucket of each word)."""
     text = F.coalesce(F.col("text"), F.lit(""))
     staged = docs.withColumn("mix_w", F.filter(F.split(text, GAP), lambda w: w != ""))
     staged = staged.withColumn("n_tokens", F.size("mix_w").cast("long"))
-    staged = staged.withColumn("mix_b", F.expr(f"array_distinct(transform(mix_w, w -> cast(pmod(hash(w), {config.buckets}) as int)))")).drop("mix_w")
+    staged = staged.withColumn("mix_b", F.expr(f"transform(mix_w, w -> cast(pmod(hash(w), {config.buckets}) as int))")).drop("mix_w")
     n = F.greatest(F.length(text), F.lit(1))
     share = lambda chars: F.least(F.lit(7), F.floor(F.log2(1 + 256 * F.regexp_count(text, F.lit(chars)) / n))).cast("int")
     codes = [F.least(F.lit(15), F.floor(F.log2(1 + F.col("n_tokens")))).cast("int"), *[share(c) for c in _STEPS.values()]]
-    varied = F.floor(8 * F.size("mix_b") / F.greatest(F.least(F.col("n_tokens"), F.lit(config.buckets)), F.lit(1))).cast("int")
+    varied = F.floor(8 * F.size(F.array_distinct("mix_b")) / F.greatest(F.least(F.col("n_tokens"), F.lit(config.buckets)), F.lit(1))).cast("int")
     return staged.withColumn("mix_f", F.array(*[c + 16 * k for k, c in enumerate([*codes, F.least(F.lit(15), varied)])]))
 
 
@@ -109,46 +114,81 @@ def posteriors(featured: DataFrame, model: DomainModel, config: MixConfig) -> Da
     return staged.withColumn("p", F.expr("transform(mix_l, x -> x / aggregate(mix_l, cast(0 as double), (a, b) -> a + b))")).drop("mix_l", "mix_b", "mix_f")
 
 
-def _rate(steps: list[list[float]], floor: float) -> Column:
-    """Fold the rounds' steps: each adds p times a vector, then projects onto rates of at least `floor`."""
-    if not steps:
-        return F.lit(max(1.0, floor))
-    table = F.array(*[F.array(*[F.lit(float(x)) for x in s]) for s in steps])
-    dot = lambda s: sum((F.get("p", F.lit(d)) * F.get(s, F.lit(d)) for d in range(len(steps[0]))), F.lit(0.0))
-    return F.aggregate(table, F.lit(max(1.0, floor)), lambda w, s: F.greatest(F.lit(floor), w + dot(s)))
+def _raised(lift: list[float], floor: float) -> Column:
+    """A document's rate before it is held above the floor."""
+    return sum((F.lit(float(x)) * F.get("p", F.lit(d)) for d, x in enumerate(lift)), F.lit(max(1.0, floor)))
+
+
+def _rate(lift: list[float], floor: float) -> Column:
+    return F.greatest(F.lit(floor), _raised(lift, floor))
+
+
+#: Weights of the rates' distance from 1 beside the targets, from the first to the last that is tried.
+_EASE = [10.0**-e for e in range(2, 10)]
+#: Newton rounds for a weight; halved steps in a round.
+_ROUNDS, _HALVES = 60, 20
 
 
-def fit_rates(members: DataFrame, targets: list[float], config: MixConfig) -> list[list[float]]:
-    """The steps of projected gradient descent for (n_tokens, p) and target shares of the domains.
+def fit_rates(members: DataFrame, targets: list[float], config: MixConfig) -> tuple[list[float], float]:
+    """What each domain adds to the rates of (n_tokens, p) to meet target shares, and the distance left from the targets.
 
-    Tokens are counted in shares of the corpus, which targets keep at its size unless config.grow. With the metric in which document i weighs
-    n_i, a step of 1 / L is safe, where L is at most the trace of the sum of n_i p_i p_i'.
+    Tokens are counted in shares of the corpus, which targets keep at its size unless config.grow. For a weight e, the lift x minimises
+    the convex dual, the sum of n_i psi(1 + x p_i) - goal x + e/2 x D x, where psi' is the projection onto the floor and D the
+    domains' shares; then the residual is e D x, so that it goes to 0 with e if rates can meet the targets. Where it no
+    longer falls with e they can't, and the last weight that helped stands, as smaller ones only move the rates further.
     """
     k = len(targets)
-    size = F.sum("n_tokens").cast("double")
-    square = F.sum(sum((F.col("n_tokens") * F.get("p", F.lit(d)) * F.get("p", F.lit(d)) for d in range(k)), F.lit(0.0)))
-    head = members.agg(size.alias("n"), square.alias("l"), *[F.sum(F.col("n_tokens") * F.get("p", F.lit(d))).alias(f"d{d}") for d in range(k)]).first()
+    p = [F.get("p", F.lit(d)) for d in range(k)]
+    pairs = [(a, b) for a in range(k) for b in range(a, k)]
+    head = members.agg(F.sum("n_tokens").cast("double").alias("n"), *[F.sum(F.col("n_tokens") * p[d]).alias(f"d{d}") for d in range(k)]).first()
     if not head["n"]:
-        return []
-    reach = [1.0 if head[f"d{d}"] > 0 else 0.0 for d in range(k)]
-    total = sum(t * r for t, r in zip(targets, reach, strict=True)) or 1.0
-    goal = [t * r / total for t, r in zip(targets, reach, strict=True)]
-    scale = head["n"] / max(head["l"], 1e-300)
-    # each domain's residual is scaled by its own share, so that rare domains move as fast as common ones
-    own = [max(head[f"d{d}"] / head["n"], 1e-9) for d in range(k)]
+        return [0.0] * k, 0.0
+    own = np.array([head[f"d{d}"] / head["n"] for d in range(k)])
+    goal = np.where(own > 0, targets, 0.0)
+    goal = goal / (goal.sum() or 1.0)
     if config.grow:
-        factor = max((s / g for s, g in zip(own, goal, strict=True) if g > 0), default=1.0)
-        goal = [g * factor for g in goal]
-    steps: list[list[float]] = []
-    for _ in range(config.rounds):
-        w = _rate(steps, config.floor)
-        rated = members.withColumn("w", w)
-        got = rated.agg(*[F.sum(F.col("w") * F.col("n_tokens") * F.get("p", F.lit(d))).alias(f"d{d}") for d in range(k)]).first()
-        residual = [g - got[f"d{d}"] / head["n"] for d, g in enumerate(goal)]
-        if sum(r * r for r in residual) ** 0.5 < config.tolerance:
+        goal = goal * max((s / g for s, g in zip(own, goal, strict=True) if g > 0), default=1.0)
+    metric = np.maximum(own, 1e-12)
+    low = F.lit(config.floor)
+
+    def at(x: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
+        """Residual, second derivatives and value of the dual without its last term."""
+        u, n = F.col("u"), F.col("n_tokens")
+        free = F.when(u >= low, n).otherwise(0)
+        psi = F.when(u >= low, u * u / 2).otherwise(low * u - low * low / 2)
+        sums = [F.sum(n * F.greatest(low, u) * p[d]).alias(f"d{d}") for d in range(k)]
+        row = members.withColumn("u", _raised(x.tolist(), config.floor)).agg(F.sum(n * psi).alias("psi"), *sums, *[F.sum(free * p[a] * p[b]).alias(f"m{a}_{b}") for a, b in pairs]).first()
+        second = np.array([[row[f"m{min(a, b)}_{max(a, b)}"] for b in range(k)] for a in range(k)]) / head["n"]
+        return goal - np.array([row[f"d{d}"] for d in range(k)]) / head["n"], second, row["psi"] / head["n"] - float(goal @ x)
+
+    x = np.zeros(k)
+    residual, second, value = at(x)
+    stands = (x.tolist(), float(np.linalg.norm(residual)))
+    if stands[1] < config.tolerance:
+        return stands
+    for ease in _EASE:
+        for _ in range(_ROUNDS):
+            slope = residual - ease * metric * x
+            # near enough to this weight's minimum for the next one
+            if np.linalg.norm(slope) < 0.1 * np.linalg.norm(residual):
+                break
+            step = np.linalg.solve(second + ease * np.diag(metric), slope)
+            now, share = value + ease / 2 * float(metric @ x**2), 1.0
+            for _ in range(_HALVES):
+                there = x + share * step
+                residual, second, value = at(there)
+                if np.linalg.norm(residual) < config.tolerance:
+                    return there.tolist(), float(np.linalg.norm(residual))
+                if value + ease / 2 * float(metric @ there**2) <= now - 1e-4 * share * float(slope @ step):
+                    break
+                share /= 2
+            x = there
+        left = float(np.linalg.norm(residual))
+        if ease < 1e-4 and left > 0.99 * stands[1]:
             break
-        steps.append([min(1.0, scale) * r / s * 0.9 for r, s in zip(residual, own, strict=True)])
-    return steps
+        stands = (x.tolist(), left)
+    LOG.warning("rates miss the targets by %.2e of the corpus's tokens; the tolerance is %.0e", stands[1], config.tolerance)
+    return stands
 
 
 def domains_of(labels: DataFrame) -> DataFrame:
@@ -176,8 +216,8 @@ def mix(docs: DataFrame, labels: DataFrame, targets: dict[str, float] | None = N
         wanted = [t * (emphasis or {}).get(d, 1.0) for t, d in zip(tempered([s / (sum(sums) or 1.0) for s in sums], power), model.domains, strict=True)]
     else:
         wanted = [targets.get(d, 0.0) for d in model.domains]
-    steps = fit_rates(members, wanted, config)
-    return members.withColumn("rate", _rate(steps, config.floor)), model, dict(zip(model.domains, wanted, strict=True))
+    lift, _ = fit_rates(members, wanted, config)
+    return members.withColumn("rate", _rate(lift, config.floor)), model, dict(zip(model.domains, wanted, strict=True))
 
 
 def copies(rate: Column, doc_id: Column) -> Column:

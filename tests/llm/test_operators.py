@@ -222,3 +222,41 @@ def test_html_without_marks_is_cut_where_text_surges_and_dives():
     assert htmltext.main_text(f"<body>{menu}<article><p>Tiny</p></article></body>") == "Tiny"
     # and a page of nothing but short lines is kept whole
     assert htmltext.main_text("<p>Roses<p>are red") == "Roses\n\nare red"
+
+
+def _distance(members, lift, goal, floor):
+    w = members.withColumn("w", mixing._rate(lift, floor))
+    row = w.agg(F.sum("n_tokens").alias("n"), *[F.sum(F.col("w") * F.col("n_tokens") * F.get("p", F.lit(d))).alias(f"d{d}") for d in range(len(goal))]).first()
+    return sum((g - row[f"d{d}"] / row.n) ** 2 for d, g in enumerate(goal)) ** 0.5
+
+
+def test_mixing_meets_targets_where_posteriors_overlap(spark, caplog):
+    # three domains, a rare one and two that hardly differ
+    rows = [(100, [0.5 + 0.02 * (k % 5), 0.49 - 0.02 * (k % 5), 0.01]) for k in range(500)] + [(100, [0.1, 0.1, 0.8])] * 5
+    members = spark.createDataFrame(rows, "n_tokens long, p array<double>")
+    for floor, goal in ((0.0, [0.5, 0.45, 0.05]), (0.5, [0.53, 0.45, 0.02])):
+        lift, left = mixing.fit_rates(members, goal, mixing.MixConfig(floor=floor))
+        assert left < 1e-4 and _distance(members, lift, goal, floor) < 1e-4
+    assert not caplog.records
+    # nothing gives the second domain four fifths: this is said
+    lift, left = mixing.fit_rates(members, [0.1, 0.8, 0.1], mixing.MixConfig())
+    assert left > 0.1 and "miss the targets" in caplog.text
+    assert abs(_distance(members, lift, [0.1, 0.8, 0.1], 0.0) - left) < 1e-9
+
+
+def test_mixing_tells_long_texts_apart_by_word_counts(spark):
+    def text(k, mark):
+        # 6000 different words, which fill nearly all buckets, and 2000 times one that is frequent in this domain
+        words = [f"w{(k * 7919 + i) % 50021:05d}" for i in range(6000)]
+        for i in range(2000):
+            words.insert(4 * i, mark)
+        return " ".join([*words, "zaaaaa", "zbbbbb"])
+
+    rows = [(k, text(k, "zaaaaa" if k % 2 else "zbbbbb")) for k in range(40)]
+    docs = spark.createDataFrame(rows, SCHEMA).repartition(4)
+    labels = spark.createDataFrame([(k, k % 2, 0) for k in range(20)], "doc_id long, quality int, toxic int")
+    config = mixing.MixConfig()
+    model = mixing.fit_domains(docs, mixing.domains_of(labels), config)
+    got = {r.doc_id: r.p for r in mixing.posteriors(mixing.features(docs, config), model, config).select("doc_id", "p").collect()}
+    assert model.domains == ("q0_t0", "q1_t0")
+    assert all(got[k][k % 2] > 0.95 for k in range(20, 40))
