@@ -28,7 +28,7 @@ BASE_PHRASES = {
     "mit license": "mit",
 }
 
-#: Label, keyword, name pattern over spaced lower-case words.
+#: Label, keyword, name pattern over spaced lower-case words. Every match of a pattern holds its keyword.
 FAMILIES = [
     ("agpl", "affero", r"gnu affero general public licen[sc]e"),
     ("agpl", "agpl", r"agpl"),
@@ -59,7 +59,7 @@ FAMILIES = [
     ("unlicense", "unlicense", r"the unlicense"),
     ("wtfpl", "wtfpl", r"wtfpl"),
     ("ofl", "open font", r"(?:sil )?open font licen[sc]e"),
-    ("odbl", "open database", r"open (?:data commons )?(?:open )?database licen[sc]e"),
+    ("odbl", "database", r"open (?:data commons )?(?:open )?database licen[sc]e"),
     ("openrail", "openrail", r"(?:creativeml )?openrail(?: m)?(?: licen[sc]e)?"),
     ("ms-pl", "microsoft public", r"microsoft public licen[sc]e"),
     ("ms-rl", "microsoft reciprocal", r"microsoft reciprocal licen[sc]e"),
@@ -77,9 +77,9 @@ FAMILIES = [
     ("cc-by-sa", "cc by sa", r"cc by sa"),
     ("cc-by-nd", "cc by nd", r"cc by nd"),
     ("cc-by", "cc by", r"cc by"),
-    ("cc-by-nc-sa", "sharealike", r"creative commons attribution non ?commercial share ?alike"),
-    ("cc-by-nc-nd", "derivatives", r"creative commons attribution non ?commercial no ?derivatives"),
-    ("cc-by-nc", "commercial", r"creative commons attribution non ?commercial"),
+    ("cc-by-nc-sa", "creative commons", r"creative commons attribution non ?commercial share ?alike"),
+    ("cc-by-nc-nd", "creative commons", r"creative commons attribution non ?commercial no ?derivatives"),
+    ("cc-by-nc", "creative commons", r"creative commons attribution non ?commercial"),
     ("cc-by-sa", "creative commons", r"creative commons attribution share ?alike"),
     ("cc-by-nd", "creative commons", r"creative commons attribution no ?derivatives"),
     ("cc-by", "creative commons", r"creative commons attribution"),

@@ -260,3 +260,45 @@ def test_mixing_tells_long_texts_apart_by_word_counts(spark):
     got = {r.doc_id: r.p for r in mixing.posteriors(mixing.features(docs, config), model, config).select("doc_id", "p").collect()}
     assert model.domains == ("q0_t0", "q1_t0")
     assert all(got[k][k % 2] > 0.95 for k in range(20, 40))
+
+
+def _spellings(pattern):
+    """All texts of a pattern of letters, (?:a|b), [ab], [0-9] and ?; one letter stands for [a-z]+."""
+
+    def read(i):
+        done, now = [], [""]
+        while i < len(pattern) and pattern[i] != ")":
+            if pattern[i] == "|":
+                done, now, i = done + now, [""], i + 1
+                continue
+            if pattern.startswith("(?:", i):
+                got, i = read(i + 3)
+                i += 1
+            elif pattern[i] == "[":
+                end = pattern.index("]", i)
+                held = pattern[i + 1 : end]
+                got = [held[0]] if held == "a-z" else [chr(c) for c in range(ord(held[0]), ord(held[2]) + 1)] if held[1] == "-" else list(held)
+                i = end + 1 + (pattern[end + 1 : end + 2] == "+")
+            else:
+                got, i = [pattern[i]], i + 1
+            if pattern[i : i + 1] == "?":
+                got, i = ["", *got], i + 1
+            now = [a + b for a in now for b in got]
+        return done + now, i
+
+    return read(0)[0]
+
+
+def test_license_keywords_let_every_spelling_through(spark):
+    rows = [(label, x) for label, _, name in licenses.FAMILIES for x in _spellings(name)]
+    docs = spark.createDataFrame([(k, x) for k, (_, x) in enumerate(rows)], SCHEMA)
+    hits = {r.doc_id: set(r.labels) for r in licenses.scan(docs).selectExpr("doc_id", "transform(lic_hits, h -> h.label) as labels").collect()}
+    assert [rows[k] for k in range(len(rows)) if rows[k][0] not in hits[k]] == []
+    for keyword, name in ((k, n) for _, k, n in licenses.FAMILIES):
+        assert all(keyword in x for x in _spellings(name))
+
+
+def test_license_report_of_optional_spellings(spark):
+    rows = [(1, "Creative Commons Attribution-Noncommercial-Share Alike 3.0"), (2, "Open Data Commons Database License"), (3, "creative commons attribution no derivatives")]
+    got = {r.doc_id: r.labels for r in licenses.license_report(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert got == {1: "cc-by-nc-sa", 2: "odbl", 3: "cc-by-nd"}
