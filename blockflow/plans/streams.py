@@ -27,7 +27,9 @@ def stream_exact_dedup(spark: SparkSession, d: str) -> DataFrame:
     return drained(s.select("event_id"))
 
 
-@query("stream_session")
+@query("stream_session", "with s as (select *, sum(n) over (partition by user_id order by ts, event_id) as s from (select user_id, event_id, ts, case when ts > lag(ts) over (partition by user_id order by ts, event_id) + interval 12 hour then 1 else 0 end as n from events where ts is not null and user_id is not null)) select user_id, min(ts) as start_ts, max(ts) + interval 12 hour as end_ts, count(*) as n from s group by user_id, s")
 def stream_session(spark: SparkSession, d: str) -> DataFrame:
-    s = events(spark, d).where("ts is not null and user_id is not null").withWatermark("ts", "2 hours").groupBy("user_id", F.session_window("ts", "12 hours")).agg(F.count(F.lit(1)).alias("n"))
-    return drained(s.select("user_id", F.col("session_window.start").alias("start_ts"), F.col("session_window.end").alias("end_ts"), "n"))
+    """Sessions of a user, with those that are still open where the events end."""
+    s = events(spark, d).where("ts is not null and user_id is not null").groupBy("user_id", F.session_window("ts", "12 hours")).agg(F.count(F.lit(1)).alias("n"))
+    out = drained(s.select("user_id", F.col("session_window.start").alias("start_ts"), F.col("session_window.end").alias("end_ts"), "n"), "complete")
+    return out.withColumns({c: F.col(c).cast("timestamp_ntz") for c in ("start_ts", "end_ts")})

@@ -3,13 +3,17 @@
 from __future__ import annotations
 
 import math
+from datetime import datetime
 
+import pyarrow as pa
+import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
 
 from blockflow.operators import cleaning, flowvec, similarity
 from blockflow.operators import statistics as S
 from blockflow.operators.components import connected_components
+from blockflow.plans import registry
 
 BLOCK = "array<struct<n:bigint,a:string,b:string,cls:array<bigint>>>"
 
@@ -70,3 +74,16 @@ def test_impurity_cut(spark):
 @pytest.mark.parametrize(("n", "take"), [(1, 1), (5, 5), (6, 5), (20, 10), (21, 10), (100, 30), (101, 30), (500, 75), (501, 75), (938, 76), (1500, 120), (1576, 120)])
 def test_tiers(spark, n, take):
     assert spark.sql(f"select {S.TIER_SQL} as t from (select {n} as n)").first().t == take
+
+
+def test_stream_sessions_equal_batch(spark, tmp_path):
+    d = "/root/testdata/sf0.001"
+    # a gap of 12 hours, then one of a second more; a file, as the stream picks files by name
+    times = [datetime(2024, 1, 1), datetime(2024, 1, 1, 12), datetime(2024, 1, 2, 0, 0, 1)]
+    pq.write_table(pa.table({"event_id": [1, 2, 3], "user_id": [7, 7, 7], "ts": pa.array(times, pa.timestamp("us"))}), tmp_path / "events.parquet")
+    for at in (d, str(tmp_path)):
+        e = spark.read.parquet(f"{at}/events.parquet").where("ts is not null and user_id is not null")
+        batch = e.withColumn("ts", F.col("ts").cast("timestamp")).groupBy("user_id", F.session_window("ts", "12 hours")).agg(F.count(F.lit(1)).alias("n"))
+        want = sorted((r.user_id, r.s, r.t, r.n) for r in batch.selectExpr("user_id", "cast(session_window.start as timestamp_ntz) as s", "cast(session_window.end as timestamp_ntz) as t", "n").collect())
+        got = sorted((r.user_id, r.start_ts, r.end_ts, r.n) for r in registry.QUERIES["stream_session"](spark, at).collect())
+        assert got == want and sum(r[3] for r in got) == e.count()
