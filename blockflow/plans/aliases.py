@@ -1,4 +1,4 @@
-"""Alias queries on variants of part, nation and region names and on the hosts of pages."""
+"""Alias queries on variants of the names in `part` and on the hosts of `pages`; nation, region and supplier aren't read."""
 
 from __future__ import annotations
 
