@@ -3,14 +3,15 @@
 Each shard is one self-contained file image, kept as a row of a written table so that any store Spark writes to can hold
 it. Its layout, little-endian throughout:
 
-    magic "BFH1", u32 documents, u64 ids, u64 id of the shard's first token in the corpus, u32 ids a block, u32 blocks
+    magic "BFH1", u32 documents, u64 ids, u64 ids of its part before the shard, u32 ids a block, u32 blocks
     i64 doc_id of each document (the smallest value stands for none), u32 ids of each document
     u64 bit offset of each block
     the code bits, most significant first, and 8 bytes of zeros
 
 The code comes from the counts of all ids of the corpus: no code is longer than `limit` bits (package-merge finds the best
 such lengths), and codes of one length are numbered in ascending id order, so the lengths alone are the code book. Every
-block begins at its checkpoint and is decoded without the others, by one table lookup an id.
+block begins at its checkpoint and is decoded without the others, by one table lookup an id. A part is a run of documents
+that one task wrote; the manifest, a table beside the shards, says how many ids come before each part in the corpus.
 
 Defined cases: a null text is empty and gives the end id alone; rows that repeat a doc_id each stand for a document; an
 empty table gives no shards.
@@ -148,21 +149,23 @@ def decode_blocks(image: bytes, table: tuple[np.ndarray, np.ndarray, int], heade
     return flat
 
 
-_BLOB = "part int, seq int, doc_ids binary, counts binary, ids binary, n long"
+_BLOB = "part int, seq int, doc_ids binary, counts binary, ids binary, n long, first long"
 
 
 def _tokenized(path: str, end_id: int):
     from pyspark import TaskContext
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        enc, part, seq = encoder(path), TaskContext.get().partitionId(), 0
+        enc, part, seq, first = encoder(path), TaskContext.get().partitionId(), 0, 0
         held: list[tuple] = []
 
         def out() -> pa.RecordBatch:
+            nonlocal first
             docs, counts, ids = (np.concatenate(x) for x in zip(*held, strict=True))
-            row = [[part], [seq], [docs.tobytes()], [counts.tobytes()], [ids.tobytes()], [len(ids)]]
-            kinds = [pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.int64()]
-            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(row, kinds, strict=True)], names=["part", "seq", "doc_ids", "counts", "ids", "n"])
+            row = [[part], [seq], [docs.tobytes()], [counts.tobytes()], [ids.tobytes()], [len(ids)], [first]]
+            first += len(ids)
+            kinds = [pa.int32(), pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.int64(), pa.int64()]
+            return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(row, kinds, strict=True)], names=["part", "seq", "doc_ids", "counts", "ids", "n", "first"])
 
         for batch in batches:
             data, offsets = K.column_bytes(batch.column("text"))
@@ -220,7 +223,7 @@ def _read(lengths: np.ndarray):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = decode_table(lengths)
         for batch in batches:
-            for image in batch.column("image"):
+            for part, image in zip(batch.column("part"), batch.column("image"), strict=True):
                 raw = image.as_py()
                 h = shard_header(raw)
                 ids = decode_blocks(raw, table, h).astype("<u4")
@@ -229,17 +232,19 @@ def _read(lengths: np.ndarray):
                 view = memoryview(ids.tobytes())
                 crc = [zlib.crc32(view[4 * a : 4 * b]) for a, b in zip(begins.tolist(), ends.tolist(), strict=True)]
                 none = h["doc_ids"] == NO_ID
-                yield pa.RecordBatch.from_arrays([pa.array(h["doc_ids"], mask=none), pa.array(begins + h["first"]), pa.array(h["counts"].astype(np.int64)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
+                yield pa.RecordBatch.from_arrays(
+                    [pa.repeat(part, len(begins)), pa.array(h["doc_ids"], mask=none), pa.array(begins + h["first"]), pa.array(h["counts"].astype(np.int64)), pa.array(crc, pa.int64())],
+                    names=["part", "doc_id", "inside", "n_tokens", "ids_crc32"],
+                )
 
     return run
 
 
-def write_shards(docs: DataFrame, tokenizer: str, end_id: int) -> tuple[DataFrame, np.ndarray]:
-    """(part, seq, image) of every shard, written, and the code lengths that read them.
+def write_shards(docs: DataFrame, tokenizer: str, end_id: int) -> tuple[DataFrame, DataFrame, np.ndarray]:
+    """(part, seq, image) of every shard, written; the manifest (part, base); and the code lengths that read the shards.
 
     What the driver receives is one count for each id of the vocabulary.
     """
-    spark = docs.sparkSession
     enc = encoder(tokenizer)
     vocabulary, wide = max(enc.size, end_id + 1), enc.dtype.itemsize > 2
     tokens = token_table(docs, tokenizer, end_id)
@@ -247,16 +252,14 @@ def write_shards(docs: DataFrame, tokenizer: str, end_id: int) -> tuple[DataFram
     for row in tokens.select("ids").mapInArrow(_counted(vocabulary, wide), "id long, n long").groupBy("id").agg(F.sum("n").alias("n")).collect():
         counts[row["id"]] = row["n"]
     lengths = code_lengths(counts)
-    # one row for each shard, about a million ids: places of shards, then of parts
-    sums = tokens.groupBy("part").agg(F.sum("n").alias("total"))
+    # one row for each part, some sixty-four million bytes of text
     before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
-    bases = sums.select("part", F.coalesce(F.sum("total").over(before), F.lit(0)).alias("base"))
-    inside = Window.partitionBy("part").orderBy("seq").rowsBetween(Window.unboundedPreceding, -1)
-    places = tokens.select("part", "seq", F.coalesce(F.sum("n").over(inside), F.lit(0)).alias("ahead")).join(F.broadcast(bases), "part").select("part", "seq", (F.col("base") + F.col("ahead")).alias("first"))
-    placed = tokens.join(F.broadcast(places), ["part", "seq"]).select("part", "seq", "doc_ids", "counts", "ids", "first")
-    return materialize(placed.mapInArrow(_written(lengths, wide), "part int, seq int, image binary"), "shards", "uncompressed"), lengths
+    manifest = tokens.groupBy("part").agg(F.sum("n").alias("total")).select("part", F.coalesce(F.sum("total").over(before), F.lit(0)).alias("base"))
+    shards = tokens.select("part", "seq", "doc_ids", "counts", "ids", "first").mapInArrow(_written(lengths, wide), "part int, seq int, image binary")
+    return materialize(shards, "shards", "uncompressed"), materialize(manifest, "manifest"), lengths
 
 
-def read_shards(shards: DataFrame, lengths: np.ndarray) -> DataFrame:
-    """Per document, from the shards: doc_id, start, n_tokens, ids_crc32."""
-    return shards.select("image").mapInArrow(_read(lengths), "doc_id long, start long, n_tokens long, ids_crc32 long")
+def read_shards(shards: DataFrame, manifest: DataFrame, lengths: np.ndarray) -> DataFrame:
+    """Per document, from the shards: doc_id, start, n_tokens, ids_crc32. Only these rows meet the manifest."""
+    read = shards.select("part", "image").mapInArrow(_read(lengths), "part int, doc_id long, inside long, n_tokens long, ids_crc32 long")
+    return read.join(manifest, "part").select("doc_id", (F.col("base") + F.col("inside")).alias("start"), "n_tokens", "ids_crc32")
