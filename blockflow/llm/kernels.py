@@ -16,8 +16,8 @@ U64 = np.uint64
 #: Odd base of the rolling hashes, which work modulo 2**64, and its inverse.
 BASE = 0x9E3779B97F4A7C15
 _INVERSE = pow(BASE, -1, 1 << 64)
-#: Bytes of a slice, unless one text alone is longer.
-SLICE = 1 << 21
+#: Bytes of a slice, unless one text alone is longer; its temporary arrays stay near the caches.
+SLICE = 1 << 19
 
 _powers: list[np.ndarray] = [np.ones(1, U64), np.ones(1, U64)]
 

@@ -20,7 +20,11 @@ def estimated_bytes(df: DataFrame, text: str = "text") -> int:
 
 
 def ranged(docs: DataFrame, *columns: str) -> DataFrame:
-    """The columns of docs, range-partitioned by doc_id and sorted within; rows without a doc_id come first."""
+    """The columns of docs, range-partitioned by doc_id and sorted within; rows without a doc_id come first.
+
+    Rows that share a doc_id, or have none, are ranged further by the hash of their text, so that they don't all meet in one
+    task.
+    """
     picked = docs.select("doc_id", *columns)
     parts = max(int(picked.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-estimated_bytes(picked) // RANGE_BYTES))
-    return picked.repartitionByRange(parts, "doc_id").sortWithinPartitions("doc_id")
+    return picked.repartitionByRange(parts, "doc_id", F.xxhash64("text")).sortWithinPartitions("doc_id")
