@@ -129,10 +129,11 @@ def shingles(data: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np.ndar
 
 def distinct_sorted(values: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Each text's values sorted, without repeats."""
-    owner = np.repeat(np.arange(len(at) - 1), np.diff(at))
-    order = np.lexsort((values, owner))
-    values, owner = values[order], owner[order]
+    values, edges = values.copy(), at.tolist()
+    for a, b in zip(edges, edges[1:], strict=False):
+        if b - a > 1:
+            values[a:b].sort()
     keep = np.ones(len(values), bool)
-    keep[1:] = (values[1:] != values[:-1]) | (owner[1:] != owner[:-1])
-    values, owner = values[keep], owner[keep]
-    return values, np.searchsorted(owner, np.arange(len(at)), "left")
+    keep[1:] = values[1:] != values[:-1]
+    keep[at[:-1][at[:-1] < len(values)]] = True
+    return values[keep], np.append(0, np.cumsum(keep))[at]

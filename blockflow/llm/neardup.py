@@ -4,14 +4,21 @@ A document's set holds its distinct five-word shingles as 64-bit hashes. Its ske
 every element is placed into a random coordinate with value (i, hash); in round size + j every element is placed into
 coordinate j, which guarantees that all fill. A coordinate keeps the smallest value it gets, so rounds stop once all are
 filled, and the share of equal coordinates of two sketches is concentrated around the Jaccard similarity of the sets.
-Bands of `rows` coordinates make the candidates: at 32 bands of 4, a pair at similarity 0.85 shares no band with a chance of
-6e-11, and one at 0.80, where the pipeline's stage links, with a chance of 5e-8.
-
-Sets that are equal become one node first. In a bucket each node is compared with the bucket's smallest node, so a bucket of
-m nodes gives m - 1 pairs; links merge components. What a star can't tell is settled after that: nodes that buckets connect
-are a family, and where a family falls into several components, its nodes are laid out in blocks of bounded size and blocks
-are compared with each other, unless both lie in the same component. Only the links that full sets confirm leave a block.
-All comparisons use the full sets of the whole texts.
+Bands of `rows` coordinates make the candidates: at 48 bands of 6, a pair at similarity 0.85 shares no band with a chance of
+1e-10, and one at 0.80, where the pipeline's stage links, with a chance of 5e-7; one at 0.3 shares a band with a chance of
+0.03, so that texts with some boilerplate in common seldom meet.
+
+Sets that are equal become one node first. In a bucket each node is compared with the bucket's smallest node, the hub, unless
+their sizes alone rule a link out; so a bucket of m nodes gives m - 1 pairs, and links merge components. A hub's partners are
+dealt into chunks of bounded size, and its text goes to each chunk once.
+
+Where all nodes of a hub are one component then, nothing is left to find. The other hubs' nodes go on. Two sets that are
+similar enough have one of their rarest shingles in common: with all shingles in one order, rarest first, one of the first
+n - ceil(share n) + 1 of each. Nodes that such shingles connect are a family; boilerplate that many texts share connects
+nobody. The order comes from a sketch of counts of fixed size over the texts at hand. A family is laid out by size class,
+component and hash in blocks of bounded size, and blocks of equal or neighbouring size classes are compared with each other,
+unless both lie in the same component. Only the links that full sets confirm leave a block. So no task sees a whole bucket
+or family, and all comparisons use the full sets of the whole texts.
 
 Defined cases: null and empty texts, and texts without words, have empty sets and are linked with nothing; equal texts are
 linked; a row without doc_id is its own class with a null id; an empty table gives an empty result; a doc_id stands for one
@@ -25,7 +32,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from blockflow.llm import kernels as K
@@ -38,65 +45,53 @@ U64 = np.uint64
 @dataclass(frozen=True)
 class NearDupConfig:
     width: int = 5
-    bands: int = 32
-    rows: int = 4
+    bands: int = 48
+    rows: int = 6
     #: A link: share_of * intersection >= share * union.
     share: int = 85
     share_of: int = 100
-    #: Shingles of a block.
+    #: Shingles of a block or chunk.
     block: int = 40_000
+    #: Counters of the sketch of shingle counts, as a power of two.
+    count_bits: int = 18
 
     @property
     def size(self) -> int:
         return self.bands * self.rows
 
 
+#: Rounds in which elements go where their hashes say, at these steps; later rounds take the coordinates in turn.
+STEPS = (0, 1, 2, 4, 8, 16, 32, 64)
+_OPEN = ~U64(0)
+
+
 def sketch(values: np.ndarray, at: np.ndarray, size: int) -> np.ndarray:
     """One row of `size` coordinates for each text with elements; zeros for one without.
 
-    A coordinate's value is a scrambling of (round, hash), and the smallest hash of the first round that reaches it wins.
+    A coordinate's value is (round, hash) in one number, and the smallest stays; so what comes in later rounds never
+    replaces anything, and rounds are worked off several at a time over the texts that still have open coordinates.
     """
     n = len(at) - 1
-    out = np.zeros((n, size), U64)
-    todo = np.flatnonzero(np.diff(at) > 0)
-    counts = np.diff(at)
-    filled = np.zeros((n, size), bool)
-    elements = values
-    owner = np.repeat(np.arange(n), counts)
-    bits = U64(64 - int(size).bit_length() + 1)
-    for i in range(2 * size):
-        if not len(todo):
+    out = np.full(n * size, _OPEN)
+    owner, elements = np.repeat(np.arange(n), np.diff(at)), values
+    for begin, end in zip(STEPS, STEPS[1:], strict=False):
+        rounds = np.arange(begin, end, dtype=U64)
+        h = K.mix((elements[None, :] + ((rounds + U64(1)) * U64(0xA0761D6478BD642F))[:, None]).ravel())
+        flat = np.tile(owner * size, len(rounds)) + (((h >> U64(32)) * U64(size)) >> U64(32)).astype(np.int64)
+        np.minimum.at(out, flat, np.repeat(rounds << U64(57), len(elements)) | (K.mix(h) >> U64(7)))
+        stay = (out.reshape(n, size) == _OPEN).any(axis=1)[owner]
+        elements, owner = elements[stay], owner[stay]
+        if not len(elements):
             break
-        h = K.mix(elements + U64((0xA0761D6478BD642F * (i + 1)) & 0xFFFFFFFFFFFFFFFF))
-        place = (h >> bits).astype(np.int64) if size & (size - 1) == 0 else (h % U64(size)).astype(np.int64)
-        if i >= size:
-            place = np.full(len(h), i - size)
-        h = K.mix(h)
-        flat = owner * size + place
-        open_ = ~filled.ravel()[flat]
-        flat, h = flat[open_], h[open_]
-        if len(flat):
-            low = np.full(n * size, ~U64(0)) if len(flat) > n * size // 8 else None
-            if low is not None:
-                np.minimum.at(low, flat, h)
-                got = np.flatnonzero(low != ~U64(0))
-                won = low[got]
-            else:
-                order = np.lexsort((h, flat))
-                flat, h = flat[order], h[order]
-                first = np.ones(len(flat), bool)
-                first[1:] = flat[1:] != flat[:-1]
-                got, won = flat[first], h[first]
-            out.ravel()[got] = won
-            filled.ravel()[got] = True
-        left = ~filled[todo].all(axis=1)
-        if not left.all():
-            todo = todo[left]
-            stay = np.zeros(n, bool)
-            stay[todo] = True
-            keep = stay[owner]
-            elements, owner = elements[keep], owner[keep]
-    return out
+    rows = out.reshape(n, size)
+    turns = (np.arange(STEPS[-1], STEPS[-1] + size, dtype=U64) + U64(1)) * U64(0xA0761D6478BD642F)
+    for i in range(0, len(elements), 4096):
+        part, mine = elements[i : i + 4096], owner[i : i + 4096]
+        keys = U64(STEPS[-1] << 57) | (K.mix(K.mix(part[:, None] + turns[None, :])) >> U64(7))
+        heads = np.flatnonzero(np.append(True, mine[1:] != mine[:-1]))
+        rows[mine[heads]] = np.minimum(rows[mine[heads]], np.minimum.reduceat(keys, heads, axis=0))
+    rows[np.diff(at) == 0] = 0
+    return rows
 
 
 def band_keys(sketches: np.ndarray, bands: int) -> np.ndarray:
@@ -134,39 +129,59 @@ def sketch_documents(docs: DataFrame, config: NearDupConfig) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(_sketched(config), "doc_id long, n_shingles long, d1 long, d2 long, bands array<long>")
 
 
-def _verified(config: NearDupConfig):
-    def sets(column, cache: dict) -> tuple[np.ndarray, np.ndarray]:
-        return K.distinct_sorted(*K.shingles(*K.column_bytes(column), config.width))
+def _sets(config: NearDupConfig, texts) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+    """(first text, shingles, offsets) of a column's texts, a slice at a time."""
+    data, offsets = K.column_bytes(texts)
+    for i, j in K.slices(offsets):
+        yield i, *K.distinct_sorted(*K.shingles(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], config.width))
+
+
+def _similar(config: NearDupConfig, both, x, y):
+    return (both > 0) & (config.share_of * both >= config.share * (x + y - both))
+
 
+def _common(x: np.ndarray, y: np.ndarray) -> int:
+    """The size of the intersection of two sorted sets."""
+    if len(x) > len(y):
+        x, y = y, x
+    at = np.searchsorted(y, x)
+    return int((y[np.minimum(at, len(y) - 1)] == x).sum()) if len(x) else 0
+
+
+def _verified(config: NearDupConfig):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        # rows come ordered by chunk, its hub first; the hub's set stays for the chunk, which batches may cut
+        hub, whole = None, np.zeros(0, U64)
         for batch in batches:
-            # pairs come ordered by their left side, whose text is sent once in a run of pairs
-            left = np.asarray(batch.column("a"))
-            new = np.append(True, left[1:] != left[:-1]) if len(left) else np.zeros(0, bool)
-            heads = np.flatnonzero(new)
-            group = np.cumsum(new) - 1
-            lsets = sets(batch.column("text_a").take(pa.array(heads)), {})
-            step = 256
-            ok = np.zeros(len(left), bool)
-            for i in range(0, len(left), step):
-                rsets = sets(batch.column("text_b").slice(i, step), {})
-                for k in range(len(rsets[1]) - 1):
-                    x = lsets[0][lsets[1][group[i + k]] : lsets[1][group[i + k] + 1]]
-                    y = rsets[0][rsets[1][k] : rsets[1][k + 1]]
-                    both = len(np.intersect1d(x, y, assume_unique=True))
-                    ok[i + k] = both > 0 and config.share_of * both >= config.share * (len(x) + len(y) - both)
-            keep = pa.array(ok)
-            yield pa.RecordBatch.from_arrays([batch.column("a").filter(keep), batch.column("b").filter(keep)], names=["a", "b"])
+            heads, node, is_node = (batch.column(k).to_pylist() for k in ("hub", "node", "is_node"))
+            a, b = [], []
+            for i, values, at in _sets(config, batch.column("text")):
+                for k in range(len(at) - 1):
+                    mine = values[at[k] : at[k + 1]]
+                    if not is_node[i + k]:
+                        hub, whole = heads[i + k], mine
+                    elif heads[i + k] == hub and _similar(config, _common(whole, mine), len(whole), len(mine)):
+                        a.append(hub)
+                        b.append(node[i + k])
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
     return run
 
 
+def _sizes_allow(config: NearDupConfig, x: str, y: str) -> Column:
+    return F.expr(f"{config.share_of} * least({x}, {y}) >= {config.share} * greatest({x}, {y})")
+
+
 def verify(pairs: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataFrame:
-    """Those pairs (a, b) of doc_ids whose full shingle sets are similar enough; texts has doc_id and text."""
-    right = texts.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b"))
-    left = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a"))
-    joined = pairs.join(right, "b").join(left, "a").select("a", "b", "text_a", "text_b")
-    return joined.mapInArrow(_verified(config), "a long, b long")
+    """Those pairs (hub, node, n) whose full shingle sets are similar enough, as (a, b); n is the size of the node's set.
+
+    texts has doc_id and text.
+    """
+    chunks = pairs.groupBy("hub").agg(F.ceil(F.sum("n") / config.block).alias("chunks"))
+    dealt = pairs.join(chunks, "hub").select("hub", F.pmod(F.xxhash64("node"), "chunks").alias("chunk"), "node", F.lit(True).alias("is_node"))
+    heads = dealt.select("hub", "chunk").distinct().select("hub", "chunk", F.col("hub").alias("node"), F.lit(False).alias("is_node"))
+    full = dealt.union(heads).join(texts.select(F.col("doc_id").alias("node"), "text"), "node").select("hub", "chunk", "is_node", "node", "text")
+    return full.repartition("hub", "chunk").sortWithinPartitions("hub", "chunk", "is_node").mapInArrow(_verified(config), "a long, b long")
 
 
 def _overlaps(x: tuple[np.ndarray, np.ndarray], y: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
@@ -199,59 +214,117 @@ def _compared(config: NearDupConfig):
                 x, y = left.values, right.values
                 xs, ys = sets(x.field("text")), sets(y.field("text"))
                 both = _overlaps(xs, ys)
-                union = np.diff(xs[1])[:, None] + np.diff(ys[1])[None, :] - both
+                like = _similar(config, both, np.diff(xs[1])[:, None], np.diff(ys[1])[None, :])
                 a, b = np.asarray(x.field("node")), np.asarray(y.field("node"))
                 open_ = np.asarray(x.field("root"))[:, None] != np.asarray(y.field("root"))[None, :]
-                i, j = np.nonzero((config.share_of * both >= config.share * union) & open_ & (both > 0))
+                i, j = np.nonzero(like & open_)
                 yield pa.RecordBatch.from_arrays([pa.array(a[i]), pa.array(b[j])], names=["a", "b"])
 
     return run
 
 
-def _family_links(rows: DataFrame, pairs: DataFrame, links: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataFrame:
-    """Links across the components of a family, from comparing its blocks."""
-    families = connected_components(pairs).select("node", F.col("root").alias("family"))
-    roots = connected_components(links)
-    sizes = rows.select("node", "n").distinct()
-    placed = families.join(sizes, "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+def _counted(config: NearDupConfig):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total = np.zeros(1 << config.count_bits, np.int64)
+        for batch in batches:
+            for _, values, _ in _sets(config, batch.column("text")):
+                total += np.bincount((values >> U64(64 - config.count_bits)).astype(np.int64), minlength=len(total))
+        place = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(place), pa.array(total[place])], names=["place", "n"])
+
+    return run
+
+
+def _rarest(config: NearDupConfig, counts: np.ndarray):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            node, root = np.asarray(batch.column("node")), np.asarray(batch.column("root"))
+            for i, values, at in _sets(config, batch.column("text")):
+                owner = np.repeat(np.arange(len(at) - 1), np.diff(at))
+                order = np.lexsort((values, counts[(values >> U64(64 - config.count_bits)).astype(np.int64)], owner))
+                place = np.arange(len(values)) - at[:-1][owner]
+                n = np.diff(at)
+                wanted = n - -(-config.share * n // config.share_of) + 1
+                keep = place < wanted[owner]
+                owner = owner[keep] + i
+                yield pa.RecordBatch.from_arrays([pa.array(values[order][keep].view(np.int64)), pa.array(node[owner]), pa.array(root[owner])], names=["shingle", "node", "root"])
+
+    return run
+
+
+def _families(open_: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataFrame:
+    """(node, family) of the nodes whose rarest shingles connect different components. open_: node, root, n."""
+    full = open_.join(texts.select(F.col("doc_id").alias("node"), "text"), "node")
+    counts = np.zeros(1 << config.count_bits, np.int64)
+    # the sketch has a fixed number of counters, whatever the input
+    for row in full.select("text").mapInArrow(_counted(config), "place long, n long").groupBy("place").agg(F.sum("n").alias("n")).collect():
+        counts[row["place"]] = row["n"]
+    rare = materialize(full.select("node", "root", "text").mapInArrow(_rarest(config, counts), "shingle long, node long, root long"), "rare")
+    mixed = rare.groupBy("shingle").agg(F.min("node").alias("hub"), F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("shingle", "hub")
+    stars = rare.join(mixed, "shingle").where("hub < node").select(F.col("hub").alias("a"), F.col("node").alias("b"))
+    return connected_components(stars).withColumnRenamed("root", "family")
+
+
+def _family_links(open_: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataFrame:
+    """Links across components between the nodes of a family, from comparing its blocks. open_: node, root, n."""
+    width = np.log(config.share_of / config.share) * (1 + 1e-9)
+    placed = open_.join(_families(open_, texts, config), "node").withColumn("cls", F.floor(F.ln("n") / F.lit(float(width))))
     placed = materialize(placed, "families")
-    mixed = placed.groupBy("family").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("family")
-    # components lie together, so that most blocks of a large one hold nothing else
-    order = Window.partitionBy("family").orderBy("root", "node").rowsBetween(Window.unboundedPreceding, 0)
-    blocked = placed.join(mixed, "family", "left_semi").withColumn("block", F.floor((F.sum("n").over(order) - F.col("n")) / config.block))
+    weight = placed.groupBy("family", "cls", "root").agg(F.sum("n").alias("w"))
+    small = weight.where(F.col("w") < config.block).groupBy("family", "cls").agg(F.ceil(F.sum("w") / config.block).alias("k"))
+    # a large component has blocks of its own, small ones share blocks
+    shape = weight.join(small, ["family", "cls"], "left").select(
+        "family", "cls", "root", (F.col("w") >= config.block).alias("big"), F.when(F.col("w") >= config.block, F.ceil(F.col("w") / config.block)).otherwise(F.col("k")).alias("k")
+    )
+    at = F.when(F.col("big"), F.pmod(F.xxhash64("node"), "k")).otherwise(F.pmod(F.xxhash64("root"), "k"))
+    block = F.struct("big", F.when(F.col("big"), F.col("root")).otherwise(F.lit(0)).alias("owner"), at.alias("at"))
+    blocked = placed.join(shape, ["family", "cls", "root"]).select("family", "cls", block.alias("block"), "node", "root")
     full = blocked.join(texts.select(F.col("doc_id").alias("node"), "text"), "node")
-    blocks = materialize(full.groupBy("family", "block").agg(F.collect_list(F.struct("node", "root", "text")).alias("held"), F.min("root").alias("lo"), F.max("root").alias("hi")), "blocks")
-    thin = blocks.select("family", "block", "lo", "hi")
-    other = thin.select("family", F.col("block").alias("other"), F.col("lo").alias("other_lo"), F.col("hi").alias("other_hi"))
-    wanted = thin.join(other, "family").where("block <= other and not (lo = hi and other_lo = other_hi and lo = other_lo)").select("family", "block", "other")
-    left = blocks.select("family", "block", F.col("held").alias("left"))
-    right = blocks.select("family", F.col("block").alias("other"), F.col("held").alias("right"))
-    dealt = wanted.join(left, ["family", "block"]).join(right, ["family", "other"]).select("left", "right")
+    blocks = materialize(full.groupBy("family", "cls", "block").agg(F.collect_list(F.struct("node", "root", "text")).alias("held"), F.min("root").alias("lo"), F.max("root").alias("hi")), "blocks")
+    thin = blocks.select("family", "cls", "block", "lo", "hi")
+    ahead = thin.select("family", F.explode(F.array("cls", F.col("cls") - 1)).alias("cls"), F.col("cls").alias("other_cls"), F.col("block").alias("other"), F.col("lo").alias("other_lo"), F.col("hi").alias("other_hi"))
+    wanted = thin.join(ahead, ["family", "cls"]).where("(other_cls > cls or block <= other) and not (lo = hi and other_lo = other_hi and lo = other_lo)")
+    wanted = wanted.select("family", "cls", "block", "other_cls", "other")
+    left = blocks.select("family", "cls", "block", F.col("held").alias("left"))
+    right = blocks.select("family", F.col("cls").alias("other_cls"), F.col("block").alias("other"), F.col("held").alias("right"))
+    dealt = wanted.join(left, ["family", "cls", "block"]).join(right, ["family", "other_cls", "other"]).select("left", "right")
     return dealt.mapInArrow(_compared(config), "a long, b long")
 
 
+#: Ways that the rows of a class of equal sets are dealt to, so that no task gets all copies of one text.
+COPIES = 16
+
+
 def near_duplicates(docs: DataFrame, config: NearDupConfig = NearDupConfig()) -> DataFrame:
     """One row per input row: doc_id, n_shingles, component_id (smallest doc_id that links reach), kept."""
     sketched = materialize(sketch_documents(docs, config), "sketches")
     member = sketched.where("n_shingles > 0").select("doc_id", "n_shingles", "d1", "d2")
-    nodes = member.groupBy("d1", "d2", "n_shingles").agg(F.min("doc_id").alias("node")).where("node is not null")
+    classes = materialize(member.groupBy("d1", "d2", "n_shingles").agg(F.min("doc_id").alias("node"), F.count(F.lit(1)).alias("copies")).where("node is not null"), "classes")
     bands = (
-        sketched.join(nodes.select(F.col("node").alias("doc_id")), "doc_id", "left_semi")
+        sketched.join(classes.select(F.col("node").alias("doc_id")), "doc_id", "left_semi")
         .where("n_shingles > 0")
         .select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
     )
-    shared = bands.groupBy("key").agg(F.min("node").alias("hub"), F.max("node").alias("last")).where("hub < last").select("key", "hub")
+    shared = bands.groupBy("key").agg(F.min(F.struct("node", "n")).alias("hub"), F.max("node").alias("last")).where("hub.node < last")
     # only buckets with two nodes or more matter from here on
-    rows = materialize(bands.join(shared, "key").select("hub", "node", "n").distinct(), "buckets")
+    rows = materialize(bands.join(shared.select("key", F.col("hub.node").alias("hub"), F.col("hub.n").alias("hub_n")), "key").select("hub", "hub_n", "node", "n").distinct(), "buckets")
     in_play = rows.select(F.col("node").alias("doc_id")).distinct()
     texts = materialize(docs.select("doc_id", "text").join(in_play, "doc_id", "left_semi"), "texts")
-    pairs = rows.where("hub < node").select(F.col("hub").alias("a"), F.col("node").alias("b")).distinct()
+    pairs = rows.where("hub < node").where(_sizes_allow(config, "n", "hub_n")).select("hub", "node", "n")
     links = materialize(verify(pairs, texts, config), "verified")
-    more = _family_links(rows, pairs, links, texts, config)
-    roots = connected_components(links.union(more))
-    known = sketched.select("doc_id", "n_shingles", "d1", "d2").join(nodes, ["d1", "d2", "n_shingles"], "left")
-    placed = known.join(roots.select("node", "root"), "node", "left")
-    component = F.coalesce("root", "node", "doc_id")
+    roots = materialize(connected_components(links), "roots")
+    # hubs whose nodes aren't all in one component leave pairs to look at
+    rooted = rows.select("hub", "node", "n").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    split = rooted.groupBy("hub").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("hub")
+    open_ = materialize(rooted.join(split, "hub", "left_semi").select("node", "root", "n").distinct(), "open")
+    if not open_.isEmpty():
+        links = links.union(materialize(_family_links(open_, texts, config), "family-links"))
+        roots = materialize(connected_components(links), "roots")
+    # rows find their class by its digests and one of several ways; only classes with copies need this
+    doubled = classes.where("copies > 1").join(roots, "node", "left").select("d1", "d2", "n_shingles", F.coalesce("root", "node").alias("class_root"), F.explode(F.sequence(F.lit(0), F.lit(COPIES - 1))).alias("way"))
+    known = sketched.select("doc_id", "n_shingles", "d1", "d2", F.pmod(F.xxhash64("doc_id"), F.lit(COPIES)).cast("int").alias("way"))
+    placed = known.join(roots.select(F.col("node").alias("doc_id"), "root"), "doc_id", "left").join(doubled, ["d1", "d2", "n_shingles", "way"], "left")
+    component = F.when(F.col("doc_id").isNotNull(), F.coalesce("class_root", "root", "doc_id"))
     return placed.select("doc_id", "n_shingles", component.alias("component_id"), F.coalesce(F.col("doc_id") == component, F.lit(True)).alias("kept"))
 
 
