@@ -13,7 +13,7 @@ from blockflow.session import materialize
 
 def sample_frame(func: DataFrame, calls: DataFrame, cfg: FeatureConfig = FeatureConfig()) -> DataFrame:
     """id, shape, cls, vec_digest of every sample that has functions."""
-    vectors = flowvec.build(func, depth="z" in features.shape_of(cfg))
+    vectors = flowvec.build(func)
     return features.sample_vectors(vectors, calls, cfg).withColumnRenamed("sample_id", "id")
 
 
@@ -21,7 +21,7 @@ def pairs_of(vectors: DataFrame, cfg: FeatureConfig = FeatureConfig(), tau: floa
     """Accepted pairs between distinct vectors, and (id, head) of all."""
     heads, members = similarity.collapse(vectors.select("id", "shape", "cls", "vec_digest"))
     heads, members = materialize(heads, "heads"), materialize(members, "members")
-    return materialize(similarity.grid_pairs(heads, tau, cfg.gamma, cfg.metric), "pairs"), members
+    return materialize(similarity.grid_pairs(heads, tau, cfg.gamma, cfg.metric, wide=True), "pairs"), members
 
 
 def roots_of(pairs: DataFrame, members: DataFrame) -> DataFrame:
@@ -29,11 +29,18 @@ def roots_of(pairs: DataFrame, members: DataFrame) -> DataFrame:
     return members.join(roots, members["head"] == roots["node"], "left").select("id", F.coalesce("root", "head").alias("root"))
 
 
-def within_groups(roots: DataFrame, grp: DataFrame) -> DataFrame:
-    """Roots of clusters that never leave a group: the smallest id of the cluster in the group."""
-    g = roots.join(grp, "id")
-    low = g.groupBy("root", "grp").agg(F.min("id").alias("low"))
-    return g.join(low, ["root", "grp"]).select("id", F.col("low").alias("root"))
+def within_groups(pairs: DataFrame, members: DataFrame, grp: DataFrame) -> DataFrame:
+    """(id, root) of merging inside groups only: a pair counts where both sides occur in a group, and links its members there.
+
+    members: id, head; grp: id, grp. A vector's members in a group stand for it by the smallest id.
+    """
+    g = members.join(grp, "id")
+    reps = g.groupBy("grp", "head").agg(F.min("id").alias("rep"))
+    a, b = reps.toDF("grp", "id_a", "a"), reps.toDF("grp", "id_b", "b")
+    links = pairs.select("id_a", "id_b").join(a, "id_a").join(b, ["grp", "id_b"]).select("a", "b")
+    roots = connected_components(links)
+    placed = g.join(reps, ["grp", "head"])
+    return placed.join(roots, placed["rep"] == roots["node"], "left").select("id", F.coalesce("root", "rep").alias("root"))
 
 
 def keep_representatives(roots: DataFrame, order: DataFrame) -> DataFrame:
@@ -55,14 +62,20 @@ def prefilter(pairs: DataFrame, tau: float, verify: Column) -> DataFrame:
     return pairs.where(F.col("s") >= tau).where(verify)
 
 
-def increment(new: DataFrame, index: DataFrame, roots: DataFrame, cfg: FeatureConfig, tau: float = SAMPLE_TAU) -> DataFrame:
-    """(id, root) after a batch: new vectors meet themselves and the index; links join old roots."""
-    both = index.select("id", "shape", "cls", "vec_digest").withColumn("cf_new", F.lit(0)).union(new.select("id", "shape", "cls", "vec_digest").withColumn("cf_new", F.lit(1)))
-    exact = both.groupBy("vec_digest").agg(F.min("id").alias("head"), F.max("cf_new").alias("touched")).where("touched = 1")
-    same = new.select("id", "vec_digest").join(exact, "vec_digest").where("id <> head").select(F.col("head").alias("a"), F.col("id").alias("b"))
-    heads = both.groupBy("vec_digest").agg(F.min_by(F.struct("id", "shape", "cls"), "id").alias("v")).select("v.*")
-    found = similarity.grid_pairs(materialize(heads, "heads"), tau, cfg.gamma, cfg.metric).select(F.col("id_a").alias("a"), F.col("id_b").alias("b"))
-    old = roots.where("id <> root").select(F.col("root").alias("a"), F.col("id").alias("b"))
-    merged = connected_components(same.union(found).union(old))
-    every = roots.select("id").union(new.select("id"))
-    return materialize(every.join(merged, every["id"] == merged["node"], "left").select("id", F.coalesce("root", "id").alias("root")), "roots")
+def increment(new: DataFrame, index: DataFrame, roots: DataFrame, cfg: FeatureConfig, tau: float = SAMPLE_TAU) -> tuple[DataFrame, DataFrame]:
+    """(index, roots) after a batch: only new vectors are compared, with each other and with the index.
+
+    new: id, shape, cls, vec_digest; index: the same columns of the distinct vectors so far; roots: (id, root) so far.
+    """
+    batch, _ = similarity.collapse(new.select("id", "shape", "cls", "vec_digest"))
+    heads = batch.join(new.select("id", "vec_digest"), "id")
+    fresh = materialize(heads.join(index.select("vec_digest"), "vec_digest", "left_anti").select("id", "shape", "cls", "vec_digest"), "fresh")
+    every = materialize(index.unionByName(fresh), "index")
+    same = new.select("id", "vec_digest").join(every.select("vec_digest", F.col("id").alias("head")), "vec_digest").where("id <> head").select(F.col("head").alias("a"), F.col("id").alias("b"))
+    inside = similarity.grid_pairs(fresh, tau, cfg.gamma, cfg.metric, wide=True)
+    found = inside.union(similarity.grid_between(fresh, index, tau, cfg.gamma, cfg.metric, wide=True)).select(F.col("id_a").alias("a"), F.col("id_b").alias("b"))
+    # old components take part by their roots alone
+    links = same.union(found).join(roots.toDF("a", "ra"), "a", "left").join(roots.toDF("b", "rb"), "b", "left").select(F.coalesce("ra", "a").alias("a"), F.coalesce("rb", "b").alias("b"))
+    merged = materialize(connected_components(materialize(links, "links")), "merged")
+    known = roots.union(new.select("id", F.col("id").alias("root")))
+    return every, materialize(known.join(merged, known["root"] == merged["node"], "left").select("id", F.coalesce(merged["root"], known["root"]).alias("root")), "roots")

@@ -2,44 +2,58 @@
 
 Flow edges: to the next block; to the next block with the same forward key; to the previous block with the same back key;
 each once. An edge counts both of its ends, so every sum over edges is a sum over blocks weighted by the ends that lie in
-it. Loop depth of a block is the number of back edges around it. A function without edges has zeros.
+it. Loop depth of a block is the number of back edges around it. A function without edges has zeros. The work grows with the
+blocks of a function, times the logarithm that sorting takes.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-_EDGES = """array_distinct(flatten(transform(blocks, (x, i) -> filter(array(
-    if(i + 1 < size(blocks), named_struct('src', i, 'dst', i + 1), null),
-    if(array_position(slice(cf_a, i + 2, size(cf_a)), x.a) > 0, named_struct('src', i, 'dst', cast(i + array_position(slice(cf_a, i + 2, size(cf_a)), x.a) as int)), null),
-    if(i > 0 and array_position(reverse(slice(cf_b, 1, i)), x.b) > 0, named_struct('src', i, 'dst', cast(i - array_position(reverse(slice(cf_b, 1, i)), x.b) as int)), null)
-), e -> e is not null))))"""
+#: Places of the blocks with the same key before and after each block, -1 where there is none, in block order. Sorting by
+#: (key, place) brings equal keys together, so this is n log n whatever the length of a function.
+_NEAR = """transform(sort_array(transform({sorted}, (x, k) -> named_struct('i', x.i,
+    'before', if(k > 0 and get({sorted}, k - 1).key <=> x.key, get({sorted}, k - 1).i, -1),
+    'after', if(get({sorted}, k + 1) is not null and get({sorted}, k + 1).key <=> x.key, get({sorted}, k + 1).i, -1)))), x -> struct(x.before, x.after))"""
 
-_BACK = """filter(transform(blocks, (x, i) -> if(i > 0 and array_position(reverse(slice(cf_b, 1, i)), x.b) > 0,
-    named_struct('src', i, 'dst', cast(i - array_position(reverse(slice(cf_b, 1, i)), x.b) as int)), null)), e -> e is not null)"""
+#: A block's out-degree and edge ends follow from its neighbours: the next block, the one ahead with its forward key unless
+#: that is the next block, the one behind with its back key, and the same seen from their ends.
+_OUT = "if(i + 1 < size(blocks), 1, 0) + if(cf_a[i].after > i + 1, 1, 0) + if(cf_b[i].before >= 0, 1, 0)"
+_IN = "if(i > 0, 1, 0) + if(cf_a[i].before >= 0 and cf_a[i].before < i - 1, 1, 0) + if(cf_b[i].after >= 0, 1, 0)"
 
+#: One pass over the blocks. Depth of a block is the number of back edges that began at or before it and haven't ended.
+_START = "named_struct('omega', 0L, 'xn', 0L, 'yn', 0L, 'zn', 0L, 'outs', 0L, 'open', 0L, 'cls', array_repeat(0L, 9))"
+_STEP = """named_struct('omega', s.omega + v.ends * v.n, 'xn', s.xn + v.ends * v.n * v.i, 'yn', s.yn + v.ends * v.n * v.outs,
+    'zn', s.zn + v.ends * v.n * (s.open + v.opens), 'outs', s.outs + v.outs, 'open', s.open + v.opens - v.closes,
+    'cls', zip_with(s.cls, v.cls, (p, q) -> p + v.ends * q))"""
 
-def with_edges(func: DataFrame, depth: bool = True) -> DataFrame:
-    """Add edges and, for each block, out-degree, incident edge ends and loop depth."""
-    keyed = func.withColumn("cf_a", F.col("blocks.a")).withColumn("cf_b", F.col("blocks.b"))
-    keyed = keyed.withColumn("edges", F.expr(_EDGES)).withColumn("cf_back", F.expr(_BACK) if depth else F.expr("cast(array() as array<struct<src:int,dst:int>>)"))
-    full = """transform(blocks, (x, i) -> named_struct('n', x.n, 'cls', x.cls, 'out', cast(size(filter(edges, e -> e.src = i)) as bigint),
-        'ends', cast(size(filter(edges, e -> e.src = i)) + size(filter(edges, e -> e.dst = i)) as bigint), 'depth', cast(size(filter(cf_back, e -> e.dst <= i and i <= e.src)) as bigint)))"""
-    return keyed.withColumn("blocks", F.expr(full)).drop("cf_a", "cf_b", "cf_back")
 
+def edge_list() -> Column:
+    """The flow edges of `blocks` as text, src-dst with commas, in order; for single functions to be shown."""
+    ahead = "transform(blocks, (y, j) -> if(j > i and y.a <=> x.a, j, null))"
+    behind = "transform(blocks, (y, j) -> if(j < i and y.b <=> x.b, j, null))"
+    ends = f"array_sort(array_distinct(array_compact(array(if(i + 1 < size(blocks), i + 1, null), array_min({ahead}), array_max({behind})))))"
+    return F.array_join(F.expr(f"flatten(transform(blocks, (x, i) -> transform({ends}, e -> concat(i, '-', e))))"), ",")
 
-def build(func: DataFrame, depth: bool = True, min_blocks: int = 1, x_offset: float = 0.0, ignore_weight: float = 1.0) -> DataFrame:
+
+def with_flow(func: DataFrame) -> DataFrame:
+    """Replace each block by n, cls, i, outs (out-degree), ends (incident edge ends), opens and closes (back edges)."""
+    ordered = lambda key: F.expr(f"sort_array(transform(blocks, (x, i) -> named_struct('key', x.{key}, 'i', i)))")
+    placed = func.withColumns({"cf_sa": ordered("a"), "cf_sb": ordered("b")})
+    placed = placed.withColumns({"cf_a": F.expr(_NEAR.format(sorted="cf_sa")), "cf_b": F.expr(_NEAR.format(sorted="cf_sb"))})
+    full = f"""transform(blocks, (x, i) -> named_struct('n', x.n, 'cls', x.cls, 'i', i, 'outs', {_OUT}, 'ends', {_OUT} + {_IN},
+        'opens', if(cf_b[i].after >= 0, 1, 0), 'closes', if(cf_b[i].before >= 0, 1, 0)))"""
+    return placed.withColumn("blocks", F.expr(full)).drop("cf_a", "cf_b", "cf_sa", "cf_sb")
+
+
+def build(func: DataFrame, min_blocks: int = 1, x_offset: float = 0.0, ignore_weight: float = 1.0) -> DataFrame:
     """sample_id, func_id, grp, n_blocks, n_edges, omega, xn, yn, zn, cls, x, y, z; trivial functions go first."""
-    kept = with_edges(func.where(F.size("blocks") >= min_blocks), depth)
-    total = lambda f: F.expr(f"aggregate(transform(blocks, (v, i) -> {f}), cast(0 as bigint), (a, v) -> a + v)")
-    cls = F.expr("transform(sequence(0, 8), k -> aggregate(transform(blocks, v -> v.ends * v.cls[k]), cast(0 as bigint), (a, v) -> a + v))")
+    kept = with_flow(func.where(F.size("blocks") >= min_blocks))
+    summed = kept.select("sample_id", "func_id", "grp", F.size("blocks").alias("n_blocks"), F.expr(f"aggregate(blocks, {_START}, (s, v) -> {_STEP})").alias("cf_s"))
+    out = summed.select("sample_id", "func_id", "grp", "n_blocks", F.col("cf_s.outs").cast("int").alias("n_edges"), *[f"cf_s.{k}" for k in ("omega", "xn", "yn", "zn", "cls")])
     if ignore_weight != 1.0:
-        cls = F.transform(cls, lambda v, k: F.when(k == 8, v * ignore_weight).otherwise(v).cast("double"))
-    out = kept.select(
-        "sample_id", "func_id", "grp", F.size("blocks").alias("n_blocks"), F.size("edges").alias("n_edges"),
-        total("v.ends * v.n").alias("omega"), total("v.ends * v.n * i").alias("xn"), total("v.ends * v.n * v.out").alias("yn"), total("v.ends * v.n * v.depth").alias("zn"), cls.alias("cls"),
-    )
+        out = out.withColumn("cls", F.transform("cls", lambda v, k: F.when(k == 8, v * ignore_weight).otherwise(v).cast("double")))
     part = lambda c: F.coalesce(F.try_divide(F.col(c).cast("double"), F.col("omega").cast("double")), F.lit(0.0))
     return out.withColumns({"x": F.when(F.col("omega") > 0, part("xn") + x_offset).otherwise(0.0), "y": part("yn"), "z": part("zn")})
 

@@ -19,9 +19,12 @@ def function_id():
 
 def function_frame(func: DataFrame, cfg: FeatureConfig = FeatureConfig(), min_blocks: int = 3, unique_ids: bool = False) -> DataFrame:
     """Vectors of the non-trivial functions with id; unique_ids takes func_id itself."""
-    vectors = flowvec.build(func, depth=cfg.shape != "xy", min_blocks=min_blocks)
-    made = features.function_vectors(vectors, cfg)
-    return made.withColumn("id", F.col("func_id").cast("long") if unique_ids else function_id())
+    return as_functions(flowvec.build(func, min_blocks=min_blocks), cfg, unique_ids)
+
+
+def as_functions(flows: DataFrame, cfg: FeatureConfig = FeatureConfig(), unique_ids: bool = False) -> DataFrame:
+    """Function vectors with id of flow vectors."""
+    return features.function_vectors(flows, cfg).withColumn("id", F.col("func_id").cast("long") if unique_ids else function_id())
 
 
 def cluster_functions(vectors: DataFrame, tau: float = FUNCTION_TAU, gamma: float = 5.0) -> DataFrame:
@@ -47,9 +50,15 @@ def distribution(members: DataFrame) -> DataFrame:
 
 
 def representative(members: DataFrame, func: DataFrame) -> DataFrame:
-    """Of each cluster the function with the smallest id, with its digest and size."""
-    first = members.groupBy(F.col("root").alias("cluster_id")).agg(F.min_by(F.struct("id", "sample_id", "grp"), "id").alias("rep")).select("cluster_id", "rep.*")
-    return first.join(func, "id")
+    """Of each cluster the function with the smallest id: its address, digest, flow graph as an edge list, and a summary.
+
+    func: id, sample_id, func_id, grp, blocks, func_digest.
+    """
+    first = members.groupBy(F.col("root").alias("cluster_id")).agg(F.min("id").alias("id"))
+    picked = func.join(first, "id")
+    flows = flowvec.build(picked.withColumn("grp", F.struct("grp", "cluster_id", "id", "func_digest", flowvec.edge_list().alias("flow"))))
+    kept = flows.select("grp.cluster_id", "grp.id", "sample_id", F.col("grp.grp").alias("grp"), F.concat_ws(":", "sample_id", "func_id").alias("address"), "grp.func_digest", "n_blocks", "n_edges", "grp.flow", "omega")
+    return kept.withColumn("summary", F.format_string("%d blocks, %d edges, %d edge mass", "n_blocks", "n_edges", "omega")).drop("omega")
 
 
 def size_histogram(members: DataFrame) -> DataFrame:
@@ -80,15 +89,10 @@ def lineage(members: DataFrame, times: DataFrame) -> DataFrame:
 
 
 def lookup(new: DataFrame, library: DataFrame, tau: float = FUNCTION_TAU, gamma: float = 5.0) -> DataFrame:
-    """Matches of new functions against a library of vectors: (id, lib_id, s). Equal digests match without a score."""
-    exact = new.select("id", "vec_digest").join(library.select(F.col("id").alias("lib_id"), "vec_digest"), "vec_digest").select("id", "lib_id", F.lit(1.0).alias("s"))
-    mark = -1
-    both = new.select((F.col("id") * 2).alias("id"), "shape", "cls").union(library.select((F.col("id") * 2 + 1).alias("id"), "shape", "cls"))
-    pairs = similarity.grid_pairs(both, tau, gamma).where((F.pmod("id_a", F.lit(2)) + F.pmod("id_b", F.lit(2))) == 1)
-    of = lambda odd: F.when(F.pmod("id_a", F.lit(2)) == odd, F.col("id_a")).otherwise(F.col("id_b"))
-    near = pairs.select((of(0) / 2).cast("long").alias("id"), ((of(1) + mark) / 2).cast("long").alias("lib_id"), "s")
-    return exact.union(near).groupBy("id", "lib_id").agg(F.max("s").alias("s"))
-
-
-def keep_for_run(df: DataFrame, label: str) -> DataFrame:
-    return materialize(df, label)
+    """Matches of new functions against a library of distinct vectors: (id, lib_id, s). Both: id, shape, cls.
+
+    Ids of both sides may clash, so a match is told by its side: new functions meet the library's cells and not each other.
+    """
+    heads = new.select((-F.col("id") - 1).alias("id"), "shape", "cls")
+    found = similarity.grid_between(heads, library.select("id", "shape", "cls"), tau, gamma)
+    return found.select((-F.col("id_a") - 1).alias("id"), F.col("id_b").alias("lib_id"), "s")

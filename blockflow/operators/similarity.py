@@ -1,12 +1,14 @@
 """Candidates, exact scores, decisions and clusters over vector frames.
 
 A vector frame has id, shape and cls. The hybrid score is cosine(cls) times exp(-gamma * squared shape distance); both
-factors are at most 1, so a score of tau bounds the shape distance by sqrt(-ln(tau) / gamma). Cells with that side on two
-coordinates therefore hold every pair in neighbouring cells, and no pair is lost.
+factors are at most 1, so a score of tau bounds the shape distance by sqrt(-ln(tau) / gamma) and the distance of the class
+parts at unit length by sqrt(2 (1 - tau)). Cells with these sides on a few coordinates therefore hold every pair in
+neighbouring cells, and no pair is lost. The same holds for each part alone and for the cosine of whole vectors.
 """
 
 from __future__ import annotations
 
+import itertools
 import math
 
 from pyspark.sql import DataFrame
@@ -69,42 +71,94 @@ def brute(vectors: DataFrame, metric: str = "hybrid", gamma: float = 5.0, cap: i
     return _scored(_paired(vectors).where("id_a < id_b"), metric, gamma)
 
 
-#: Coordinates among which the grid's axes are chosen, and those of the first, cheap distance test.
+#: Coordinates of each part among which the grid's axes are chosen, and those of the first, cheap distance test.
 LEADING = 12
+#: Axes of the grid at most.
+AXES = 3
 
 
-def _coordinate(k: int, of: str = "shape"):
-    return F.coalesce(F.get(of, F.lit(k)), F.lit(0.0))
+def _coordinate(part: str, k: int, joint: bool, side: str = ""):
+    """A coordinate that the score bounds: of the shape as it is, of the class part at unit length; of both at joint length for the cosine."""
+    value = F.coalesce(F.get(f"{part}{side}", F.lit(k)), F.lit(0.0))
+    n_shape, n_cls = F.col(f"norm_shape{side}"), F.col(f"norm_cls{side}")
+    if joint:
+        return F.coalesce(F.try_divide(value, F.sqrt(n_shape * n_shape + n_cls * n_cls)), F.lit(0.0))
+    return F.coalesce(F.try_divide(value, n_cls), F.lit(0.0)) if part == "cls" else value
 
 
-def _axes(vectors: DataFrame) -> tuple[int, ...]:
-    """Three coordinates to lay the grid on: those that vary most among the leading ones, over all vectors."""
-    row = vectors.agg(*[F.coalesce(F.variance(_coordinate(k)), F.lit(0.0)).alias(f"v{k}") for k in range(LEADING)]).first()
-    return tuple(sorted(range(LEADING), key=lambda k: -row[f"v{k}"])[:3])
+def _sides(metric: str, tau: float, gamma: float) -> dict[str, float]:
+    """For each part that the metric bounds, how far two vectors of score tau can lie apart; with a margin for rounding."""
+    angle, shape = math.sqrt(2 * (1 - tau) + 1e-9), radius(tau, gamma) if tau < 1 else 0.0
+    found = {"hybrid": {"shape": shape, "cls": angle}, "gauss": {"shape": shape}, "cls": {"cls": angle}, "cosine": {"shape": angle, "cls": angle}}[metric]
+    return {k: x * (1 + 1e-6) + 1e-9 for k, x in found.items()}
 
 
-def grid(vectors: DataFrame, tau: float, gamma: float = 5.0, axes: tuple[int, ...] | None = None) -> DataFrame:
-    """Candidate pairs with vectors and norms: neighbours on a grid over a few shape coordinates, by equi-join on the cell."""
-    side = radius(tau, gamma) * (1 + 1e-6) + 1e-9
-    axes = axes or _axes(vectors)
-    placed = with_norms(vectors).withColumns({f"cell{n}": F.floor(_coordinate(k) / side) for n, k in enumerate(axes)})
-    cells = [f"cell{n}" for n in range(len(axes))]
-    left = placed.select(*cells, *[F.col(c).alias(f"{c}_a") for c in READY])
-    spread = placed
-    for c in cells:
-        spread = spread.withColumn("cf_d", F.explode(F.array(*[F.lit(x) for x in (-1, 0, 1)]))).withColumn(c, F.col(c) + F.col("cf_d")).drop("cf_d")
-    right = spread.select(*cells, *[F.col(c).alias(f"{c}_b") for c in READY])
-    # a sum over leading coordinates first; it bounds the whole distance from below and needs no lambda
-    near = sum((F.pow(_coordinate(k, "shape_a") - _coordinate(k, "shape_b"), F.lit(2)) for k in range(LEADING)), F.lit(0.0)) <= side * side
-    pairs = left.join(right, cells).where(F.col("id_a") < F.col("id_b")).where(near)
-    return pairs.withColumn("cf_d2", squared_distance("shape_a", "shape_b")).where(F.col("cf_d2") <= side * side).drop("cf_d2", *cells)
+def _axes(vectors: DataFrame, sides: dict[str, float], joint: bool) -> list[tuple[str, int]]:
+    """The coordinates that spread most against their side, over all vectors; only those that tell vectors apart, one at least."""
+    every = [(part, k) for part in sides for k in range(LEADING)]
+    row = vectors.agg(*[F.coalesce(F.variance(_coordinate(part, k, joint)), F.lit(0.0)).alias(f"{part}{k}") for part, k in every]).first()
+    spread = {(part, k): row[f"{part}{k}"] / sides[part] ** 2 for part, k in every}
+    best = sorted(every, key=lambda x: (-spread[x], x))[:AXES]
+    return [x for n, x in enumerate(best) if n == 0 or spread[x] > 0.25]
+
+
+def _celled(vectors: DataFrame, axes: list[tuple[str, int]], sides: dict[str, float], joint: bool) -> DataFrame:
+    return vectors.withColumns({f"cell{n}": F.floor(_coordinate(part, k, joint) / sides[part]) for n, (part, k) in enumerate(axes)})
+
+
+def _shifted(placed: DataFrame, axes: int, half: bool) -> DataFrame:
+    """Rows in all neighbouring cells; half of them, and the own cell, where both sides are the same vectors."""
+    zero = (0,) * axes
+    steps = [o for o in itertools.product((-1, 0, 1), repeat=axes) if not half or o >= zero]
+    made = F.array(*[F.struct(*[(F.col(f"cell{n}") + x).alias(f"cell{n}") for n, x in enumerate(o)], F.lit(o == zero).alias("cf_own")) for o in steps])
+    return placed.withColumn("cf_to", F.explode(made)).withColumns({f"cell{n}": F.col(f"cf_to.cell{n}") for n in range(axes)}).withColumn("cf_own", F.col("cf_to.cf_own")).drop("cf_to")
 
 
-def grid_pairs(vectors: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybrid") -> DataFrame:
-    """Pairs with a score of at least tau, for the metrics that the shape distance bounds."""
-    if metric not in ("hybrid", "gauss"):
-        raise ValueError("the grid bounds only metrics with the shape kernel")
-    return _scored(grid(vectors, tau, gamma), metric, gamma).where(F.col("s") >= tau)
+def grid(vectors: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybrid", wide: bool = False, against: DataFrame | None = None) -> DataFrame:
+    """Candidate pairs with vectors and norms (sides _a and _b), among the vectors, or between them and others.
+
+    Each cell meets half of its neighbours by an equi-join. `wide` vectors don't travel with the cells: ids and leading
+    coordinates do, and the vectors join the pairs that are left.
+    """
+    sides, joint = _sides(metric, tau, gamma), metric == "cosine"
+    first = with_norms(vectors)
+    second = first if against is None else with_norms(against)
+    axes = _axes(second, sides, joint)
+    cells = [f"cell{n}" for n in range(len(axes))]
+    held = ["id", "near"] if wide else READY
+    near = F.array(*[_coordinate("shape", k, joint) for k in range(LEADING)])
+    ready = lambda v: _celled(v, axes, sides, joint).withColumn("near", near).select(*cells, *held)
+    left = ready(second).select(*cells, *[F.col(c).alias(f"{c}_a") for c in held])
+    right = _shifted(ready(first), len(axes), against is None).select(*cells, "cf_own", *[F.col(c).alias(f"{c}_b") for c in held])
+    pairs = left.join(right, cells)
+    if against is None:
+        pairs = pairs.where(~F.col("cf_own") | (F.col("id_a") < F.col("id_b")))
+    pairs = pairs.drop(*cells, "cf_own")
+    if "shape" in sides and not joint:
+        # a sum over leading coordinates bounds the whole distance from below
+        if wide:
+            apart = sum((F.pow(F.get("near_a", F.lit(k)) - F.get("near_b", F.lit(k)), F.lit(2)) for k in range(LEADING)), F.lit(0.0))
+        else:
+            apart = squared_distance("shape_a", "shape_b")
+        pairs = pairs.where(apart <= sides["shape"] ** 2)
+    if wide:
+        of = lambda v, x: v.select(*[F.col(c).alias(f"{c}_{x}") for c in READY])
+        pairs = pairs.select("id_a", "id_b").join(of(second, "a"), "id_a").join(of(first, "b"), "id_b")
+    return pairs
+
+
+def _ordered(pairs: DataFrame) -> DataFrame:
+    return pairs.select(F.least("id_a", "id_b").alias("id_a"), F.greatest("id_a", "id_b").alias("id_b"), "s_cls", "s_shape", "s")
+
+
+def grid_pairs(vectors: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybrid", wide: bool = False) -> DataFrame:
+    """Pairs with a score of at least tau, id_a below id_b; nothing is lost for any metric."""
+    return _ordered(_scored(grid(vectors, tau, gamma, metric, wide), metric, gamma).where(F.col("s") >= tau))
+
+
+def grid_between(new: DataFrame, index: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybrid", wide: bool = False) -> DataFrame:
+    """Pairs of a new vector and one of the index with a score of at least tau, id_a below id_b."""
+    return _ordered(_scored(grid(new, tau, gamma, metric, wide, against=index), metric, gamma).where(F.col("s") >= tau))
 
 
 def sign_lsh(vectors: DataFrame, width: int = 12, tables: int = 16, dims: int = 64) -> DataFrame:
@@ -130,11 +184,16 @@ def ann_pairs(vectors: DataFrame, tau: float, metric: str = "cls", gamma: float
 #: Pair generators by name: (vectors, tau, gamma, metric) -> scored pairs of at least tau.
 BACKENDS = {
     "grid": lambda v, tau, gamma, metric: grid_pairs(v, tau, gamma, metric),
+    "grid_wide": lambda v, tau, gamma, metric: grid_pairs(v, tau, gamma, metric, wide=True),
     "brute": lambda v, tau, gamma, metric: brute(v, metric, gamma).where(F.col("s") >= tau),
     "ann": lambda v, tau, gamma, metric: ann_pairs(v, tau, metric, gamma),
 }
 
 
+#: Backends that find all pairs.
+LOSSLESS = ("grid", "grid_wide", "brute")
+
+
 def clusters(vectors: DataFrame, pairs: DataFrame, members: DataFrame) -> DataFrame:
     """(id, root) of every vector, with the members of collapsed ones expanded."""
     roots = connected_components(pairs.select(F.col("id_a").alias("a"), F.col("id_b").alias("b")))
@@ -151,7 +210,9 @@ def search_and_prune(vectors: DataFrame, tau: float, gamma: float = 5.0, metric:
             break
         roots = materialize(connected_components(pairs.select(F.col("id_a").alias("a"), F.col("id_b").alias("b"))), "roots")
         found = materialize(found.join(roots, found["head"] == roots["node"], "left").select("id", F.coalesce("root", "head").alias("head")), "members")
+        if backend in LOSSLESS:
+            break  # all links are known, so what is left has none
         active = materialize(active.join(roots.where("node <> root"), active["id"] == F.col("node"), "left_anti"), "active")
-        if backend in ("grid", "brute"):
-            break  # lossless: what is left has no pairs of its own but through absorbed vectors
+    else:
+        raise RuntimeError(f"vectors still merge after {max_rounds} rounds")
     return found.select("id", F.col("head").alias("root"))

@@ -18,7 +18,7 @@ CORPORA = [
 ]
 
 
-def _indices_sql(source: str, column: str, name: str) -> str:
+def indices_sql(source: str, column: str, name: str) -> str:
     return (
         f"select '{name}' as corpus, k, total, round(h, 6) as h, case when k > 1 then round(h / ln(k), 6) end as h_norm, round(sq / (total * total), 6) as hhi from ("
         f"select count(*) as k, cast(sum(n) as bigint) as total, ln(sum(n)) - sum(n * ln(n)) / sum(n) as h, cast(sum(n * n) as double) as sq from (select {column}, count(*) as n from {source} where {column} is not null group by 1))"
@@ -28,7 +28,7 @@ def _indices_sql(source: str, column: str, name: str) -> str:
 HOST = "regexp_extract(url, '^[a-z]+://([^/]+)', 1)"
 
 
-@query("diversity_corpora", " union all ".join([_indices_sql(t, c, n) for n, t, c in CORPORA] + [_indices_sql(f"(select {HOST} as host from pages)", "host", "pages_host")]))
+@query("diversity_corpora", " union all ".join([indices_sql(t, c, n) for n, t, c in CORPORA] + [indices_sql(f"(select {HOST} as host from pages)", "host", "pages_host")]))
 def diversity_corpora(spark: SparkSession, d: str) -> DataFrame:
     named = {n: (table(spark, d, t, c), c) for n, t, c in CORPORA}
     named["pages_host"] = (table(spark, d, "pages", "url").select(F.expr(HOST).alias("host")), "host")
@@ -198,7 +198,7 @@ def coverage(spark: SparkSession, d: str) -> DataFrame:
     return S.coverage(table(spark, d, "orders", "o_custkey").withColumnRenamed("o_custkey", "k"), table(spark, d, "customer", "c_custkey").withColumnRenamed("c_custkey", "k"), "k")
 
 
-@query("representativeness", " union all ".join([_indices_sql("documents", "lang", "type"), _indices_sql("documents", "source", "group"), _indices_sql("(select year(o_orderdate) as y from orders)", "y", "time")]))
+@query("representativeness", " union all ".join([indices_sql("documents", "lang", "type"), indices_sql("documents", "source", "group"), indices_sql("(select year(o_orderdate) as y from orders)", "y", "time")]))
 def representativeness(spark: SparkSession, d: str) -> DataFrame:
     docs = table(spark, d, "documents", "lang", "source")
     years = table(spark, d, "orders", "o_orderdate").select(F.year("o_orderdate").alias("y"))

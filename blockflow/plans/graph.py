@@ -6,108 +6,75 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blockflow.config import FUNCTION_TAU, SAMPLE_TAU, FeatureConfig
-from blockflow.functions.taxonomy import class_sql
 from blockflow.operators import dedup, features, flowvec, reuse, similarity
 from blockflow.operators import statistics as S
+from blockflow.plans import graph_sql as G
 from blockflow.plans.base import query
+from blockflow.plans.corpus import indices_sql
 from blockflow.session import materialize
 from blockflow.sources import carriers
 from blockflow.sources.tables import table
 
 CFG = FeatureConfig()
 
-#: DuckDB: lines, blocks and flow of the documents carrier.
-_LINES = """ls as (select doc_id as sample_id, source as grp, list_filter(list_transform(string_split(text, chr(10)), lambda x: trim(x)), lambda x: x <> '') as l from documents where text is not null),
-    lines as (select sample_id, grp, cast(i - 1 as int) as func_id, l[i] as line from (select *, unnest(range(1, len(l) + 1)) as i from ls))"""
-_DOC_BLOCKS = f"""{_LINES}, ps as (select sample_id, func_id, grp, list_filter(list_transform(string_split_regex(line, '[.!?,;]+'), lambda x: trim(x)), lambda x: x <> '') as p from lines),
-    bs as (select sample_id, func_id, grp, cast(i - 1 as int) as id, p[i] as t from (select *, unnest(range(1, len(p) + 1)) as i from ps)),
-    toks as (select sample_id, func_id, id, {class_sql('tok', duck=True)} as c from (select sample_id, func_id, id, unnest(list_filter(string_split_regex(t, '\\s+'), lambda x: x <> '')) as tok from bs)),
-    tc as (select sample_id, func_id, id, count(*) as n, {', '.join(f'count(*) filter (where c = {k}) as c{k}' for k in range(1, 10))} from toks group by 1, 2, 3),
-    blocks as (select b.sample_id, b.func_id, b.grp, b.id, lower(substr(t, 1, 1)) as a, lower(right(t, 1)) as b, coalesce(n, 0) as n, {', '.join(f'coalesce(c{k}, 0) as c{k}' for k in range(1, 10))} from bs b left join tc using (sample_id, func_id, id))"""
-_ORDER_BLOCKS = f"""ty as (select p_type, row_number() over (order by p_type) as k from (select distinct p_type from part)),
-    blocks as (select o_custkey as sample_id, l_orderkey as func_id, n_name as grp, cast(row_number() over (partition by l_orderkey order by l_linenumber, l_partkey, l_suppkey, l_extendedprice, l_shipdate) - 1 as int) as id, l_returnflag as a, l_linestatus as b, cast(l_quantity as bigint) as n,
-    {', '.join(f'case when k = {k} then cast(l_quantity as bigint) else 0 end as c{k}' for k in range(1, 7))}, {', '.join(f"case when l_returnflag = '{f}' then 1 else 0 end as c{k}" for k, f in ((7, 'A'), (8, 'N'), (9, 'R')))}
-    from lineitem join part on l_partkey = p_partkey join ty using (p_type) join orders on l_orderkey = o_orderkey join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey)"""
-_FLOW = f"""nx as (select *, count(*) over (partition by sample_id, func_id) as nb, lead(id) over (partition by sample_id, func_id, a order by id) as na, lag(id) over (partition by sample_id, func_id, b order by id) as pb from blocks),
-    edges as (select distinct sample_id, func_id, src, dst from (select sample_id, func_id, id as src, id + 1 as dst from nx where id + 1 < nb union all select sample_id, func_id, id, na from nx where na is not null union all select sample_id, func_id, id, pb from nx where pb is not null)),
-    ends as (select sample_id, func_id, id, sum(o) as o, sum(e) as e from (select sample_id, func_id, src as id, 1 as o, 1 as e from edges union all select sample_id, func_id, dst, 0, 1 from edges) group by 1, 2, 3),
-    deep as (select n.sample_id, n.func_id, n.id, count(k.id) as depth from nx n left join nx k on n.sample_id = k.sample_id and n.func_id = k.func_id and k.pb is not null and k.pb <= n.id and n.id <= k.id group by 1, 2, 3),
-    ec as (select sample_id, func_id, count(*) as n_edges from edges group by 1, 2),
-    v as (select sample_id, func_id, grp, count(*) as n_blocks, coalesce(max(n_edges), 0) as n_edges, cast(sum(coalesce(e, 0) * n) as bigint) as omega, cast(sum(coalesce(e, 0) * n * id) as bigint) as xn, cast(sum(coalesce(e, 0) * n * coalesce(o, 0)) as bigint) as yn, cast(sum(coalesce(e, 0) * n * depth) as bigint) as zn,
-    {', '.join(f'cast(sum(coalesce(e, 0) * c{k}) as bigint) as w{k}' for k in range(1, 10))} from blocks left join ends using (sample_id, func_id, id) left join deep using (sample_id, func_id, id) left join ec using (sample_id, func_id) group by 1, 2, 3)"""
-_WS = [f"w{k}" for k in range(1, 10)]
-_SELECT = f"select sample_id, func_id, grp, cast(n_blocks as int) as n_blocks, cast(n_edges as int) as n_edges, omega, xn, yn, zn, {', '.join(_WS)} from v"
-
-
 def _flow(func: DataFrame) -> DataFrame:
     flat = [F.get("cls", F.lit(k)).alias(f"w{k + 1}") for k in range(9)]
     return flowvec.build(func).select("sample_id", "func_id", "grp", "n_blocks", "n_edges", "omega", "xn", "yn", "zn", *flat)
 
 
-@query("flow_vectors_docs", f"with {_DOC_BLOCKS}, {_FLOW} {_SELECT}")
+@query("flow_vectors_docs", f"with {G.DOC_BLOCKS}, {G.FLOW} {G.FLOW_SELECT}")
 def flow_vectors_docs(spark: SparkSession, d: str) -> DataFrame:
     return _flow(carriers.documents(spark, d))
 
 
-@query("flow_vectors_orders", f"with {_ORDER_BLOCKS}, {_FLOW} {_SELECT}")
+@query("flow_vectors_orders", f"with {G.ORDER_BLOCKS}, {G.FLOW} {G.FLOW_SELECT}")
 def flow_vectors_orders(spark: SparkSession, d: str) -> DataFrame:
     return _flow(carriers.orders(spark, d))
 
 
-@query("flow_vectors_turns")
+@query("flow_vectors_turns", f"with {G.TURN_BLOCKS}, {G.FLOW} {G.FLOW_SELECT}")
 def flow_vectors_turns(spark: SparkSession, d: str) -> DataFrame:
     return _flow(carriers.turns(spark, d))
 
 
-@query("flow_vectors_pages")
+@query("flow_vectors_pages", f"with {G.PAGE_BLOCKS}, {G.FLOW} {G.FLOW_SELECT}")
 def flow_vectors_pages(spark: SparkSession, d: str) -> DataFrame:
     return _flow(carriers.page_sections(spark, d))
 
 
-@query("flow_vectors_sessions")
+@query("flow_vectors_sessions", f"with {G.SESSION_BLOCKS}, {G.FLOW} {G.FLOW_SELECT}")
 def flow_vectors_sessions(spark: SparkSession, d: str) -> DataFrame:
     return _flow(carriers.sessions(spark, d))
 
 
-@query("extraction_report", f"with {_LINES} select count(x) as n_ok, count(*) - count(x) as n_failed from (select doc_id from documents) left join (select distinct sample_id as x from lines where len(list_filter(string_split_regex(line, '[.!?,;]+'), lambda x: trim(x) <> '')) > 0) on doc_id = x")
+@query("extraction_report", f"with {G.LINES} select count(x) as n_ok, count(*) - count(x) as n_failed from (select doc_id from documents) left join (select distinct sample_id as x from lines where len(list_filter(string_split_regex(line, '[.!?,;]+'), lambda x: trim(x) <> '')) > 0) on doc_id = x")
 def extraction_report(spark: SparkSession, d: str) -> DataFrame:
-    vectors = flowvec.build(carriers.documents(spark, d), depth=False)
+    vectors = flowvec.build(carriers.documents(spark, d))
     return flowvec.extraction_report(table(spark, d, "documents", "doc_id").withColumnRenamed("doc_id", "sample_id"), vectors)
 
 
-@query("extraction_rate", f"with {_LINES} select lang, round(avg(case when x is not null then 1.0 else 0.0 end), 6) as rate from documents left join (select distinct sample_id as x from lines where len(list_filter(string_split_regex(line, '[.!?,;]+'), lambda x: trim(x) <> '')) > 0) on doc_id = x group by lang")
+@query("extraction_rate", f"with {G.LINES} select lang, round(avg(case when x is not null then 1.0 else 0.0 end), 6) as rate from documents left join (select distinct sample_id as x from lines where len(list_filter(string_split_regex(line, '[.!?,;]+'), lambda x: trim(x) <> '')) > 0) on doc_id = x group by lang")
 def extraction_rate(spark: SparkSession, d: str) -> DataFrame:
-    got = flowvec.build(carriers.documents(spark, d), depth=False).select(F.col("sample_id").alias("doc_id")).distinct().withColumn("ok", F.lit(1.0))
+    got = flowvec.build(carriers.documents(spark, d)).select(F.col("sample_id").alias("doc_id")).distinct().withColumn("ok", F.lit(1.0))
     return table(spark, d, "documents", "doc_id", "lang").join(got, "doc_id", "left").groupBy("lang").agg(F.round(F.avg(F.coalesce("ok", F.lit(0.0))), 6).alias("rate"))
 
 
-_NUM = ["x", "y", *_WS]
-_HOP0 = "h0 as (select sample_id, func_id, round(case when omega > 0 then xn / omega * n_blocks else 0 end, 9) as x, round(case when omega > 0 then yn / omega * n_blocks else 0 end, 9) as y, " + ", ".join(f"cast({w} as double) as {w}" for w in _WS) + " from v)"
-
-
-def _hop_sql(k: int) -> str:
-    sums = ", ".join(f"coalesce(cast(sum(cast(g.{c} as decimal(28, 9))) as double), 0) as {c}" for c in _NUM)
-    return f"h{k} as (select h.sample_id, h.func_id, {sums} from h0 h left join calls c on c.sample_id = h.sample_id and c.caller = h.func_id left join h{k - 1} g on g.sample_id = c.sample_id and g.func_id = c.callee group by 1, 2)"
-
-
-_DOC_CALLS = "lk as (select sample_id, func_id, lower(substr(line, 1, 1)) as k, count(*) over (partition by sample_id) as nf from lines), calls as (select distinct sample_id, caller, callee from (select sample_id, func_id as caller, func_id + 1 as callee from lk where func_id + 1 < nf union all select sample_id, func_id, lead(func_id) over (partition by sample_id, k order by func_id) from lk) where callee is not null)"
-_ORDER_CALLS = "calls as (select distinct sample_id, caller, callee from (select o_custkey as sample_id, o_orderkey as caller, lead(o_orderkey) over (partition by o_custkey order by o_orderdate, o_orderkey) as callee from orders union all select o_custkey, o_orderkey, lead(o_orderkey) over (partition by o_custkey, o_orderpriority order by o_orderdate, o_orderkey) from orders) where callee is not null)"
-_HOPS = " union all ".join(f"select sample_id, func_id, {k} as hop, " + ", ".join(f"round({c}, 9) as {c}" for c in _NUM) + f" from h{k}" for k in range(3))
+_HOPS = " union all ".join(f"select sample_id, func_id, {k} as hop, " + ", ".join(f"round({c}, 9) as {c}" for c in G.NUM) + f" from h{k}" for k in range(3))
 
 
 def _hops(func: DataFrame, calls: DataFrame) -> DataFrame:
     cfg = FeatureConfig(rounds=2)
-    nodes = features.propagate(features.initial(flowvec.build(func, depth=False), cfg), calls, cfg)
-    flat = [F.round(F.get("shape", F.lit(k)), 9).alias(c) for k, c in enumerate(("x", "y"))] + [F.round(F.get("cls", F.lit(k)), 9).alias(w) for k, w in enumerate(_WS)]
+    nodes = features.propagate(features.initial(flowvec.build(func), cfg), calls, cfg)
+    flat = [F.round(F.get("shape", F.lit(k)), 9).alias(c) for k, c in enumerate(("x", "y"))] + [F.round(F.get("cls", F.lit(k)), 9).alias(w) for k, w in enumerate(G.WS)]
     return nodes.select("sample_id", "func_id", "hop", *flat)
 
 
-@query("propagated_docs", f"with {_DOC_BLOCKS}, {_FLOW}, {_DOC_CALLS}, {_HOP0}, {_hop_sql(1)}, {_hop_sql(2)} {_HOPS}")
+@query("propagated_docs", f"with {G.DOC_BLOCKS}, {G.FLOW}, {G.DOC_CALLS}, {G.HOP0}, {G.hop(1)}, {G.hop(2)} {_HOPS}")
 def propagated_docs(spark: SparkSession, d: str) -> DataFrame:
     return _hops(carriers.documents(spark, d), carriers.document_calls(table(spark, d, "documents", "doc_id", "text")))
 
 
-@query("propagated_orders", f"with {_ORDER_BLOCKS}, {_FLOW}, {_ORDER_CALLS}, {_HOP0}, {_hop_sql(1)}, {_hop_sql(2)} {_HOPS}")
+@query("propagated_orders", f"with {G.ORDER_BLOCKS}, {G.FLOW}, {G.ORDER_CALLS}, {G.HOP0}, {G.hop(1)}, {G.hop(2)} {_HOPS}")
 def propagated_orders(spark: SparkSession, d: str) -> DataFrame:
     return _hops(carriers.orders(spark, d), carriers.order_calls(spark, d))
 
@@ -117,7 +84,10 @@ def doc_vectors(spark: SparkSession, d: str, cfg: FeatureConfig = CFG) -> DataFr
     return materialize(frame, "sample-vectors")
 
 
-@query("dedup_pairs")
+_SAMPLES = f"with recursive {G.DOC_BLOCKS}, {G.FLOW}"
+
+
+@query("dedup_pairs", f"{_SAMPLES}, {G.sample_pairs(G.DOC_CALLS)} select a as id_a, b as id_b, round(s_cls, 6) as s_cls, round(s_shape, 6) as s_shape, round(s, 6) as s from sp")
 def dedup_pairs(spark: SparkSession, d: str) -> DataFrame:
     return dedup.pairs_of(doc_vectors(spark, d))[0].select("id_a", "id_b", *[F.round(c, 6).alias(c) for c in ("s_cls", "s_shape", "s")])
 
@@ -126,14 +96,14 @@ def _doc_roots(spark: SparkSession, d: str) -> DataFrame:
     return dedup.roots_of(*dedup.pairs_of(doc_vectors(spark, d)))
 
 
-@query("dedup_clusters")
+@query("dedup_clusters", f"{_SAMPLES}, {G.sample_roots(G.DOC_CALLS)} select id, root from rt")
 def dedup_clusters(spark: SparkSession, d: str) -> DataFrame:
     return _doc_roots(spark, d)
 
 
-@query("dedup_clusters_within_source")
+@query("dedup_clusters_within_source", f"{_SAMPLES}, {G.scoped_roots(G.DOC_CALLS, 'select doc_id as id, source as grp from documents')} select id, root from rg")
 def dedup_clusters_within_source(spark: SparkSession, d: str) -> DataFrame:
-    return dedup.within_groups(_doc_roots(spark, d), table(spark, d, "documents", "doc_id", "source").toDF("id", "grp"))
+    return dedup.within_groups(*dedup.pairs_of(doc_vectors(spark, d)), table(spark, d, "documents", "doc_id", "source").toDF("id", "grp"))
 
 
 def _doc_kept(spark: SparkSession, d: str) -> DataFrame:
@@ -141,49 +111,48 @@ def _doc_kept(spark: SparkSession, d: str) -> DataFrame:
     return dedup.keep_representatives(_doc_roots(spark, d), order)
 
 
-@query("dedup_kept")
+_KEPT_SQL = f"{_SAMPLES}, {G.sample_roots(G.DOC_CALLS)}, {G.KEPT}"
+
+
+@query("dedup_kept", f"{_KEPT_SQL} select id, root, kept from od")
 def dedup_kept(spark: SparkSession, d: str) -> DataFrame:
     return _doc_kept(spark, d)
 
 
-@query("dedup_report")
+@query("dedup_report", f"""{_KEPT_SQL}, j as (select doc_id, source, kept is null or kept as stays, kept from documents left join od on id = doc_id) select count(*) as n, count(*) filter (where stays) as n_kept, count(*) filter (where not stays) as n_removed,
+    round(count(*) filter (where not stays) / count(kept), 6) as share_analysable, round(count(*) filter (where not stays) / count(*), 6) as share_corpus, count(distinct source) as groups_before, count(distinct case when stays then source end) as groups_after from j""")
 def dedup_report(spark: SparkSession, d: str) -> DataFrame:
     return dedup.report(_doc_kept(spark, d), table(spark, d, "documents", "doc_id", "source").toDF("id", "grp"))
 
 
-@query("dedup_customers")
+@query("dedup_customers", f"with recursive {G.ORDER_BLOCKS}, {G.FLOW}, {G.sample_roots(G.ORDER_CALLS)} select id, root from rt")
 def dedup_customers(spark: SparkSession, d: str) -> DataFrame:
     v = materialize(dedup.sample_frame(carriers.orders(spark, d), carriers.order_calls(spark, d)), "sample-vectors")
     return dedup.roots_of(*dedup.pairs_of(v))
 
 
-@query("diversity_after_dedup")
+@query("diversity_after_dedup", f"{_KEPT_SQL}, gone as (select doc_id, source, lang from documents where doc_id not in (select id from od where not kept)) " + " union all ".join([indices_sql("documents", "source", "source_before"), indices_sql("gone", "source", "source_after"), indices_sql("documents", "lang", "lang_before"), indices_sql("gone", "lang", "lang_after")]))
 def diversity_after_dedup(spark: SparkSession, d: str) -> DataFrame:
     docs = table(spark, d, "documents", "doc_id", "source", "lang")
     left = materialize(docs.join(_doc_kept(spark, d).where("not kept"), docs["doc_id"] == F.col("id"), "left_anti"), "left")
     return S.compare({"source_before": (docs, "source"), "source_after": (left, "source"), "lang_before": (docs, "lang"), "lang_after": (left, "lang")})
 
 
-@query("incremental_dedup")
+@query("incremental_dedup", f"{_SAMPLES}, {G.sample_roots(G.DOC_CALLS)} select id, root from rt")
 def incremental_dedup(spark: SparkSession, d: str) -> DataFrame:
     """Documents arrive in ten batches by doc_id; the roots in the end are those of one run."""
     v = doc_vectors(spark, d)
-    first = v.where("id % 10 = 0")
-    roots = dedup.roots_of(*dedup.pairs_of(first))
-    roots = dedup.increment(v.where("id % 10 > 4"), first, roots, CFG)
-    return dedup.increment(v.where("id % 10 between 1 and 4"), v.where("id % 10 = 0 or id % 10 > 4"), roots, CFG)
+    index, roots = v.where("false").select("id", "shape", "cls", "vec_digest"), v.where("false").select("id", F.col("id").alias("root"))
+    for k in range(10):
+        index, roots = dedup.increment(v.where(F.pmod("id", F.lit(10)) == k), index, roots, CFG)
+    return roots
 
 
 def line_vectors(spark: SparkSession, d: str, min_blocks: int = 3) -> DataFrame:
     return materialize(reuse.function_frame(carriers.documents(spark, d), min_blocks=min_blocks), "function-vectors")
 
 
-_UNIT = f"""f as (select sample_id * 10000000 + func_id as id, round(case when omega > 0 then xn / omega * n_blocks else 0 end, 9) as x, round(case when omega > 0 then yn / omega * n_blocks else 0 end, 9) as y, {', '.join(_WS)}, sqrt({' + '.join(f'{w} * {w}' for w in _WS)}) as nrm from v where n_blocks >= 3),
-    u as (select min(id) as id, x, y, {', '.join(f'round({w} / nullif(nrm, 0), 10) as {w}' for w in _WS)} from f group by all),
-    p as (select a.id as id_a, b.id as id_b, {' + '.join(f'coalesce(a.{w}, 0) * coalesce(b.{w}, 0)' for w in _WS)} as c, exp(-5 * ((a.x - b.x) * (a.x - b.x) + (a.y - b.y) * (a.y - b.y))) as g from u a join u b on a.id < b.id and b.x between a.x - 0.0142 and a.x + 0.0142)"""
-
-
-@query("function_pairs", f"with {_DOC_BLOCKS}, {_FLOW}, {_UNIT} select id_a, id_b, round(least(1, c) * g, 6) as s from p where round(round(least(1, c), 10) * round(g, 10), 10) >= 0.999")
+@query("function_pairs", f"with {G.DOC_BLOCKS}, {G.FLOW}, {G.function_pairs()} select a as id_a, b as id_b, round(s, 6) as s from pp")
 def function_pairs(spark: SparkSession, d: str) -> DataFrame:
     heads, _ = similarity.collapse(line_vectors(spark, d))
     return similarity.grid_pairs(materialize(heads, "heads"), FUNCTION_TAU).select("id_a", "id_b", F.round("s", 6).alias("s"))
@@ -199,94 +168,119 @@ def order_members(spark: SparkSession, d: str) -> DataFrame:
     return materialize(reuse.placed(v, reuse.cluster_functions(v)), "members")
 
 
-@query("function_clusters")
+_FUNCTIONS = f"with recursive {G.DOC_BLOCKS}, {G.FLOW}, {G.members()}"
+_ORDERS = f"with recursive {G.ORDER_BLOCKS}, {G.FLOW}, {G.members(unique_ids=True)}"
+
+
+@query("function_clusters", f"{_FUNCTIONS} select id, root from members")
 def function_clusters(spark: SparkSession, d: str) -> DataFrame:
     return line_members(spark, d).select("id", "root")
 
 
-@query("function_clusters_orders")
+@query("function_clusters_orders", f"{_ORDERS} select id, root from members")
 def function_clusters_orders(spark: SparkSession, d: str) -> DataFrame:
     return order_members(spark, d).select("id", "root")
 
 
-@query("reuse_clusters")
+_CLUSTERS = "select root as cluster_id, count(*) as size, count(distinct sample_id) as n_samples, count(distinct grp) as n_groups from members group by 1"
+
+
+@query("reuse_clusters", f"{_FUNCTIONS} {_CLUSTERS} having count(distinct grp) >= 2")
 def reuse_clusters(spark: SparkSession, d: str) -> DataFrame:
     return reuse.clusters(line_members(spark, d))
 
 
-@query("reuse_exact", f"with {_LINES} select md5(line) as func_digest, count(*) as size, count(distinct sample_id) as n_samples, count(distinct grp) as n_groups from lines where len(list_filter(string_split_regex(line, '[.!?,;]+'), lambda x: trim(x) <> '')) >= 3 group by 1 having count(distinct grp) >= 2")
+@query("reuse_exact", f"with {G.LINES} select md5(line) as func_digest, count(*) as size, count(distinct sample_id) as n_samples, count(distinct grp) as n_groups from lines where len(list_filter(string_split_regex(line, '[.!?,;]+'), lambda x: trim(x) <> '')) >= 3 group by 1 having count(distinct grp) >= 2")
 def reuse_exact(spark: SparkSession, d: str) -> DataFrame:
     lines = flowvec.drop_trivial(carriers.documents(spark, d))
     return reuse.clusters(lines.withColumn("root", F.col("func_digest"))).withColumnRenamed("cluster_id", "func_digest")
 
 
-@query("reuse_distribution")
+_SHARES = """n as (select root as cluster_id, grp, count(*) as n from members group by 1, 2), d as (select cluster_id, cast(sum(n) as bigint) as size, count(*) as n_groups, string_agg(concat(grp, '=', n), ',' order by grp) as by_group, arg_max(grp, (n, grp)) as top_group,
+    round(1 - sum(n * n) / (sum(n) * sum(n)), 6) as impurity, round(ln(sum(n)) - sum(n * ln(n)) / sum(n), 6) as entropy from n group by 1 having count(*) >= 2)"""
+
+
+@query("reuse_distribution", f"{_FUNCTIONS}, {_SHARES} select * from d")
 def reuse_distribution(spark: SparkSession, d: str) -> DataFrame:
     dist = reuse.distribution(line_members(spark, d)).where("n_groups >= 2")
     return dist.withColumn("by_group", F.expr("array_join(transform(map_entries(by_group), e -> concat(e.key, '=', e.value)), ',')"))
 
 
-@query("reuse_distribution_orders")
+@query("reuse_distribution_orders", f"{_ORDERS}, {_SHARES} select * exclude (by_group) from d")
 def reuse_distribution_orders(spark: SparkSession, d: str) -> DataFrame:
     return reuse.distribution(order_members(spark, d)).where("n_groups >= 2").drop("by_group")
 
 
-@query("reuse_representatives")
+@query("reuse_representatives", f"""{_FUNCTIONS}, rp as (select root as cluster_id, min(id) as id from members group by 1), el as (select sample_id, func_id, string_agg(concat(src, '-', dst), ',' order by src, dst) as flow from edges group by 1, 2)
+    select cluster_id, m.id, m.sample_id, m.grp, concat(m.sample_id, ':', m.func_id) as address, md5(line) as func_digest, cast(n_blocks as int) as n_blocks, cast(n_edges as int) as n_edges, coalesce(flow, '') as flow, concat(n_blocks, ' blocks, ', n_edges, ' edges, ', omega, ' edge mass') as summary
+    from rp join members m on m.id = rp.id join lines l on l.sample_id = m.sample_id and l.func_id = m.func_id join v on v.sample_id = m.sample_id and v.func_id = m.func_id left join el on el.sample_id = m.sample_id and el.func_id = m.func_id""")
 def reuse_representatives(spark: SparkSession, d: str) -> DataFrame:
-    func = carriers.documents(spark, d).select(reuse.function_id().alias("id"), "func_digest", F.size("blocks").alias("n_blocks"))
+    func = carriers.documents(spark, d).withColumn("id", reuse.function_id())
     return reuse.representative(line_members(spark, d), func)
 
 
-@query("reuse_sizes")
+@query("reuse_sizes", f"{_FUNCTIONS} select size, count(*) as n_clusters from ({_CLUSTERS}) where size >= 2 group by 1")
 def reuse_sizes(spark: SparkSession, d: str) -> DataFrame:
     return reuse.size_histogram(line_members(spark, d))
 
 
-@query("reuse_inter_intra")
+@query("reuse_inter_intra", f"{_FUNCTIONS} select case when n_groups >= 2 then 'inter' else 'intra' end as kind, count(*) as n_clusters, cast(sum(size) as bigint) as n_functions from ({_CLUSTERS}) where size >= 2 group by 1")
 def reuse_inter_intra(spark: SparkSession, d: str) -> DataFrame:
     return reuse.inter_intra(line_members(spark, d))
 
 
-@query("group_network")
+@query("group_network", f"{_FUNCTIONS}, g as (select distinct root, grp from members), z as (select grp, count(*) as n from g group by 1), sh as (select a.grp as grp_a, b.grp as grp_b, count(*) as shared from g a join g b using (root) where a.grp < b.grp group by 1, 2) select grp_a, grp_b, shared, round(shared / (x.n + y.n - shared), 6) as jaccard from sh join z x on x.grp = grp_a join z y on y.grp = grp_b")
 def group_network(spark: SparkSession, d: str) -> DataFrame:
     return reuse.group_network(line_members(spark, d))
 
 
-@query("reuse_lineage")
+@query("reuse_lineage", f"""{_ORDERS}, sn as (select root, grp, min(cast(o_orderdate as date)) as seen from members join orders on o_orderkey = id group by 1, 2),
+    w as (select *, first_value(grp) over o as first_grp, first_value(seen) over o as first_seen, row_number() over o as place, lag(seen) over o as prev from sn window o as (partition by root order by seen, grp))
+    select root as cluster_id, grp, first_grp, cast(seen - first_seen as int) as lag_days, cast(seen - prev as int) as after_previous, cast(place as int) as place from w""")
 def reuse_lineage(spark: SparkSession, d: str) -> DataFrame:
     times = table(spark, d, "orders", "o_orderkey", "o_orderdate").select(F.col("o_orderkey").alias("id"), F.to_date("o_orderdate").alias("first_seen"))
     return reuse.lineage(order_members(spark, d), times)
 
 
-@query("fingerprint_lookup")
+@query("fingerprint_lookup", f"""with {G.DOC_BLOCKS}, {G.FLOW}, {G.function_pairs(2)}, lib as (select u.* from u), {G.renamed(G.PASSAGE_BLOCKS, '2')},
+    {G.renamed(G.FLOW, '2')}, {G.renamed(G.function_pairs(2), '2')},
+    hit as (select n.id, b.id as lib_id, least(1, {' + '.join(f'n.{w} * b.{w}' for w in G.WS)}) as c, exp(-5 * ((n.x - b.x) * (n.x - b.x) + (n.y - b.y) * (n.y - b.y))) as g from un2 n join lib b on b.x between n.x - 0.0142 and n.x + 0.0142 and b.y between n.y - 0.0142 and n.y + 0.0142)
+    select id, lib_id, round(c * g, 6) as s from hit where round(round(c, 10) * round(g, 10), 10) >= 0.999""")
 def fingerprint_lookup(spark: SparkSession, d: str) -> DataFrame:
-    """Orders of 2001 against the older ones."""
-    v = materialize(reuse.function_frame(carriers.orders(spark, d), unique_ids=True), "function-vectors")
-    new = table(spark, d, "orders", "o_orderkey", "o_orderdate").where(F.year("o_orderdate") == 2001).select(F.col("o_orderkey").alias("id"))
-    return reuse.lookup(v.join(new, "id", "left_semi"), v.join(new, "id", "left_anti")).select("id", "lib_id", F.round("s", 6).alias("s"))
+    """Functions of the benchmark's passages against the library of distinct line vectors."""
+    passages = carriers.lines_of(table(spark, d, "benchmark", "item_id", "text").select(F.col("item_id").alias("doc_id"), F.lit("benchmark").alias("source"), "text"))
+    new = reuse.function_frame(passages, min_blocks=2)
+    library, _ = similarity.collapse(line_vectors(spark, d, 2))
+    return reuse.lookup(new, library).select("id", "lib_id", F.round("s", 6).alias("s"))
 
 
-def _other_members(func: DataFrame) -> DataFrame:
-    v = materialize(reuse.function_frame(func), "function-vectors")
+def _other_members(func: DataFrame, min_blocks: int = 3) -> DataFrame:
+    v = materialize(reuse.function_frame(func, min_blocks=min_blocks), "function-vectors")
     return reuse.placed(v, reuse.cluster_functions(v))
 
 
-@query("reuse_pages")
+@query("reuse_pages", f"with recursive {G.PAGE_BLOCKS}, {G.FLOW}, {G.members()} {_CLUSTERS} having count(distinct grp) >= 2")
 def reuse_pages(spark: SparkSession, d: str) -> DataFrame:
     return reuse.clusters(_other_members(carriers.page_sections(spark, d)))
 
 
-@query("reuse_turns")
+@query("reuse_turns", f"with recursive {G.TURN_BLOCKS}, {G.FLOW}, {G.members(1)} {_CLUSTERS} having count(distinct sample_id) >= 2")
 def reuse_turns(spark: SparkSession, d: str) -> DataFrame:
-    return reuse.clusters(_other_members(carriers.turns(spark, d)), "samples")
+    """Turns that several conversations share; these are short, so single blocks count."""
+    return reuse.clusters(_other_members(carriers.turns(spark, d), 1), "samples")
+
+
+_LOSS = ", ".join(f"{G.members(k, tag=f'_{k}')}, q{k} as (select {k} as min_blocks, count(*) as n_clusters, cast(coalesce(sum(size), 0) as bigint) as n_functions from (select count(*) as size from members_{k} group by root having count(distinct grp) >= 2))" for k in (1, 2, 3, 4))
 
 
-@query("trivial_filter_loss")
+@query("trivial_filter_loss", f"with recursive {G.DOC_BLOCKS}, {G.FLOW}, {_LOSS} select q.*, round(1 - q.n_clusters / nullif(q1.n_clusters, 0), 6) as lost from (select * from q1 union all select * from q2 union all select * from q3 union all select * from q4) q, q1")
 def trivial_filter_loss(spark: SparkSession, d: str) -> DataFrame:
     """Reuse clusters by the least number of blocks, and the share lost against keeping every function."""
+    flows = materialize(flowvec.build(carriers.documents(spark, d)), "flows")
     out = None
     for k in (1, 2, 3, 4):
-        row = reuse.clusters(line_members(spark, d, k)).agg(F.count(F.lit(1)).alias("n_clusters"), F.coalesce(F.sum("size"), F.lit(0)).alias("n_functions")).select(F.lit(k).alias("min_blocks"), "*")
+        v = materialize(reuse.as_functions(flows.where(F.col("n_blocks") >= k), CFG), "function-vectors")
+        row = reuse.clusters(reuse.placed(v, reuse.cluster_functions(v))).agg(F.count(F.lit(1)).alias("n_clusters"), F.coalesce(F.sum("size"), F.lit(0)).alias("n_functions")).select(F.lit(k).alias("min_blocks"), "*")
         out = row if out is None else out.union(row)
     out = materialize(out, "loss")
     base = out.where("min_blocks = 1").select(F.col("n_clusters").alias("b"))

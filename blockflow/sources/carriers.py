@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blockflow.functions.taxonomy import class_sql
-from blockflow.sources.tables import table
+from blockflow.sources.tables import spread, table
 
 
 def _sentence_blocks(df: DataFrame, line: str) -> DataFrame:
@@ -31,16 +31,23 @@ def document_lines(docs: DataFrame) -> DataFrame:
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     """C1: lines of documents; one row stays one map-side row, so no shuffle."""
-    return _sentence_blocks(document_lines(table(spark, sf_dir, "documents", "doc_id", "source", "text")), "line").select("sample_id", "func_id", "grp", "blocks", F.md5("line").alias("func_digest"))
+    return lines_of(spread(table(spark, sf_dir, "documents", "doc_id", "source", "text")))
+
+
+def lines_of(docs: DataFrame) -> DataFrame:
+    """The function frame of any texts: doc_id, source, text."""
+    return _sentence_blocks(document_lines(docs), "line").select("sample_id", "func_id", "grp", "blocks", F.md5("line").alias("func_digest"))
 
 
 def document_calls(docs: DataFrame) -> DataFrame:
     """C1 call edges: to the next line, and to the next line with the same first letter."""
     lines = F.expr("filter(transform(split(text, '\\n'), x -> trim(x)), x -> x <> '')")
     lead = docs.select(F.col("doc_id").alias("sample_id"), F.transform(lines, lambda x: F.lower(F.substring(x, 1, 1))).alias("cf_l"))
-    again = "nullif(array_position(slice(cf_l, i + 2, size(cf_l)), l), 0)"
-    edges = f"array_distinct(flatten(transform(cf_l, (l, i) -> filter(array(if(i + 1 < size(cf_l), named_struct('caller', i, 'callee', i + 1), null), if({again} is null, null, named_struct('caller', i, 'callee', cast(i + {again} as int)))), e -> e is not null))))"
-    return lead.select("sample_id", F.inline(F.expr(edges)))
+    # equal letters stand next to each other once sorted by (letter, place)
+    lead = lead.withColumn("cf_s", F.expr("sort_array(transform(cf_l, (l, i) -> named_struct('key', l, 'i', i)))"))
+    step = "transform(cf_l, (l, i) -> if(i + 1 < size(cf_l), named_struct('caller', i, 'callee', i + 1), null))"
+    again = "transform(cf_s, (x, k) -> if(get(cf_s, k + 1).key <=> x.key and get(cf_s, k + 1).i > x.i + 1, named_struct('caller', x.i, 'callee', get(cf_s, k + 1).i), null))"
+    return lead.select("sample_id", F.inline(F.expr(f"filter(concat({step}, {again}), e -> e is not null)")))
 
 
 def orders(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -7,7 +7,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from blockflow.session import shared_dir
+from blockflow.session import removed_at_exit, shared_dir
 
 
 def events(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -17,7 +17,9 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def drained(df: DataFrame, mode: str = "append") -> DataFrame:
     """Run a stream over what is there into a table in the shared folder, and read it."""
-    spark, path = df.sparkSession, f"{shared_dir(df.sparkSession)}/stream-{uuid.uuid4().hex}"
+    spark = df.sparkSession
+    path = removed_at_exit(spark, f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}")
+    removed_at_exit(spark, f"{path}-state")
     if mode == "append":
         df.writeStream.format("parquet").option("path", path).option("checkpointLocation", f"{path}-state").trigger(availableNow=True).start().awaitTermination()
     else:
