@@ -18,6 +18,10 @@ class FeatureConfig:
     rounds: int = 1
     x_offset: float = 0.0
     layout: str = "concat"
+    #: Order of a sample's nodes in the concat layout: func_id or content.
+    node_order: str = "func_id"
+    #: Vectors of different lengths: pad with zeros, or never match.
+    lengths: str = "pad"
     neighbours: str = "out"
     hop_agg: str = "sum"
     ignore_weight: float = 1.0

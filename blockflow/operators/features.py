@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from blockflow.config import FeatureConfig
@@ -49,13 +49,15 @@ def propagate(nodes: DataFrame, calls: DataFrame, cfg: FeatureConfig) -> DataFra
     return out
 
 
-def hashed(nodes: DataFrame, buckets: int = 256, digits: int = 4) -> DataFrame:
-    """String representation: each printed value with its place is a token; its bucket counts it in cls, shape is empty."""
-    tokens = lambda c, tag: F.transform(c, lambda x, i: F.pmod(F.xxhash64(F.concat_ws(":", F.lit(tag), F.col("hop").cast("string"), i.cast("string"), F.format_number(x, digits))), F.lit(buckets)))
+def hashed(nodes: DataFrame, buckets: int = 1024, digits: int = 4) -> DataFrame:
+    """String representation: each printed value with its place is a token; cf_t has the tokens' buckets."""
+    scale = F.lit(float(10**digits))
+    code = lambda t: F.pmod(F.conv(F.substring(F.md5(t), 1, 8), 16, 10).cast("long"), F.lit(buckets))
+    tokens = lambda c, tag: F.transform(c, lambda x, i: code(F.concat_ws(":", F.lit(tag), F.col("hop").cast("string"), i.cast("string"), F.floor(x * scale + 0.5).cast("long").cast("string"))))
     return nodes.withColumn("cf_t", F.concat(tokens("shape", "s"), tokens("cls", "c")))
 
 
-def hashed_samples(nodes: DataFrame, buckets: int = 256, digits: int = 4) -> DataFrame:
+def hashed_samples(nodes: DataFrame, buckets: int = 1024, digits: int = 4) -> DataFrame:
     """A count vector over buckets for each sample."""
     items = hashed(nodes, buckets, digits).select("sample_id", "func_id", F.explode("cf_t").alias("b"))
     n = nodes.groupBy("sample_id").agg(F.count_distinct("func_id").alias("n_nodes"))
@@ -65,9 +67,18 @@ def hashed_samples(nodes: DataFrame, buckets: int = 256, digits: int = 4) -> Dat
     return maps.join(n, "sample_id").select("sample_id", "n_nodes", F.expr("cast(array() as array<double>)").alias("shape"), vec.alias("cls"))
 
 
-def concatenated(nodes: DataFrame) -> DataFrame:
-    """Sample vectors: shape and class parts of all hops of all nodes in function order."""
-    ordered = F.array_sort(F.collect_list(F.struct("func_id", "hop", "shape", "cls")))
+def concatenated(nodes: DataFrame, order: str = "func_id") -> DataFrame:
+    """Sample vectors: shape and class parts of all hops of all nodes.
+
+    Nodes come in function order, or in the order of their content, which outlives a reordering of functions. A sample's
+    nodes meet in one row here, which the layout asks for; `pooled` doesn't.
+    """
+    if order == "content":
+        first = F.min(F.when(F.col("hop") == 0, F.struct("cls", "shape"))).over(Window.partitionBy("sample_id", "func_id"))
+        nodes = nodes.withColumn("cf_by", F.struct(first.alias("content"), "func_id"))
+    else:
+        nodes = nodes.withColumn("cf_by", F.col("func_id"))
+    ordered = F.array_sort(F.collect_list(F.struct("cf_by", "hop", "shape", "cls")))
     made = nodes.groupBy("sample_id").agg(ordered.alias("cf_n"), F.count_distinct("func_id").alias("n_nodes"))
     return made.select("sample_id", "n_nodes", F.flatten(F.col("cf_n.shape")).alias("shape"), F.flatten(F.col("cf_n.cls")).alias("cls"))
 
@@ -86,7 +97,7 @@ def sample_vectors(vectors: DataFrame, calls: DataFrame, cfg: FeatureConfig) ->
     if cfg.representation == "string":
         made = hashed_samples(nodes)
     else:
-        made = pooled(nodes, cfg) if cfg.layout == "pooled" else concatenated(nodes)
+        made = pooled(nodes, cfg) if cfg.layout == "pooled" else concatenated(nodes, cfg.node_order)
     if cfg.metric in ("hybrid", "gauss"):
         made = made.withColumn("shape", l2("shape"))
     return made.withColumn("vec_digest", F.md5(F.to_json(F.struct(F.transform("shape", lambda x: F.round(x, 10)), F.transform("cls", lambda x: F.round(x, 6))))))

@@ -10,7 +10,10 @@ from __future__ import annotations
 
 import itertools
 import math
+from collections.abc import Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -58,17 +61,70 @@ def _scored(pairs: DataFrame, metric: str, gamma: float) -> DataFrame:
     return staged.withColumn("s", final).select("id_a", "id_b", "s_cls", "s_shape", "s")
 
 
-def _paired(vectors: DataFrame) -> DataFrame:
-    v = with_norms(vectors)
-    return v.select(*[F.col(c).alias(f"{c}_a") for c in READY]).crossJoin(v.select(*[F.col(c).alias(f"{c}_b") for c in READY]))
-
-
-def brute(vectors: DataFrame, metric: str = "hybrid", gamma: float = 5.0, cap: int = BRUTE_CAP) -> DataFrame:
-    """Scores of all pairs; refused above a cap of pairs."""
+#: Vectors of a block of brute force.
+BLOCK = 256
+
+
+def _dense(column: pa.ListArray, width: int) -> np.ndarray:
+    at = np.asarray(column.offsets) - column.offsets[0].as_py()
+    out = np.zeros((len(at) - 1, width))
+    n = np.diff(at)
+    out[np.repeat(np.arange(len(n)), n), np.arange(at[-1]) - np.repeat(at[:-1], n)] = np.asarray(column.flatten())
+    return out
+
+
+def _cosines(product: np.ndarray, x: np.ndarray, y: np.ndarray) -> np.ndarray:
+    """As vec.ratio: 0 where one norm is zero, 1 where both are, never above 1; rounded to 10 digits."""
+    norms = x[:, None] * y[None, :]
+    out = np.minimum(1.0, np.divide(product, norms, out=np.zeros_like(product), where=norms > 0))
+    return np.round(np.where((x[:, None] == 0) & (y[None, :] == 0), 1.0, out), 10)
+
+
+def _block_scores(metric: str, gamma: float, least: float):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for left, right in zip(batch.column("left"), batch.column("right"), strict=True):
+                x, y = left.values, right.values
+                a, b = np.asarray(x.field("id")), np.asarray(y.field("id"))
+                part = {}
+                for k in ("shape", "cls"):
+                    p, q = x.field(k), y.field(k)
+                    width = max([1, *np.diff(np.asarray(p.offsets)).tolist(), *np.diff(np.asarray(q.offsets)).tolist()])
+                    part[k] = _dense(p, width), _dense(q, width)
+                norm = {k: [np.sqrt((m * m).sum(axis=1)) for m in part[k]] for k in part}
+                dot = {k: part[k][0] @ part[k][1].T for k in part}
+                s_cls = _cosines(dot["cls"], *norm["cls"])
+                if metric == "cosine":
+                    s_shape = _cosines(dot["shape"], *norm["shape"])
+                    s = _cosines(dot["shape"] + dot["cls"], *[np.hypot(p, q) for p, q in zip(norm["shape"], norm["cls"], strict=True)])
+                else:
+                    s_shape = np.round(np.exp(-gamma * np.stack([((row - part["shape"][1]) ** 2).sum(axis=1) for row in part["shape"][0]])), 10)
+                    s = {"hybrid": np.round(s_cls * s_shape, 10), "gauss": s_shape, "cls": s_cls}[metric]
+                # blocks differ, or are one and the same
+                same = len(a) == len(b) and (a == b).all()
+                keep = (s >= least) & ((a[:, None] < b[None, :]) if same else True)
+                i, j = np.nonzero(keep)
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(a[i], b[j])), pa.array(np.maximum(a[i], b[j])), pa.array(s_cls[i, j]), pa.array(s_shape[i, j]), pa.array(s[i, j])], names=["id_a", "id_b", "s_cls", "s_shape", "s"])
+
+    return run
+
+
+def brute(vectors: DataFrame, metric: str = "hybrid", gamma: float = 5.0, cap: int = BRUTE_CAP, least: float = -1.0) -> DataFrame:
+    """Scores of all pairs, or of those from `least` on; refused above a cap of pairs.
+
+    Blocks of vectors meet each other, and matrix products score them; only the pairs leave a block.
+    """
     n = vectors.count()
     if n * (n - 1) // 2 > cap:
         raise ValueError(f"{n} vectors have too many pairs for brute force")
-    return _scored(_paired(vectors).where("id_a < id_b"), metric, gamma)
+    blocks = max(1, -(-n // BLOCK))
+    # the cap bounds the number of blocks
+    held = vectors.groupBy(F.pmod(F.xxhash64("id"), F.lit(blocks)).alias("block")).agg(F.array_sort(F.collect_list(F.struct("id", "shape", "cls"))).alias("held"))
+    held = materialize(held, "blocks")
+    left, right = held.toDF("block_a", "left"), held.toDF("block_b", "right")
+    meet = vectors.sparkSession.range(blocks * blocks).selectExpr(f"id div {blocks} as block_a", f"id % {blocks} as block_b").where("block_a <= block_b")
+    dealt = meet.join(left, "block_a").join(right, "block_b").select("left", "right").repartition(vectors.sparkSession.sparkContext.defaultParallelism)
+    return dealt.mapInArrow(_block_scores(metric, gamma, least), "id_a long, id_b long, s_cls double, s_shape double, s double")
 
 
 #: Coordinates of each part among which the grid's axes are chosen, and those of the first, cheap distance test.
@@ -185,7 +241,7 @@ def ann_pairs(vectors: DataFrame, tau: float, metric: str = "cls", gamma: float
 BACKENDS = {
     "grid": lambda v, tau, gamma, metric: grid_pairs(v, tau, gamma, metric),
     "grid_wide": lambda v, tau, gamma, metric: grid_pairs(v, tau, gamma, metric, wide=True),
-    "brute": lambda v, tau, gamma, metric: brute(v, metric, gamma).where(F.col("s") >= tau),
+    "brute": lambda v, tau, gamma, metric: brute(v, metric, gamma, least=tau),
     "ann": lambda v, tau, gamma, metric: ann_pairs(v, tau, metric, gamma),
 }
 
