@@ -173,15 +173,14 @@ def _sizes_allow(config: NearDupConfig, x: str, y: str) -> Column:
 
 
 def verify(pairs: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataFrame:
-    """Those pairs (hub, node, n) whose full shingle sets are similar enough, as (a, b); n is the size of the node's set.
+    """Those pairs (hub, node, ways) whose full shingle sets are similar enough, as (a, b).
 
-    texts has doc_id and text.
+    ways says into how many chunks the hub's partners are dealt. texts has doc_id and text.
     """
-    chunks = pairs.groupBy("hub").agg(F.ceil(F.sum("n") / config.block).alias("chunks"))
-    dealt = pairs.join(chunks, "hub").select("hub", F.pmod(F.xxhash64("node"), "chunks").alias("chunk"), "node", F.lit(True).alias("is_node"))
-    heads = dealt.select("hub", "chunk").distinct().select("hub", "chunk", F.col("hub").alias("node"), F.lit(False).alias("is_node"))
-    full = dealt.union(heads).join(texts.select(F.col("doc_id").alias("node"), "text"), "node").select("hub", "chunk", "is_node", "node", "text")
-    return full.repartition("hub", "chunk").sortWithinPartitions("hub", "chunk", "is_node").mapInArrow(_verified(config), "a long, b long")
+    dealt = pairs.select("hub", "ways", F.pmod(F.xxhash64("node"), "ways").alias("chunk"), "node", F.lit(True).alias("is_node"))
+    heads = dealt.select("hub", "ways", "chunk").distinct().select("hub", "ways", "chunk", F.col("hub").alias("node"), F.lit(False).alias("is_node"))
+    full = dealt.union(heads).join(texts.select(F.col("doc_id").alias("node"), "text"), "node").select("hub", "ways", "chunk", "is_node", "node", "text")
+    return full.repartition("hub", "ways", "chunk").sortWithinPartitions("hub", "ways", "chunk", "is_node").mapInArrow(_verified(config), "a long, b long")
 
 
 def _overlaps(x: tuple[np.ndarray, np.ndarray], y: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
@@ -305,17 +304,19 @@ def near_duplicates(docs: DataFrame, config: NearDupConfig = NearDupConfig()) ->
         .where("n_shingles > 0")
         .select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("n"), F.explode("bands").alias("key"))
     )
-    shared = bands.groupBy("key").agg(F.min(F.struct("node", "n")).alias("hub"), F.max("node").alias("last")).where("hub.node < last")
+    shared = bands.groupBy("key").agg(F.min(F.struct("node", "n")).alias("hub"), F.max("node").alias("last"), F.sum("n").alias("w")).where("hub.node < last")
+    # written, so that a bucket with a large share of all nodes can be split where it is joined
+    shared = materialize(shared.select("key", F.col("hub.node").alias("hub"), F.col("hub.n").alias("hub_n"), F.ceil(F.col("w") / config.block).alias("ways")), "keys")
     # only buckets with two nodes or more matter from here on
-    rows = materialize(bands.join(shared.select("key", F.col("hub.node").alias("hub"), F.col("hub.n").alias("hub_n")), "key").select("hub", "hub_n", "node", "n").distinct(), "buckets")
+    rows = materialize(bands.join(shared, "key").groupBy("hub", "hub_n", "node", "n").agg(F.max("ways").alias("ways")), "buckets")
     in_play = rows.select(F.col("node").alias("doc_id")).distinct()
     texts = materialize(docs.select("doc_id", "text").join(in_play, "doc_id", "left_semi"), "texts")
-    pairs = rows.where("hub < node").where(_sizes_allow(config, "n", "hub_n")).select("hub", "node", "n")
+    pairs = rows.where("hub < node").where(_sizes_allow(config, "n", "hub_n")).select("hub", "node", "ways")
     links = materialize(verify(pairs, texts, config), "verified")
     roots = materialize(connected_components(links), "roots")
     # hubs whose nodes aren't all in one component leave pairs to look at
     rooted = rows.select("hub", "node", "n").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    split = rooted.groupBy("hub").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("hub")
+    split = materialize(rooted.groupBy("hub").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("hub"), "split-hubs")
     open_ = materialize(rooted.join(split, "hub", "left_semi").select("node", "root", "n").distinct(), "open")
     if not open_.isEmpty():
         links = links.union(materialize(_family_links(open_, texts, config), "family-links"))
