@@ -19,9 +19,9 @@ def enrich(df: DataFrame, meta: DataFrame, key: str) -> DataFrame:
 
 
 def integrity(docs: DataFrame) -> DataFrame:
-    """Add digest and reason: null for intact documents."""
+    """Add digest (recomputed SHA-256) and reason: null for intact documents."""
     reason = F.when(F.col("text").isNull() | (F.col("text") == ""), "empty").when(F.col("n_chars") != F.length("text"), "length")
-    return docs.withColumn("digest", F.md5("text")).withColumn("reason", reason)
+    return docs.withColumn("digest", F.sha2("text", 256)).withColumn("reason", reason)
 
 
 def page_integrity(pages: DataFrame) -> DataFrame:

@@ -62,20 +62,19 @@ def prefilter(pairs: DataFrame, tau: float, verify: Column) -> DataFrame:
     return pairs.where(F.col("s") >= tau).where(verify)
 
 
-def increment(new: DataFrame, index: DataFrame, roots: DataFrame, cfg: FeatureConfig, tau: float = SAMPLE_TAU) -> tuple[DataFrame, DataFrame]:
+def increment(new: DataFrame, index: DataFrame, roots: DataFrame, cfg: FeatureConfig, tau: float = SAMPLE_TAU, axes: list | None = None) -> tuple[DataFrame, DataFrame]:
     """(index, roots) after a batch: only new vectors are compared, with each other and with the index.
 
     new: id, shape, cls, vec_digest; index: the same columns of the distinct vectors so far; roots: (id, root) so far.
+    The grid's axes may be given, so that batches needn't look for them.
     """
-    batch, _ = similarity.collapse(new.select("id", "shape", "cls", "vec_digest"))
-    heads = batch.join(new.select("id", "vec_digest"), "id")
-    fresh = materialize(heads.join(index.select("vec_digest"), "vec_digest", "left_anti").select("id", "shape", "cls", "vec_digest"), "fresh")
-    every = materialize(index.unionByName(fresh), "index")
+    batch = new.groupBy("vec_digest").agg(F.min_by(F.struct("id", "shape", "cls"), "id").alias("v")).select("v.*", "vec_digest")
+    fresh = materialize(batch.join(index.select("vec_digest"), "vec_digest", "left_anti").select("id", "shape", "cls", "vec_digest"), "fresh")
+    every = index.unionByName(fresh)
     same = new.select("id", "vec_digest").join(every.select("vec_digest", F.col("id").alias("head")), "vec_digest").where("id <> head").select(F.col("head").alias("a"), F.col("id").alias("b"))
-    inside = similarity.grid_pairs(fresh, tau, cfg.gamma, cfg.metric, wide=True)
-    found = inside.union(similarity.grid_between(fresh, index, tau, cfg.gamma, cfg.metric, wide=True)).select(F.col("id_a").alias("a"), F.col("id_b").alias("b"))
+    found = similarity.grid_between(fresh, every, tau, cfg.gamma, cfg.metric, wide=True, axes=axes).where("id_a < id_b").select(F.col("id_a").alias("a"), F.col("id_b").alias("b"))
     # old components take part by their roots alone
     links = same.union(found).join(roots.toDF("a", "ra"), "a", "left").join(roots.toDF("b", "rb"), "b", "left").select(F.coalesce("ra", "a").alias("a"), F.coalesce("rb", "b").alias("b"))
-    merged = materialize(connected_components(materialize(links, "links")), "merged")
+    merged = connected_components(links).toDF("node", "next")
     known = roots.union(new.select("id", F.col("id").alias("root")))
-    return every, materialize(known.join(merged, known["root"] == merged["node"], "left").select("id", F.coalesce(merged["root"], known["root"]).alias("root")), "roots")
+    return every, materialize(known.join(merged, known["root"] == merged["node"], "left").select("id", F.coalesce("next", "root").alias("root")), "roots")

@@ -14,7 +14,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from blockflow.operators.components import connected_components
@@ -158,6 +158,11 @@ def _axes(vectors: DataFrame, sides: dict[str, float], joint: bool) -> list[tupl
     return [x for n, x in enumerate(best) if n == 0 or spread[x] > 0.25]
 
 
+def axes_of(vectors: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybrid") -> list[tuple[str, int]]:
+    """Axes for a grid over these vectors, to be used for others like them too."""
+    return _axes(with_norms(vectors), _sides(metric, tau, gamma), metric == "cosine")
+
+
 def _celled(vectors: DataFrame, axes: list[tuple[str, int]], sides: dict[str, float], joint: bool) -> DataFrame:
     return vectors.withColumns({f"cell{n}": F.floor(_coordinate(part, k, joint) / sides[part]) for n, (part, k) in enumerate(axes)})
 
@@ -170,7 +175,7 @@ def _shifted(placed: DataFrame, axes: int, half: bool) -> DataFrame:
     return placed.withColumn("cf_to", F.explode(made)).withColumns({f"cell{n}": F.col(f"cf_to.cell{n}") for n in range(axes)}).withColumn("cf_own", F.col("cf_to.cf_own")).drop("cf_to")
 
 
-def grid(vectors: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybrid", wide: bool = False, against: DataFrame | None = None) -> DataFrame:
+def grid(vectors: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybrid", wide: bool = False, against: DataFrame | None = None, axes: list | None = None) -> DataFrame:
     """Candidate pairs with vectors and norms (sides _a and _b), among the vectors, or between them and others.
 
     Each cell meets half of its neighbours by an equi-join. `wide` vectors don't travel with the cells: ids and leading
@@ -179,7 +184,7 @@ def grid(vectors: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybr
     sides, joint = _sides(metric, tau, gamma), metric == "cosine"
     first = with_norms(vectors)
     second = first if against is None else with_norms(against)
-    axes = _axes(second, sides, joint)
+    axes = axes or _axes(second, sides, joint)
     cells = [f"cell{n}" for n in range(len(axes))]
     held = ["id", "near"] if wide else READY
     near = F.array(*[_coordinate("shape", k, joint) for k in range(LEADING)])
@@ -207,14 +212,14 @@ def _ordered(pairs: DataFrame) -> DataFrame:
     return pairs.select(F.least("id_a", "id_b").alias("id_a"), F.greatest("id_a", "id_b").alias("id_b"), "s_cls", "s_shape", "s")
 
 
-def grid_pairs(vectors: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybrid", wide: bool = False) -> DataFrame:
+def grid_pairs(vectors: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybrid", wide: bool = False, axes: list | None = None) -> DataFrame:
     """Pairs with a score of at least tau, id_a below id_b; nothing is lost for any metric."""
-    return _ordered(_scored(grid(vectors, tau, gamma, metric, wide), metric, gamma).where(F.col("s") >= tau))
+    return _ordered(_scored(grid(vectors, tau, gamma, metric, wide, axes=axes), metric, gamma).where(F.col("s") >= tau))
 
 
-def grid_between(new: DataFrame, index: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybrid", wide: bool = False) -> DataFrame:
+def grid_between(new: DataFrame, index: DataFrame, tau: float, gamma: float = 5.0, metric: str = "hybrid", wide: bool = False, axes: list | None = None) -> DataFrame:
     """Pairs of a new vector and one of the index with a score of at least tau, id_a below id_b."""
-    return _ordered(_scored(grid(new, tau, gamma, metric, wide, against=index), metric, gamma).where(F.col("s") >= tau))
+    return _ordered(_scored(grid(new, tau, gamma, metric, wide, against=index, axes=axes), metric, gamma).where(F.col("s") >= tau))
 
 
 def sign_lsh(vectors: DataFrame, width: int = 12, tables: int = 16, dims: int = 64) -> DataFrame:
@@ -237,6 +242,31 @@ def ann_pairs(vectors: DataFrame, tau: float, metric: str = "cls", gamma: float
     return _scored(c.join(a, "id_a").join(b, "id_b"), metric, gamma).where(F.col("s") >= tau)
 
 
+#: Pivots of the inverted lists, in how many lists a vector stands, and how many a query visits.
+LISTS, HOMES, PROBES = 32, 4, 16
+
+
+def nearest(vectors: DataFrame, queries: DataFrame, k: int, lists: int = LISTS, probes: int | None = PROBES) -> DataFrame:
+    """(query, id, s, place) of the k most similar class parts to each query, by inverted lists; exact where probes is None.
+
+    A fixed number of pivots, the vectors with the smallest md5 of their ids, parts the vectors: each stands in the lists of
+    its HOMES nearest pivots, and a query meets those of its `probes` nearest. Every vector is in some list.
+    """
+    v, q = with_norms(vectors).select("id", "cls", "norm_cls"), with_norms(queries).select(F.col("id").alias("query"), F.col("cls").alias("cls_q"), F.col("norm_cls").alias("norm_q"))
+    cos = lambda a, na, b, nb: F.round(ratio(dot(a, b), F.col(na), F.col(nb)), 10)
+    if probes is None:
+        both = q.crossJoin(v)
+    else:
+        pivots = materialize(v.orderBy(F.md5(F.col("id").cast("string"))).limit(lists).select(F.col("id").alias("pivot"), F.col("cls").alias("cls_p"), F.col("norm_cls").alias("norm_p")), "pivots")
+        by = lambda key, a, na: Window.partitionBy(key).orderBy(F.desc(cos(a, na, "cls_p", "norm_p")), "pivot")
+        home = v.crossJoin(F.broadcast(pivots)).withColumn("r", F.row_number().over(by("id", "cls", "norm_cls"))).where(F.col("r") <= HOMES).select("id", "cls", "norm_cls", "pivot")
+        seen = q.crossJoin(F.broadcast(pivots)).withColumn("r", F.row_number().over(by("query", "cls_q", "norm_q"))).where(F.col("r") <= probes)
+        both = seen.select("query", "cls_q", "norm_q", "pivot").join(home, "pivot").dropDuplicates(["query", "id"])
+    scored = both.where("query <> id").withColumn("s", cos("cls_q", "norm_q", "cls", "norm_cls")).select("query", "id", "s")
+    place = F.row_number().over(Window.partitionBy("query").orderBy(F.desc("s"), "id"))
+    return scored.withColumn("place", place).where(F.col("place") <= k)
+
+
 #: Pair generators by name: (vectors, tau, gamma, metric) -> scored pairs of at least tau.
 BACKENDS = {
     "grid": lambda v, tau, gamma, metric: grid_pairs(v, tau, gamma, metric),

@@ -143,8 +143,9 @@ def incremental_dedup(spark: SparkSession, d: str) -> DataFrame:
     """Documents arrive in ten batches by doc_id; the roots in the end are those of one run."""
     v = doc_vectors(spark, d)
     index, roots = v.where("false").select("id", "shape", "cls", "vec_digest"), v.where("false").select("id", F.col("id").alias("root"))
+    axes = similarity.axes_of(v, SAMPLE_TAU, CFG.gamma)
     for k in range(10):
-        index, roots = dedup.increment(v.where(F.pmod("id", F.lit(10)) == k), index, roots, CFG)
+        index, roots = dedup.increment(v.where(F.pmod("id", F.lit(10)) == k), index, roots, CFG, axes=axes)
     return roots
 
 
@@ -290,17 +291,21 @@ def trivial_filter_loss(spark: SparkSession, d: str) -> DataFrame:
 def _embedded(spark: SparkSession, d: str) -> DataFrame:
     """Embeddings with planted near copies of every tenth."""
     e = table(spark, d, "embeddings", "vec_id", "embedding").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("cls"))
-    near = e.where("id % 10 = 0").select((F.col("id") + 1_000_000).alias("id"), F.transform("cls", lambda x, i: F.when(i == 0, x + 1e-3).otherwise(x)).alias("cls"))
+    near = e.where("id % 10 = 0").select((F.col("id") + 1_000_000).alias("id"), F.transform("cls", lambda x, i: F.when(i == 0, x + F.lit(0.001)).otherwise(x)).alias("cls"))
     return e.union(near).select("id", F.expr("cast(array() as array<double>)").alias("shape"), "cls", F.md5(F.to_json("cls")).alias("vec_digest"))
 
 
-@query("ann_neighbours")
+_EMBEDDED = """ev as (select vec_id as id, list_transform(embedding, lambda x: cast(x as double)) as c from embeddings), ee as (select * from ev union all select id + 1000000, list_concat([c[1] + 0.001], c[2:]) from ev where id % 10 = 0),
+    pr as (select a.id as a, b.id as b, round(least(1, list_dot_product(a.c, b.c) / (sqrt(list_dot_product(a.c, a.c)) * sqrt(list_dot_product(b.c, b.c)))), 10) as s from ee a join ee b on a.id < b.id), pp as (select * from pr where s >= 0.999)"""
+
+
+@query("ann_neighbours", f"with {_EMBEDDED} select a as id_a, b as id_b, round(s, 6) as s from pp")
 def ann_neighbours(spark: SparkSession, d: str) -> DataFrame:
     v = materialize(_embedded(spark, d), "vectors")
     return similarity.ann_pairs(v, 0.999).select("id_a", "id_b", F.round("s", 6).alias("s"))
 
 
-@query("search_and_prune")
+@query("search_and_prune", f"with recursive {_EMBEDDED}, {G.reach('pp')} select ee.id, coalesce(root, ee.id) as root from ee left join roots on node = ee.id")
 def search_and_prune(spark: SparkSession, d: str) -> DataFrame:
     return similarity.search_and_prune(_embedded(spark, d), 0.999, metric="cls", backend="ann")
 

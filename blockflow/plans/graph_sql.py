@@ -67,7 +67,7 @@ DOC_CALLS = "lk as (select sample_id, func_id, lower(substr(line, 1, 1)) as k, c
 ORDER_CALLS = "calls as (select distinct sample_id, caller, callee from (select o_custkey as sample_id, o_orderkey as caller, lead(o_orderkey) over (partition by o_custkey order by o_orderdate, o_orderkey) as callee from orders union all select o_custkey, o_orderkey, lead(o_orderkey) over (partition by o_custkey, o_orderpriority order by o_orderdate, o_orderkey) from orders) where callee is not null)"
 
 
-def _reach(pairs: str, tag: str = "") -> str:
+def reach(pairs: str, tag: str = "") -> str:
     """roots{tag} (node, root) of the links (a, b) of a relation."""
     return f"""e{tag} as (select a, b from {pairs} union select b, a from {pairs}), reach{tag}(node, root) as (select a, a from e{tag} union select e.b, r.root from reach{tag} r join e{tag} e on e.a = r.node),
     roots{tag} as (select node, min(root) as root from reach{tag} group by 1)"""
@@ -87,7 +87,7 @@ def function_pairs(least: int = 3, unique_ids: bool = False, tag: str = "", tau:
 
 def members(least: int = 3, unique_ids: bool = False, tag: str = "") -> str:
     """members{tag}: id, sample_id, func_id, grp, root."""
-    return f"{function_pairs(least, unique_ids, tag)}, {_reach(f'pp{tag}', tag)}, members{tag} as (select id, sample_id, func_id, grp, coalesce(root, head) as root from hd{tag} left join roots{tag} on head = node)"
+    return f"{function_pairs(least, unique_ids, tag)}, {reach(f'pp{tag}', tag)}, members{tag} as (select id, sample_id, func_id, grp, coalesce(root, head) as root from hd{tag} left join roots{tag} on head = node)"
 
 
 def sample_pairs(calls: str, gap: float = 0.0045, tau: float = 0.9999) -> str:
@@ -107,13 +107,13 @@ def sample_pairs(calls: str, gap: float = 0.0045, tau: float = 0.9999) -> str:
 
 def sample_roots(calls: str) -> str:
     """rt: (id, root) of the samples."""
-    return f"{sample_pairs(calls)}, {_reach('sp')}, rt as (select id, coalesce(root, head) as root from sv left join roots on head = node)"
+    return f"{sample_pairs(calls)}, {reach('sp')}, rt as (select id, coalesce(root, head) as root from sv left join roots on head = node)"
 
 
 def scoped_roots(calls: str, groups: str) -> str:
     """rg: (id, root) inside groups only; groups is a select of id and grp."""
     return f"""{sample_pairs(calls)}, gm as (select sv.id, sv.head, g.grp from sv join ({groups}) g on g.id = sv.id), rep as (select grp, head, min(id) as rep from gm group by 1, 2),
-    gl as (select x.rep as a, y.rep as b from sp join rep x on x.head = sp.a join rep y on y.head = sp.b and y.grp = x.grp), {_reach('gl')},
+    gl as (select x.rep as a, y.rep as b from sp join rep x on x.head = sp.a join rep y on y.head = sp.b and y.grp = x.grp), {reach('gl')},
     rg as (select gm.id, coalesce(root, rep) as root from gm join rep using (grp, head) left join roots on rep = node)"""
 
 

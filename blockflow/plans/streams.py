@@ -6,7 +6,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blockflow.plans.base import query
-from blockflow.streaming.jobs import drained, events
+from blockflow.operators import alias as A
+from blockflow.operators import flowvec, reuse
+from blockflow.plans import graph_sql as G
+from blockflow.sources import carriers
+from blockflow.sources.tables import table
+from blockflow.streaming.jobs import drained, events, file_stream
 
 
 @query("stream_tumbling", "select event_type, cast(date_trunc('hour', ts) as timestamp) as start_ts, count(*) as n from events where ts is not null group by 1, 2")
@@ -33,3 +38,44 @@ def stream_session(spark: SparkSession, d: str) -> DataFrame:
     s = events(spark, d).where("ts is not null and user_id is not null").groupBy("user_id", F.session_window("ts", "12 hours")).agg(F.count(F.lit(1)).alias("n"))
     out = drained(s.select("user_id", F.col("session_window.start").alias("start_ts"), F.col("session_window.end").alias("end_ts"), "n"), "complete")
     return out.withColumns({c: F.col(c).cast("timestamp_ntz") for c in ("start_ts", "end_ts")})
+
+
+@query("stream_interval_join", "select c.event_id as click_id, p.event_id as purchase_id from events c join events p on c.user_id = p.user_id and p.ts between c.ts and c.ts + interval 1 hour where c.event_type = 'click' and p.event_type = 'purchase'")
+def stream_interval_join(spark: SparkSession, d: str) -> DataFrame:
+    """Purchases within an hour after a click of the same user; watermarks bound the state of both sides."""
+    # the files hold 30 days in any order, so both sides wait that long
+    side = lambda kind, x: events(spark, d).where((F.col("event_type") == kind) & F.col("user_id").isNotNull() & F.col("ts").isNotNull()).select(F.col("user_id").alias(f"user_{x}"), F.col("event_id").alias(f"id_{x}"), F.col("ts").alias(f"ts_{x}")).withWatermark(f"ts_{x}", "31 days")
+    joined = side("click", "c").join(side("purchase", "p"), F.expr("user_c = user_p and ts_p >= ts_c and ts_p <= ts_c + interval 1 hour"))
+    return drained(joined.select(F.col("id_c").alias("click_id"), F.col("id_p").alias("purchase_id")))
+
+
+@query("stream_alias", "select n_nationkey, c_custkey from (select c_custkey, c_nationkey from customer) join (select n_nationkey, lower(n_name) as k from nation) on c_nationkey = n_nationkey")
+def stream_alias(spark: SparkSession, d: str) -> DataFrame:
+    """Records of a stream that name their nation in another spelling, resolved against the static names."""
+    names = table(spark, d, "nation", "n_nationkey", "n_name").withColumn("k", A.clean(F.col("n_name")))
+    spelled = names.select(F.col("n_nationkey").alias("c_nationkey"), F.concat(F.lit("The "), F.upper("n_name")).alias("spelling"))
+    stream = file_stream(spark, d, "customer").join(spelled, "c_nationkey").withColumn("k", A.clean(F.col("spelling")))
+    return drained(stream.join(names, "k").select("n_nationkey", "c_custkey"))
+
+
+def _line_stream(spark: SparkSession, d: str) -> DataFrame:
+    """Function vectors of a stream of documents; all inside the row, so the stream keeps no state."""
+    func = carriers.lines_of(file_stream(spark, d, "documents").select("doc_id", "source", "text"))
+    return reuse.as_functions(flowvec.build(func, min_blocks=3))
+
+
+_HEADS = f"with {G.DOC_BLOCKS}, {G.FLOW}, {G.function_pairs()}"
+
+
+@query("stream_near_dup", f"{_HEADS} select n.id, min(o.id) as lib_id from hd n join hd o on o.head = n.head where n.sample_id % 2 = 1 and o.sample_id % 2 = 0 group by 1")
+def stream_near_dup(spark: SparkSession, d: str) -> DataFrame:
+    """Functions of odd documents, as a stream, that have a twin in the static index of the even ones."""
+    even = reuse.function_frame(carriers.documents(spark, d).where("sample_id % 2 = 0"))
+    index = even.groupBy("vec_digest").agg(F.min("id").alias("lib_id"))
+    return drained(_line_stream(spark, d).where("sample_id % 2 = 1").join(index, "vec_digest").select("id", "lib_id"))
+
+
+@query("stream_representatives", f"{_HEADS} select head as id, count(*) as n from hd group by 1")
+def stream_representatives(spark: SparkSession, d: str) -> DataFrame:
+    """The stateful form: for each vector the function with the smallest id so far, and how many there were."""
+    return drained(_line_stream(spark, d).groupBy("vec_digest").agg(F.min("id").alias("id"), F.count(F.lit(1)).alias("n")).select("id", "n"), "complete")

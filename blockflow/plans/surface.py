@@ -2,11 +2,15 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from blockflow.plans.base import query
-from blockflow.session import shared_dir
+from blockflow.functions import sql as functions
+from blockflow.functions.taxonomy import class_sql
+from blockflow.session import removed_at_exit, shared_dir
 from blockflow.sources.tables import table
 
 
@@ -22,8 +26,8 @@ def scan_parquet(spark: SparkSession, d: str) -> DataFrame:
 
 
 def _round_trip(df: DataFrame, kind: str, **options) -> DataFrame:
-    path = f"{shared_dir(df.sparkSession)}/scan-{kind}"
-    df.write.mode("overwrite").format(kind).options(**options).save(path)
+    path = removed_at_exit(df.sparkSession, f"{shared_dir(df.sparkSession)}/scan-{kind}-{uuid.uuid4().hex}")
+    df.write.format(kind).options(**options).save(path)
     return df.sparkSession.read.schema(df.schema).format(kind).options(**options).load(path)
 
 
@@ -142,3 +146,68 @@ def json_props(spark: SparkSession, d: str) -> DataFrame:
 @query("unpivot_labels", "select doc_id, 'quality' as name, quality as value from labels union all select doc_id, 'toxic', toxic from labels")
 def unpivot_labels(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "labels", "doc_id", "quality", "toxic").unpivot("doc_id", ["quality", "toxic"], "name", "value")
+
+
+@query("scan_text", "select n_name as value from nation")
+def scan_text(spark: SparkSession, d: str) -> DataFrame:
+    return _round_trip(table(spark, d, "nation", "n_name").withColumnRenamed("n_name", "value"), "text")
+
+
+@query("sink_partitioned", "select n_regionkey, count(*) as n from nation where n_regionkey in (1, 2) group by 1")
+def sink_partitioned(spark: SparkSession, d: str) -> DataFrame:
+    """Written by group, read with the other groups' folders pruned."""
+    path = removed_at_exit(spark, f"{shared_dir(spark)}/sink-{uuid.uuid4().hex}")
+    table(spark, d, "nation").write.partitionBy("n_regionkey").parquet(path)
+    return spark.read.parquet(path).where("n_regionkey in (1, 2)").groupBy("n_regionkey").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("window_running_f1", "with j as (select lang, doc_id, n_chars, quality from documents join labels using (doc_id)), p as (select lang, count(*) filter (where quality = 1) as p from j group by 1), r as (select lang, doc_id, row_number() over w as k, sum(quality) over (partition by lang order by n_chars desc, doc_id rows unbounded preceding) as tp from j window w as (partition by lang order by n_chars desc, doc_id)) select lang, doc_id, cast(k as int) as place, cast(tp as bigint) as tp, round(2 * tp / nullif(k + p, 0), 6) as f1 from r join p using (lang)")
+def window_running_f1(spark: SparkSession, d: str) -> DataFrame:
+    """Documents by length as a score for quality: F1 at every cut, language by language."""
+    j = table(spark, d, "documents", "doc_id", "lang", "n_chars").join(table(spark, d, "labels", "doc_id", "quality"), "doc_id")
+    w = Window.partitionBy("lang").orderBy(F.desc("n_chars"), "doc_id")
+    made = j.withColumn("place", F.row_number().over(w)).withColumn("tp", F.sum("quality").over(w.rowsBetween(Window.unboundedPreceding, 0)))
+    p = j.groupBy("lang").agg(F.sum("quality").alias("p"))
+    return made.join(p, "lang").select("lang", "doc_id", "place", "tp", F.round(F.try_divide(2 * F.col("tp"), F.col("place") + F.col("p")), 6).alias("f1"))
+
+
+@query("window_lineage_lag", "select o_orderkey, cast(cast(o_orderdate as date) - lag(cast(o_orderdate as date)) over (partition by o_custkey order by o_orderdate, o_orderkey) as int) as days from orders")
+def window_lineage_lag(spark: SparkSession, d: str) -> DataFrame:
+    w = Window.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey")
+    o = table(spark, d, "orders", "o_orderkey", "o_custkey", "o_orderdate")
+    return o.select("o_orderkey", F.datediff("o_orderdate", F.lag("o_orderdate").over(w)).alias("days"))
+
+
+@query("sql_functions", f"""select p_partkey, round(case when p_size = 0 then 0 else least(1.0, (p_size * 1.0 + 2.0) / (sqrt(p_size * p_size + 4) * sqrt(2))) end, 6) as cosine, round(exp(-5 * power(p_size / 10.0 - 1, 2)), 6) as gauss,
+    round(case when p_size = 0 then 0 else least(1.0, (p_size * 1.0 + 2.0) / (sqrt(p_size * p_size + 4) * sqrt(2))) end * exp(-5 * power(p_size / 10.0 - 1, 2)), 6) as hybrid,
+    round(100 * (1 - levenshtein(p_name, p_brand) / greatest(length(p_name), length(p_brand))), 6) as edit,
+    round(100 * (1 - levenshtein(array_to_string(list_sort(string_split(p_name, ' ')), ' '), array_to_string(list_sort(string_split(p_type, ' ')), ' ')) / greatest(length(p_name), length(p_type))), 6) as token_sort,
+    cast({class_sql('p_brand', duck=True)} as int) as class, array_to_string(list_filter(string_split(trim(regexp_replace(lower(p_brand), '[^a-z0-9]+', ' ', 'g')), ' '), lambda w: w not in ('the', 'group', 'team', '')), ' ') as cleaned,
+    (select round(-sum(n / t * log2(n / t)), 6) from (select ch, count(*) as n, sum(count(*)) over () as t from (select unnest(string_split(p_name, '')) as ch) group by 1)) as entropy from part""")
+def sql_functions(spark: SparkSession, d: str) -> DataFrame:
+    """All bf_ functions in one statement."""
+    functions.register(spark)
+    table(spark, d, "part").createOrReplaceTempView("bf_part")
+    return spark.sql("""select p_partkey, round(bf_cosine(array(double(p_size), 2d), array(1d, 1d)), 6) as cosine, round(bf_gauss(array(p_size / 10d), array(1d), 5d), 6) as gauss,
+        round(bf_hybrid(array(double(p_size), 2d), array(1d, 1d), array(p_size / 10d), array(1d), 5d), 6) as hybrid, bf_edit_ratio(p_name, p_brand) as edit, bf_token_sort_ratio(p_name, p_type) as token_sort,
+        bf_class_of(p_brand) as class, bf_clean_alias(p_brand) as cleaned, round(bf_entropy(p_name), 6) as entropy from bf_part""")
+
+
+@query("udtf_blocks", "with b as (select item_id, list_filter(list_transform(string_split(text, chr(10)), lambda x: trim(x)), lambda x: x <> '') as l from benchmark), c as (select item_id, i - 1 as func_id, list_filter(list_transform(string_split_regex(l[i], '[.!?,;]+'), lambda x: trim(x)), lambda x: x <> '') as p from (select *, unnest(range(1, len(l) + 1)) as i from b)) select item_id, cast(func_id as int) as func_id, cast(j - 1 as int) as block_id, cast(len(list_filter(string_split_regex(p[j], '\\s+'), lambda x: x <> '')) as int) as n from (select *, unnest(range(1, len(p) + 1)) as j from c)")
+def udtf_blocks(spark: SparkSession, d: str) -> DataFrame:
+    functions.register(spark)
+    table(spark, d, "benchmark").createOrReplaceTempView("bf_benchmark")
+    return spark.sql("select item_id, b.func_id, b.block_id, b.n from bf_benchmark, lateral blocks_of(text) b")
+
+
+@query("udf_normal_form", "select s_suppkey, s_name as name from supplier")
+def udf_normal_form(spark: SparkSession, d: str) -> DataFrame:
+    """Names in compatibility form; a wide letter, put in front, becomes the plain one and is cut off again."""
+    made = table(spark, d, "supplier", "s_suppkey", "s_name").withColumn("name", functions.normal_form(F.concat(F.lit("\uff21"), "s_name")))
+    return made.where(F.substring("name", 1, 1) == "A").select("s_suppkey", F.expr("substring(name, 2)").alias("name"))
+
+
+@query("intervals_by_lang")
+def intervals_by_lang(spark: SparkSession, d: str) -> DataFrame:
+    j = table(spark, d, "documents", "doc_id", "lang").join(table(spark, d, "labels"), "doc_id")
+    return functions.exact_intervals(j, "lang", "quality = 1 and toxic = 0")
