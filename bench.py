@@ -10,7 +10,7 @@ from pyspark.sql import SparkSession
 
 from blockflow.plans.registry import QUERIES
 
-HEADLINE = ["flow_vectors_docs", "flow_vectors_orders", "function_pairs", "reuse_clusters", "label_resolution", "diversity_corpora", "cleaning_funnel", "alias_resolve"]
+HEADLINE = ["flow_vectors_docs", "flow_vectors_orders", "dedup_kept", "function_pairs", "reuse_clusters", "label_resolution", "diversity_corpora", "cleaning_funnel", "alias_resolve"]
 
 
 def main() -> None:

@@ -8,6 +8,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
 from blockflow.functions.taxonomy import class_sql
@@ -43,13 +44,13 @@ def register(spark: SparkSession) -> None:
     spark.udtf.register("blocks_of", blocks_of)
 
 
-@pandas_udf("string")
+@pandas_udf(T.StringType())
 def normal_form(names: pd.Series) -> pd.Series:
     """Unicode compatibility form, which SQL has no function for; null stays null."""
     return names.map(lambda x: unicodedata.normalize("NFKC", x), na_action="ignore")
 
 
-@pandas_udf("struct<low: double, high: double>")
+@pandas_udf(T.StructType().add("low", "double").add("high", "double"))
 def _interval_of(batches: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.DataFrame]:
     for k, n in batches:
         yield pd.DataFrame([S.exact_interval(int(a), int(b)) if b else (0.0, 1.0) for a, b in zip(k, n, strict=True)], columns=["low", "high"])
@@ -61,7 +62,7 @@ def exact_intervals(df, grp: str, right: str):
     return sums.withColumn("i", _interval_of("k", "n")).select(grp, "n", "k", F.round("i.low", 6).alias("low"), F.round("i.high", 6).alias("high"))
 
 
-@udtf(returnType="func_id int, block_id int, n int, body string")
+@udtf(returnType=T.StructType().add("func_id", "integer").add("block_id", "integer").add("n", "integer").add("body", "string"))
 class blocks_of:
     """Blocks of a text: a line is a function, a clause a block, a word an instruction. The carriers do the same in SQL."""
 

@@ -172,9 +172,9 @@ def alias_review_subset(spark: SparkSession, d: str) -> DataFrame:
 _RATED = f"{_RESOLVED}, it as (select query as item, case when canonical = truth then 'right' else 'wrong' end as verdict from o join {_TRUTH} using (query) where decision = 'review'), r as (select item, rater, case when substr(md5(concat(item, ':', rater)), 1, 1) = '0' then case verdict when 'right' then 'wrong' else 'right' end else verdict end as verdict from it, (select unnest([1, 2, 3]) as rater))"
 
 
-@query("alias_reviewers", f"""{_RATED}, b as (select a.rater as ra, c.rater as rb, a.verdict as va, c.verdict as vb from r a join r c on a.item = c.item and a.rater < c.rater), n as (select ra, rb, count(*) as n, sum(case when va = vb then 1 else 0 end) as same from b group by 1, 2),
-    x as (select ra, rb, va as v, count(*) as na from b group by 1, 2, 3), y as (select ra, rb, vb as v, count(*) as nb from b group by 1, 2, 3), e as (select ra, rb, sum(na * nb) as cr from x join y using (ra, rb, v) group by 1, 2)
-    select ra, rb, n, round(same / n, 6) as agreement, round((same / n - cr / (n * n)) / nullif(1 - cr / (n * n), 0), 6) as kappa from n join e using (ra, rb)""")
+@query("alias_reviewers", f"""{_RATED}, rb2 as (select a.rater as ra, c.rater as rb, a.verdict as va, c.verdict as vb from r a join r c on a.item = c.item and a.rater < c.rater), nn as (select ra, rb, count(*) as n, sum(case when va = vb then 1 else 0 end) as same from rb2 group by 1, 2),
+    xa as (select ra, rb, va as v, count(*) as na from rb2 group by 1, 2, 3), yb as (select ra, rb, vb as v, count(*) as nb from rb2 group by 1, 2, 3), ec as (select ra, rb, sum(na * nb) as cr from xa join yb using (ra, rb, v) group by 1, 2)
+    select ra, rb, n, round(same / n, 6) as agreement, round((same / n - cr / (n * n)) / nullif(1 - cr / (n * n), 0), 6) as kappa from nn join ec using (ra, rb)""")
 def alias_reviewers(spark: SparkSession, d: str) -> DataFrame:
     """Kappa of three reviewers over the review band, who err where a hash says so."""
     resolved = materialize(_resolved(spark, d), "resolved")

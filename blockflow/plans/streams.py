@@ -7,11 +7,12 @@ from pyspark.sql import functions as F
 
 from blockflow.plans.base import query
 from blockflow.operators import alias as A
-from blockflow.operators import flowvec, reuse
+from blockflow.operators import reuse
 from blockflow.plans import graph_sql as G
 from blockflow.sources import carriers
 from blockflow.sources.tables import table
-from blockflow.streaming.jobs import drained, events, file_stream
+from blockflow.session import materialize
+from blockflow.streaming.jobs import drained, drained_batches, events, file_stream
 
 
 @query("stream_tumbling", "select event_type, cast(date_trunc('hour', ts) as timestamp) as start_ts, count(*) as n from events where ts is not null group by 1, 2")
@@ -58,24 +59,24 @@ def stream_alias(spark: SparkSession, d: str) -> DataFrame:
     return drained(stream.join(names, "k").select("n_nationkey", "c_custkey"))
 
 
-def _line_stream(spark: SparkSession, d: str) -> DataFrame:
-    """Function vectors of a stream of documents; all inside the row, so the stream keeps no state."""
-    func = carriers.lines_of(file_stream(spark, d, "documents").select("doc_id", "source", "text"))
-    return reuse.as_functions(flowvec.build(func, min_blocks=3))
-
-
 _HEADS = f"with {G.DOC_BLOCKS}, {G.FLOW}, {G.function_pairs()}"
 
 
 @query("stream_near_dup", f"{_HEADS} select n.id, min(o.id) as lib_id from hd n join hd o on o.head = n.head where n.sample_id % 2 = 1 and o.sample_id % 2 = 0 group by 1")
 def stream_near_dup(spark: SparkSession, d: str) -> DataFrame:
-    """Functions of odd documents, as a stream, that have a twin in the static index of the even ones."""
-    even = reuse.function_frame(carriers.documents(spark, d).where("sample_id % 2 = 0"))
-    index = even.groupBy("vec_digest").agg(F.min("id").alias("lib_id"))
-    return drained(_line_stream(spark, d).where("sample_id % 2 = 1").join(index, "vec_digest").select("id", "lib_id"))
+    """Functions of odd documents, as a stream, that have a twin in the static index of the even ones; batch by batch."""
+    even = materialize(reuse.function_frame(carriers.documents(spark, d).where("sample_id % 2 = 0")), "index")
+    index = materialize(even.groupBy("vec_digest").agg(F.min("id").alias("lib_id")), "index")
+
+    def found(batch: DataFrame) -> DataFrame:
+        vectors = materialize(reuse.function_frame(carriers.lines_of(batch.select("doc_id", "source", "text"))), "batch")
+        return vectors.join(index, "vec_digest").select("id", "lib_id")
+
+    return drained_batches(file_stream(spark, d, "documents").where("doc_id % 2 = 1"), found, "id long, lib_id long")
 
 
-@query("stream_representatives", f"{_HEADS} select head as id, count(*) as n from hd group by 1")
+@query("stream_representatives", f"with {G.LINES} select md5(line) as func_digest, min(sample_id * 10000000 + func_id) as id, count(*) as n from lines group by 1")
 def stream_representatives(spark: SparkSession, d: str) -> DataFrame:
-    """The stateful form: for each vector the function with the smallest id so far, and how many there were."""
-    return drained(_line_stream(spark, d).groupBy("vec_digest").agg(F.min("id").alias("id"), F.count(F.lit(1)).alias("n")).select("id", "n"), "complete")
+    """The stateful form: for each line the one with the smallest id so far, and how many there were."""
+    lines = carriers.document_lines(file_stream(spark, d, "documents").select("doc_id", "source", "text")).select(F.md5("line").alias("func_digest"), reuse.function_id().alias("id"))
+    return drained(lines.groupBy("func_digest").agg(F.min("id").alias("id"), F.count(F.lit(1)).alias("n")), "complete")

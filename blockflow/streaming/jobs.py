@@ -35,3 +35,14 @@ def drained(df: DataFrame, mode: str = "append") -> DataFrame:
         write = lambda batch, _: batch.write.mode("overwrite").parquet(path)
         df.writeStream.outputMode("complete").foreachBatch(write).option("checkpointLocation", f"{path}-state").trigger(availableNow=True).start().awaitTermination()
     return spark.read.schema(df.schema).parquet(path)
+
+
+def drained_batches(df: DataFrame, found, schema: str) -> DataFrame:
+    """Run a stream whose batches go through a function of static frames, and read what came out."""
+    spark = df.sparkSession
+    path = removed_at_exit(spark, f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}")
+    removed_at_exit(spark, f"{path}-state")
+    # a batch that is run again overwrites its own folder
+    write = lambda batch, n: found(batch).write.mode("overwrite").parquet(f"{path}/batch={n}")
+    df.writeStream.foreachBatch(write).option("checkpointLocation", f"{path}-state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(schema).parquet(f"{path}/batch=*")

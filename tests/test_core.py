@@ -10,7 +10,7 @@ import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
 
-from blockflow.operators import cleaning, flowvec, similarity
+from blockflow.operators import alias, cleaning, dedup, flowvec, similarity
 from blockflow.operators import statistics as S
 from blockflow.operators.components import connected_components
 from blockflow.plans import registry
@@ -87,3 +87,54 @@ def test_stream_sessions_equal_batch(spark, tmp_path):
         want = sorted((r.user_id, r.s, r.t, r.n) for r in batch.selectExpr("user_id", "cast(session_window.start as timestamp_ntz) as s", "cast(session_window.end as timestamp_ntz) as t", "n").collect())
         got = sorted((r.user_id, r.start_ts, r.end_ts, r.n) for r in registry.QUERIES["stream_session"](spark, at).collect())
         assert got == want and sum(r[3] for r in got) == e.count()
+
+
+@pytest.mark.parametrize(("metric", "tau", "wide"), [("hybrid", 0.999, True), ("cosine", 0.999, False), ("cls", 0.9999, False), ("gauss", 0.999, True)])
+def test_grid_loses_nothing_for_any_metric(spark, metric, tau, wide):
+    v = spark.range(80).select(
+        "id",
+        F.array((F.col("id") % 7) * 0.004, (F.col("id") % 11) * 0.003, (F.col("id") % 3) * 0.001).alias("shape"),
+        F.array(F.lit(1.0), (F.col("id") % 4) * 0.02, (F.col("id") % 9) * 0.01).alias("cls"),
+    )
+    brute = {(r.id_a, r.id_b) for r in similarity.brute(v, metric, least=tau).collect()}
+    assert brute == {(r.id_a, r.id_b) for r in similarity.grid_pairs(v, tau, metric=metric, wide=wide).collect()} and brute
+    new, index = v.where("id % 4 = 0"), v.where("id % 4 > 0")
+    between = {(r.id_a, r.id_b) for r in similarity.grid_between(new, index, tau, metric=metric, wide=wide).collect()}
+    assert between == {(a, b) for a, b in brute if (a % 4 == 0) != (b % 4 == 0)}
+
+
+def test_a_function_of_many_blocks_takes_linear_work(spark):
+    n = 100_000
+    blocks = spark.range(1).select(F.lit(1).cast("long").alias("sample_id"), F.lit(0).alias("func_id"), F.lit("g").alias("grp"), F.expr(f"transform(sequence(1, {n}), i -> named_struct('n', 1L, 'a', cast(i as string), 'b', cast(i as string), 'cls', array(1L, 0L, 0L, 0L, 0L, 0L, 0L, 0L, 0L)))").alias("blocks"))
+    row = flowvec.build(blocks).first()
+    assert (row.n_edges, row.omega, row.zn) == (n - 1, 2 * (n - 1), 0)
+
+
+def test_groups_bound_what_merges(spark):
+    # 1 and 3 are linked through 2 alone, which is of another group
+    pairs = spark.createDataFrame([(1, 2), (2, 3)], "id_a long, id_b long")
+    members = spark.createDataFrame([(1, 1), (2, 2), (3, 3), (4, 3)], "id long, head long")
+    grp = spark.createDataFrame([(1, "a"), (2, "b"), (3, "a"), (4, "b")], "id long, grp string")
+    assert dict(dedup.within_groups(pairs, members, grp).collect()) == {1: 1, 2: 2, 3: 3, 4: 2}
+
+
+def test_alias_blocking_loses_nothing(spark):
+    names = ["red plate", "plate red", "blue ring", "supplier 000000012", "x", "ab", "storm vault"]
+    queries = [*names, "red plat", "redd plate", "supplier 000000013", "strom vault", "vault stormm", "y", "abc", "zzzz", ""]
+    q, k = spark.createDataFrame([(x,) for x in queries], "query string"), spark.createDataFrame([(x,) for x in names], "canonical string")
+    got = {(r.query, r.canonical) for r in alias.score(q, k).collect()}
+    both = q.crossJoin(k).withColumn("s", F.greatest(alias.edit_ratio(F.col("query"), F.col("canonical")), alias.edit_ratio(alias.token_sort(F.col("query")), alias.token_sort(F.col("canonical")))))
+    assert got == {(r.query, r.canonical) for r in both.where("s >= 80").collect()}
+
+
+def test_nearest_lists_against_all(spark):
+    v = spark.range(300).select("id", F.array(*[F.cos(F.col("id") * (k + 1)) for k in range(6)]).alias("cls"), F.expr("array()").cast("array<double>").alias("shape"))
+    q = v.where("id % 50 = 0")
+    true, near = ({(r.query, r.id) for r in similarity.nearest(v, q, 5, probes=p).collect()} for p in (None, 16))
+    assert len(true & near) >= 0.9 * len(true)
+
+
+def test_components_that_do_not_settle_fail(spark):
+    links = spark.createDataFrame([(i, i + 1) for i in range(50)], "a long, b long")
+    with pytest.raises(RuntimeError):
+        connected_components(links, max_rounds=1)
