@@ -13,13 +13,15 @@ surge holds menus and notices and is left out, unless no stretch of the page has
 What this can't tell: unmarked boilerplate whose blocks are as heavy as text, and short text lines at a stretch's ends.
 
 Defined cases: null and empty html, and pages without main text, give an empty text; markup that ends early or is not
-closed is read as far as it goes; rows that repeat are read one by one; an empty table gives an empty result.
+closed is read as far as it goes; rows that repeat are read one by one; an empty table gives an empty result; a column named
+main_text or main_chars is replaced. The work grows with the page, however deep its elements lie.
 """
 
 from __future__ import annotations
 
 import html
 import re
+from collections import Counter
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -29,12 +31,14 @@ from pyspark.sql import DataFrame
 BLOCK, SURGE = 3, 40
 
 #: Elements whose content is no text, elements outside the main text, elements that begin a new line.
-SILENT = frozenset("script style noscript template svg math iframe object canvas audio video head title select option datalist textarea map".split())
+SILENT = frozenset("script style noscript template svg math iframe object canvas audio video title select option datalist textarea map".split())
 OUTSIDE = frozenset("nav footer aside form menu dialog button fieldset".split())
 LINES = frozenset(
-    "address article aside blockquote body caption center dd details div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html"
+    "address article aside blockquote body caption center dd details div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hr html"
     " li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul".split()
 )
+#: Elements of the head; whatever else begins closes it, as does text.
+HEAD = frozenset("head title meta link base script style noscript template".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 HEADINGS = frozenset("h1 h2 h3 h4 h5 h6 caption".split())
 #: Elements that a new one of the same kind closes.
@@ -47,8 +51,9 @@ NAMES = re.compile(
     r"repl(?:y|ies)|discussion|pagination|pager|toolbar|tags|copyright|legal|skip-?link|hidden)(?:$|[\s_-])",
     re.I,
 )
+#: A quote opens a value only after an equals sign, and stands for itself elsewhere, as in browsers.
 _MARKUP = re.compile(
-    r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)",
+    r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:=\s*+(?:\"[^\"]*+\"|'[^']*+')|[^>])*+)(?:>|\Z)",
     re.S,
 )
 _ATTRIBUTE = re.compile(r"([a-zA-Z-]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))")
@@ -79,6 +84,8 @@ def lines_of(page: str) -> list[tuple[str, bool, bool, int, bool]]:
     """The page's lines as (text, outside of any main text, in a marked article, characters outside links, heading)."""
     out: list[tuple[str, bool, bool, int, bool]] = []
     open_: list[tuple[str, bool, bool]] = []
+    #: How many elements of a name are open.
+    held: Counter[str] = Counter()
     parts: list[str] = []
     #: Where in `parts` the line's links begin and end.
     links: list[int] = []
@@ -94,22 +101,32 @@ def lines_of(page: str) -> list[tuple[str, bool, bool, int, bool]]:
                 if links:
                     edges = [0, *links, len(parts)]
                     plain = len(_clean([x for a, b in zip(edges[::2], edges[1::2], strict=False) for x in parts[a:b]]))
-                out.append((text, *state(), plain, any(x[0] in HEADINGS for x in open_)))
+                out.append((text, *state(), plain, any(held[x] for x in HEADINGS)))
             parts.clear()
         links.clear()
 
-    def close(k: int) -> None:
+    def close(name: str) -> None:
+        """Close the innermost element of a name and what is open in it."""
         end_line()
-        del open_[k:]
+        while open_:
+            last = open_.pop()[0]
+            held[last] -= 1
+            if last == name:
+                break
+
+    def add(text: str) -> None:
+        if open_ and open_[-1][0] == "head" and not text.isspace():
+            close("head")
+        parts.append(text)
 
     at, n = 0, len(page)
     while at < n:
         found = _MARKUP.search(page, at)
         if found is None:
-            parts.append(page[at:])
+            add(page[at:])
             break
         if found.start() > at:
-            parts.append(page[at : found.start()])
+            add(page[at : found.start()])
         at = found.end()
         name = (found.group(2) or "").lower()
         if not name:
@@ -117,12 +134,13 @@ def lines_of(page: str) -> list[tuple[str, bool, bool, int, bool]]:
         if name == "a" and bool(found.group(1)) == bool(len(links) % 2):
             links.append(len(parts))
         if found.group(1):
-            if name in LINES or name in OUTSIDE or any(x[0] == name for x in open_):
+            if held[name]:
+                close(name)
+            elif name in LINES or name in OUTSIDE:
                 end_line()
-                k = next((k for k in range(len(open_) - 1, -1, -1) if open_[k][0] == name), None)
-                if k is not None:
-                    close(k)
             continue
+        if open_ and open_[-1][0] == "head" and name not in HEAD:
+            close("head")
         if name in SILENT:
             end_of = re.compile(rf"</{name}\s*>", re.I).search(page, at)
             at = end_of.end() if end_of else n
@@ -137,16 +155,17 @@ def lines_of(page: str) -> list[tuple[str, bool, bool, int, bool]]:
         if name in LINES or hides:
             end_line()
             drop = CLOSES.get(name)
-            if drop:
-                for k in range(len(open_) - 1, -1, -1):
-                    if open_[k][0] in drop:
-                        close(k)
+            if drop and any(held[x] for x in drop):
+                for x, *_ in reversed(open_):
+                    if x in drop:
+                        close(x)
                         break
-                    if open_[k][0] in ("ul", "ol", "table", "div", "article", "section", "main", "dl"):
+                    if x in ("ul", "ol", "table", "div", "article", "section", "main", "dl"):
                         break
                 outside, article = state()
             if name not in VOID and not attributes.endswith("/"):
-                open_.append((name, outside or hides, article or name in ("article", "main")))
+                open_.append((name, outside or hides or name == "head", article or name in ("article", "main")))
+                held[name] += 1
     end_line()
     return out
 
@@ -194,5 +213,6 @@ def _extracted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def extract(pages: DataFrame) -> DataFrame:
     """All columns of pages but `html`, with main_text and main_chars (its code points)."""
+    pages = pages.drop("main_text", "main_chars")
     kinds = [f"`{f.name}` {f.dataType.simpleString()}" for f in pages.schema if f.name != "html"]
     return pages.mapInArrow(_extracted, ", ".join([*kinds, "main_text string", "main_chars long"]))
