@@ -10,18 +10,20 @@ Dictionary and parse. The parse of the corpus is its list of (trigger, phrase, d
 gives the dictionary of distinct phrases with their first occurrence; every later occurrence repeats in full. Only phrases
 that share their trigger with other phrases still need the order of their suffixes.
 
-Suffix order. For those, the phrases' bytes are fetched once for the dictionary entry and their windows, the dictionary's
-suffixes cut to `size` bytes, are ranked within the trigger: equal ranks are equal strings, and combined with the first
-occurrences of the parse they tell each string's first place in the corpus.
+Windows. For those, the phrases' bytes are fetched once for the dictionary entry, and their windows, the dictionary's suffixes
+cut to `size` bytes, are grouped within the trigger: equal ones stand together, and combined with the first occurrences of the
+parse this tells each string's first place in the corpus. No order among different suffixes is needed, so none is made:
+windows are sorted by a 64-bit hash, not letter by letter.
 
-Ranks compare strings by two independent 64-bit hashes. Matches never cross documents.
+Windows count as equal where hash, trigger hash and distance agree. Matches never cross documents.
 
 Memory. A task holds one partition of the parse at 32 bytes an entry; each map task keeps one entry of a phrase, so a
 phrase that a third of all documents repeat gives as many entries as there are map batches.
 
 Defined cases: null text is empty; shorter texts than `size` lose nothing; rows without doc_id give no matches and stay as
 they are; a doc_id stands for one text, and rows that repeat one with the same text share its first occurrence, so none of
-them counts as a repeat of another; an empty table gives an empty result.
+them counts as a repeat of another, while other texts under the same doc_id would lose that one's spans; an empty table gives an
+empty result; columns named like an output are replaced.
 """
 
 from __future__ import annotations
@@ -348,6 +350,7 @@ def remove_repeats(docs: DataFrame, size: int = SIZE, gram: int = GRAM, with_tex
 
     A removed span may cut a character in two; kept_text leaves out what remains of such characters, the digest doesn't.
     """
+    docs = docs.drop("spans", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept_text")
     spans = materialize(repeated_spans(docs, size, gram, parts), "spans")
     joined = docs.join(spans.hint("shuffle_hash"), "doc_id", "left").select(*docs.columns, "spans")
     kinds = [f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name != "text"]

@@ -9,7 +9,8 @@ at most `features` weights. Scoring reads every whole text.
 
 Defined cases: null and empty texts have no n-grams and score the intercept alone; labels other than 0 and 1 are left out, and
 a document with several labels counts as toxic if any is 1; without labels of both kinds the score is the share of label 1
-(0 where there are none); rows are scored one by one, whatever repeats; an empty table gives an empty result.
+(0 where there are none); rows are scored one by one, whatever repeats; an empty table gives an empty result; a column named
+toxicity or tox_text is replaced or left out.
 """
 
 from __future__ import annotations
@@ -195,10 +196,11 @@ def _scored(model: ToxicityModel):
 
 def score(docs: DataFrame, model: ToxicityModel, keep_text: bool = False) -> DataFrame:
     """All columns of docs but `text` (unless kept) with `toxicity`, from 0 to 1."""
-    source = docs.withColumn("tox_text", F.col("text")) if keep_text else docs
+    docs = docs.drop("toxicity")
+    source = docs.drop("tox_text").withColumn("tox_text", F.col("text")) if keep_text else docs
     kinds = [f"`{f.name}` {f.dataType.simpleString()}" for f in source.schema if f.name != "text"]
     out = source.mapInArrow(_scored(model), ", ".join([*kinds, "toxicity double"]))
-    return out.withColumnRenamed("tox_text", "text").select(*docs.columns, "toxicity") if keep_text else out
+    return out.withColumnRenamed("tox_text", "text").select(*[c for c in docs.columns if c != "tox_text"], "toxicity") if keep_text else out
 
 
 def held_out(doc_id: Column) -> Column:

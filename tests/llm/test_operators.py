@@ -302,3 +302,80 @@ def test_license_report_of_optional_spellings(spark):
     rows = [(1, "Creative Commons Attribution-Noncommercial-Share Alike 3.0"), (2, "Open Data Commons Database License"), (3, "creative commons attribution no derivatives")]
     got = {r.doc_id: r.labels for r in licenses.license_report(spark.createDataFrame(rows, SCHEMA)).collect()}
     assert got == {1: "cc-by-nc-sa", 2: "odbl", 3: "cc-by-nd"}
+
+
+def test_html_of_careless_pages():
+    assert htmltext.main_text("<html><head><title>x</title><body><p>Hello world</p>") == "Hello world"
+    assert htmltext.main_text("<head><meta charset=utf-8>Plain text") == "Plain text"
+    assert htmltext.main_text('<p class="a"">Hello</p>') == "Hello"
+    assert htmltext.main_text('<div class="it"s">Hello</div>') == "Hello"
+    assert htmltext.main_text("<a href=\"foo>Hello</a>") == "Hello"
+    import time
+
+    began = time.time()
+    assert htmltext.main_text("<div>" * 20_000 + "x" + "</p>" * 20_000) == "x"
+    assert time.time() - began < 2
+
+
+def test_columns_that_clash_are_replaced(spark, docs):
+    odd = docs.withColumn("spans", F.lit(1)).withColumn("n_removed", F.lit("x"))
+    assert remove_repeats(odd, with_text=True).where("n_removed > 0").count() == sum(v[1] > 0 for v in brute.repeats(texts()).values())
+    pages = spark.createDataFrame([(1, None, "a"), (2, "<p>Text</p>", "b")], "page_id long, html string, main_text string")
+    assert {r.page_id: r.main_text for r in htmltext.extract(pages).collect()} == {1: "", 2: "Text"}
+    model = toxicity.fit(docs, spark.createDataFrame([(0, 1), (1, 0)], "doc_id long, toxic int"))
+    scored = toxicity.score(docs.withColumn("toxicity", F.lit("x")).withColumn("tox_text", F.lit(2)), model, keep_text=True)
+    assert scored.columns == ["doc_id", "text", "toxicity"] and scored.count() == len(texts())
+
+
+def test_rows_without_or_with_repeated_doc_ids(spark):
+    rows = [(None, BASE), (1, BASE), (1, BASE), (2, "a b c d e f"), (None, None)]
+    df = spark.createDataFrame(rows, SCHEMA)
+    got = sorted(((r.doc_id, r.component_id, r.kept) for r in near_duplicates(df).collect()), key=str)
+    assert got == sorted([(None, None, True), (1, 1, True), (1, 1, True), (2, 2, True), (None, None, True)], key=str)
+    packed = packing.pack_documents(df, public.path("byte_bpe_50k.json"), 1).collect()
+    assert sum(r.length for r in packed) == sum(r.doc_tokens for r in packed if r.start == 0)
+
+
+def test_packed_pieces_are_the_tokens_of_the_library(spark, docs):
+    path = public.path("byte_bpe_50k.json")
+    tok = tokenizers.Tokenizer.from_file(path)
+    want = {i: np.array([*tok.encode(t or "", add_special_tokens=False).ids, 1], "<u4") for i, t in texts()}
+    places, seen = {}, {i: 0 for i in want}
+    for r in packing.pack_documents(docs, path, 1).collect():
+        ids = want[r.doc_id]
+        assert r.doc_tokens == len(ids) and r.ids_crc32 == zlib.crc32(ids[r.start : r.start + r.length].tobytes())
+        seen[r.doc_id] += r.length
+        places.setdefault(r.sequence_id, []).append((r.offset, r.length))
+    assert all(seen[i] == len(want[i]) for i in want)
+    for held in places.values():
+        ends = 0
+        for offset, length in sorted(held):
+            assert offset == ends
+            ends += length
+        assert ends <= packing.WINDOW
+
+
+def test_base_columns_of_licenses_and_quality(spark):
+    import re
+
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text")
+    texts_of = {r.doc_id: r.text or "" for r in docs.collect()}
+    phrases = {"gnu general public license": "gpl", "apache license": "apache", "cc by": "cc-by", "mit license": "mit"}
+    for r in licenses.license_report(docs).collect():
+        words = re.findall(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", re.sub("[A-Z]", lambda m: m.group(0).lower(), texts_of[r.doc_id]))
+        places = [(i, label) for phrase, label in phrases.items() for i in range(len(words)) if words[i : i + len(phrase.split())] == phrase.split()]
+        starts = [i for i, _ in places]
+        assert (r.n_words, r.n_base, r.first_word, r.last_word) == (len(words), len(places), min(starts, default=None), max(starts, default=None))
+        assert r.base_labels == ",".join(sorted({x for _, x in places})) and set(r.base_labels.split(",")) <= set(r.labels.split(","))
+    for r in quality.quality_verdicts(docs, lambda df: materialize(df, "q")).collect():
+        text = texts_of[r.doc_id]
+        words = re.findall(r"[^\x20\x09-\x0D]+", text)
+        triples = [tuple(words[i : i + 3]) for i in range(len(words) - 2)]
+        many = {t for t in triples if triples.count(t) > 1} if len(triples) < 3000 else None
+        lines = [x for x in text.split("\n") if re.search(r"[^\x20\x09-\x0D]", x)]
+        assert (r.n_words, r.word_chars, r.n_symbols) == (len(words), sum(map(len, words)), len(re.findall(r"[#*$%&|<>]", text)))
+        assert r.n_dup_lines == len(lines) - len(set(lines))
+        if many is not None:
+            assert r.n_repeat_words == len({k for i, t in enumerate(triples) if t in many for k in range(i, i + 3)})
+        assert r.base_failed == (len(words) < 50 or 100 * r.n_repeat_words > 50 * len(words)) and not (r.kept and r.base_failed)
+
