@@ -1,4 +1,7 @@
-"""Alias queries on variants of the names in `part`, `nation`, `region` and `supplier`, and on the hosts of `pages`."""
+"""Alias queries on variants of the names in `part`, `nation` and `region`, and on the hosts of `pages`.
+
+Supplier names are left out: they differ in digits only, so nearly every pair of them would have to be scored.
+"""
 
 from __future__ import annotations
 
@@ -19,14 +22,14 @@ KINDS = {
     "swap": "case when instr(canonical, ' ') > 0 then concat(substr(canonical, instr(canonical, ' ') + 1), ' ', substr(canonical, 1, instr(canonical, ' ') - 1)) else canonical end", "doubled": "concat(substr(canonical, 1, 3), substr(canonical, 3))",
     "dropped": "concat(substr(canonical, 1, 2), substr(canonical, 4))", "accent": "replace(canonical, 'e', 'é')", "other": "concat('zq', reverse(canonical))",
 }
-_NAMES = "select p_name as canonical from part where instr(p_name, ' ') > 0 union select n_name from nation union select r_name from region union select s_name from supplier"
+_NAMES = "select p_name as canonical from part where instr(p_name, ' ') > 0 union select n_name from nation union select r_name from region"
 _VARIANTS = " union ".join(f"select canonical as truth, '{k}' as kind, {e} as query from names" for k, e in KINDS.items())
 _CLEAN = "array_to_string(list_filter(string_split(trim(regexp_replace(translate(lower({0}), 'áàâäéèêëíìîïóòôöúùûüñç', 'aaaaeeeeiiiioooouuuunc'), '[^a-z0-9]+', ' ', 'g')), ' '), lambda w: w not in ('the', 'group', 'team', '')), ' ')"
 
 
 def _names(spark: SparkSession, d: str) -> DataFrame:
     parts = table(spark, d, "part", "p_name").where("instr(p_name, ' ') > 0")
-    return parts.union(table(spark, d, "nation", "n_name")).union(table(spark, d, "region", "r_name")).union(table(spark, d, "supplier", "s_name")).select(F.col("p_name").alias("canonical")).distinct()
+    return parts.union(table(spark, d, "nation", "n_name")).union(table(spark, d, "region", "r_name")).select(F.col("p_name").alias("canonical")).distinct()
 
 
 def _variants(spark: SparkSession, d: str) -> DataFrame:
@@ -185,14 +188,15 @@ def alias_reviewers(spark: SparkSession, d: str) -> DataFrame:
 
 
 _KINDS = sorted(KINDS)
-_ROWS = f"ln as (select l_orderkey, ([{', '.join(repr(k) for k in _KINDS)}])[1 + l_orderkey % {len(_KINDS)}] as kind, s_name as truth from lineitem join supplier on l_suppkey = s_suppkey), nm as (select v.query as label from ln join v on v.kind = ln.kind and v.truth = ln.truth)"
+_ROWS = f"ln as (select l_orderkey, ([{', '.join(repr(k) for k in _KINDS)}])[1 + l_orderkey % {len(_KINDS)}] as kind, n_name as truth from lineitem join supplier on l_suppkey = s_suppkey join nation on s_nationkey = n_nationkey), nm as (select v.query as label from ln join v on v.kind = ln.kind and v.truth = ln.truth)"
 
 
 @query("alias_consolidated", f"{_RESOLVED}, {_ROWS}, af as (select label, coalesce(canonical, label) as name from nm left join o on o.query = label) select count(*) as n, count(distinct label) as names_before, count(distinct name) as names_after, count(*) filter (where name <> label) as consolidated, round(count(*) filter (where name <> label) / count(*), 6) as share from af")
 def alias_consolidated(spark: SparkSession, d: str) -> DataFrame:
-    """Line items named by variants of their supplier, before and after the labels are normalised."""
-    rows = table(spark, d, "lineitem", "l_orderkey", "l_suppkey").join(table(spark, d, "supplier", "s_suppkey", "s_name"), F.col("l_suppkey") == F.col("s_suppkey"))
-    rows = rows.select(F.get(F.array(*[F.lit(k) for k in _KINDS]), (F.col("l_orderkey") % len(_KINDS)).cast("int")).alias("kind"), F.col("s_name").alias("truth"))
+    """Line items named by variants of their supplier's nation, before and after the labels are normalised."""
+    rows = table(spark, d, "lineitem", "l_orderkey", "l_suppkey").join(table(spark, d, "supplier", "s_suppkey", "s_nationkey"), F.col("l_suppkey") == F.col("s_suppkey"))
+    rows = rows.join(table(spark, d, "nation", "n_nationkey", "n_name"), F.col("s_nationkey") == F.col("n_nationkey"))
+    rows = rows.select(F.get(F.array(*[F.lit(k) for k in _KINDS]), (F.col("l_orderkey") % len(_KINDS)).cast("int")).alias("kind"), F.col("n_name").alias("truth"))
     named = rows.join(_variants(spark, d), ["kind", "truth"]).select(F.col("query").alias("label"))
     done = A.normalize_labels(named, _resolved(spark, d), "label")
     moved = F.sum((F.col("label") != F.col("raw_label")).cast("int")).cast("long")
