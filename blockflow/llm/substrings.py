@@ -6,23 +6,23 @@ starts between two changes of the trigger form a phrase: the bytes from its firs
 window. Neighbouring phrases overlap, no phrase's windows can occur in phrases of another trigger, and a window occurs at
 the same distance before the trigger wherever it occurs.
 
-Dictionary and parse. The parse of the corpus is its list of (trigger, phrase, doc_id, start). Partitioned by trigger, it
+Dictionary and parse. The parse of the corpus is its list of (trigger, phrase, text, start). Partitioned by trigger, it
 gives the dictionary of distinct phrases with their first occurrence; every later occurrence repeats in full. Only phrases
 that share their trigger with other phrases still need the order of their suffixes.
 
-Windows. For those, the phrases' bytes are fetched once for the dictionary entry, and their windows, the dictionary's suffixes
-cut to `size` bytes, are grouped within the trigger: equal ones stand together, and combined with the first occurrences of the
-parse this tells each string's first place in the corpus. No order among different suffixes is needed, so none is made:
-windows are sorted by a 64-bit hash, not letter by letter.
+Suffix array. For those, the phrases' bytes are fetched once for the dictionary entry, and the dictionary's suffixes, cut to
+`size` bytes, are put in order letter by letter, by doubling. Equal windows share a rank, and the first occurrences of the
+parse put the windows of a rank into corpus order. The parse itself needs no suffix array: phrases overlap by a window less
+a byte, so every window lies within one phrase, and what follows a phrase never decides.
 
-Windows count as equal where hash, trigger hash and distance agree. Matches never cross documents.
+Phrases count as equal where their 64-bit hashes agree, windows where their bytes do. Matches never cross documents.
 
-Memory. A task holds one partition of the parse at 32 bytes an entry; each map task keeps one entry of a phrase, so a
+Memory. A task holds one partition of the parse at 36 bytes an entry; each map task keeps one entry of a phrase, so a
 phrase that a third of all documents repeat gives as many entries as there are map batches.
 
 Defined cases: null text is empty; shorter texts than `size` lose nothing; rows without doc_id give no matches and stay as
-they are; a doc_id stands for one text, and rows that repeat one with the same text share its first occurrence, so none of
-them counts as a repeat of another, while other texts under the same doc_id would lose that one's spans; an empty table gives an
+they are; rows that repeat a doc_id with the same text share its first occurrence, so none of them counts as a repeat of
+another; other texts under the same doc_id (told apart by CRC-32) are documents of their own, in the order of their CRC-32; an empty table gives an
 empty result; columns named like an output are replaced.
 """
 
@@ -33,7 +33,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from blockflow.llm import kernels as K
@@ -45,12 +45,12 @@ U64 = np.uint64
 SIZE, GRAM = 100, 24
 #: Input bytes (as Spark estimates them) for each partition of the parse.
 PART_BYTES = 12 << 20
-#: A parse entry; n counts window starts.
-ENTRY = np.dtype([("trigger", "<u8"), ("phrase", "<u8"), ("doc", "<i8"), ("start", "<i4"), ("n", "<i2"), ("before", "<i2")])
+#: A parse entry; n counts window starts, and (doc, tag) stands for a text.
+ENTRY = np.dtype([("trigger", "<u8"), ("phrase", "<u8"), ("doc", "<i8"), ("tag", "<u4"), ("start", "<i4"), ("n", "<i2"), ("before", "<i2")])
 #: A span of window starts of a document.
 SPAN = np.dtype([("start", "<i4"), ("n", "<i4")])
 #: A dictionary entry whose bytes are wanted.
-WANT = np.dtype([("trigger", "<u8"), ("start", "<i4"), ("n", "<i2"), ("before", "<i2")])
+WANT = np.dtype([("trigger", "<u8"), ("start", "<i4"), ("n", "<i2")])
 
 
 def phrases(data: np.ndarray, offsets: np.ndarray, size: int = SIZE, gram: int = GRAM) -> tuple[np.ndarray, ...]:
@@ -94,36 +94,40 @@ def phrases(data: np.ndarray, offsets: np.ndarray, size: int = SIZE, gram: int =
     return np.searchsorted(offsets, change, "right") - 1, change, end - change, place - change, hashes[place], K.span_hash(prefix, change, end + size - 1)
 
 
+def _same_place(entries: np.ndarray, lead: np.ndarray) -> np.ndarray:
+    return (entries["doc"] == entries["doc"][lead]) & (entries["tag"] == entries["tag"][lead]) & (entries["start"] == entries["start"][lead])
+
+
 def _first_of(entries: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Entries by (trigger, phrase, doc, start), and which of them are the first of their phrase or tie with it."""
-    entries = entries[np.lexsort((entries["start"], entries["doc"], entries["phrase"], entries["trigger"]))]
+    """Entries by (phrase, doc, tag, start), and which of them are the first of their phrase or tie with it."""
+    entries = entries[np.lexsort((entries["start"], entries["tag"], entries["doc"], entries["phrase"]))]
     new = np.ones(len(entries), bool)
     new[1:] = (entries["trigger"][1:] != entries["trigger"][:-1]) | (entries["phrase"][1:] != entries["phrase"][:-1])
     heads = np.flatnonzero(new)
     lead = heads[np.cumsum(new) - 1] if len(entries) else heads
-    first = (entries["doc"] == entries["doc"][lead]) & (entries["start"] == entries["start"][lead])
-    return entries, first
+    return entries, _same_place(entries, lead)
 
 
-def _spans(docs: np.ndarray, starts: np.ndarray, counts: np.ndarray) -> Iterator[tuple[int, bytes]]:
-    """Merged spans of window starts for each document."""
-    order = np.lexsort((starts, docs))
-    docs, starts, ends = docs[order], starts[order].astype(np.int64), (starts[order].astype(np.int64) + counts[order])
-    if not len(docs):
+def _spans(entries: np.ndarray) -> Iterator[tuple[int, int, bytes]]:
+    """Merged spans of window starts for each text: (doc, tag, spans)."""
+    if not len(entries):
         return
+    entries = entries[np.lexsort((entries["start"], entries["tag"], entries["doc"]))]
+    docs, tags, starts = entries["doc"], entries["tag"], entries["start"].astype(np.int64)
+    ends = starts + entries["n"]
+    other = (docs[1:] != docs[:-1]) | (tags[1:] != tags[:-1])
     cut = np.ones(len(docs), bool)
-    cut[1:] = (docs[1:] != docs[:-1]) | (starts[1:] > ends[:-1])
+    cut[1:] = other | (starts[1:] > ends[:-1])
     heads = np.flatnonzero(cut)
     spans = np.zeros(len(heads), SPAN)
     spans["start"] = starts[heads]
     spans["n"] = np.maximum.reduceat(ends, heads) - starts[heads]
-    owners = docs[heads]
-    edges = np.append(np.flatnonzero(np.append(True, owners[1:] != owners[:-1])), len(owners))
+    edges = np.append(np.searchsorted(heads, np.flatnonzero(np.append(True, other))), len(heads))
     for i, j in zip(edges[:-1], edges[1:], strict=True):
-        yield int(owners[i]), spans[i:j].tobytes()
+        yield int(docs[heads[i]]), int(tags[heads[i]]), spans[i:j].tobytes()
 
 
-_PARSED = "part int, doc_id long, payload binary"
+_PARSED = "part int, doc_id long, tag long, payload binary"
 
 
 def _batch(schema: dict, columns: list) -> pa.RecordBatch:
@@ -131,32 +135,32 @@ def _batch(schema: dict, columns: list) -> pa.RecordBatch:
 
 
 def _parse(parts: int, size: int, gram: int):
-    schema = {"part": pa.int32(), "doc_id": pa.int64(), "payload": pa.binary()}
+    schema = {"part": pa.int32(), "doc_id": pa.int64(), "tag": pa.int64(), "payload": pa.binary()}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             data, offsets = K.column_bytes(batch.column("text"))
-            ids = np.asarray(batch.column("doc_id"))
+            ids, tags = np.asarray(batch.column("doc_id")), np.asarray(batch.column("tag"))
             found = []
             for i, j in K.slices(offsets):
                 text, start, n, before, trigger, phrase = phrases(data[offsets[i] : offsets[j]], offsets[i : j + 1] - offsets[i], size, gram)
                 e = np.zeros(len(start), ENTRY)
                 e["trigger"], e["phrase"], e["doc"], e["n"], e["before"] = trigger, phrase, ids[i:j][text], n, before
+                e["tag"] = tags[i:j][text]
                 e["start"] = start - (offsets[i : j + 1] - offsets[i])[text]
                 found.append(e)
             if not found:
                 continue
             entries, first = _first_of(np.concatenate(found))
-            again = entries[~first]
-            local = list(_spans(again["doc"], again["start"], again["n"]))
-            yield _batch(schema, [[-1] * len(local), [d for d, _ in local], [s for _, s in local]])
+            if local := list(_spans(entries[~first])):
+                yield _batch(schema, [[-1] * len(local), *zip(*local, strict=True)])
             kept = entries[first]
             part = (kept["trigger"] % U64(parts)).astype(np.int64)
             order = np.argsort(part, kind="stable")
             kept, part = kept[order], part[order]
             edges = np.searchsorted(part, np.arange(parts + 1))
             full = np.flatnonzero(np.diff(edges))
-            yield _batch(schema, [full, [None] * len(full), [kept[edges[p] : edges[p + 1]].tobytes() for p in full]])
+            yield _batch(schema, [full, [None] * len(full), [None] * len(full), [kept[edges[p] : edges[p + 1]].tobytes() for p in full]])
 
     return run
 
@@ -176,39 +180,37 @@ def _by_part(batches: Iterator[pa.RecordBatch], dtype: np.dtype) -> Iterator[tup
 
 
 #: kind 0: spans of repeated window starts; kind 1: dictionary entries whose bytes are wanted.
-_RESOLVED = "kind int, doc_id long, payload binary"
+_RESOLVED = "kind int, doc_id long, tag long, payload binary"
 
 
 def _resolve(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    schema = {"kind": pa.int32(), "doc_id": pa.int64(), "payload": pa.binary()}
+    schema = {"kind": pa.int32(), "doc_id": pa.int64(), "tag": pa.int64(), "payload": pa.binary()}
     for _, entries in _by_part(batches, ENTRY):
         entries, first = _first_of(entries)
-        again = entries[~first]
-        rows = [(0, d, s) for d, s in _spans(again["doc"], again["start"], again["n"])]
+        rows = [(0, *span) for span in _spans(entries[~first])]
         entries = entries[first]
         # ties of a first occurrence are one dictionary entry
         keep = np.ones(len(entries), bool)
         keep[1:] = (entries["phrase"][1:] != entries["phrase"][:-1]) | (entries["trigger"][1:] != entries["trigger"][:-1])
         entries = entries[keep]
-        new = np.ones(len(entries), bool)
-        new[1:] = entries["trigger"][1:] != entries["trigger"][:-1]
-        members = np.bincount(np.cumsum(new) - 1) if len(entries) else np.zeros(0, int)
-        entries = entries[(members > 1)[np.cumsum(new) - 1]] if len(entries) else entries
-        entries = entries[np.argsort(entries["doc"], kind="stable")]
-        edges = np.flatnonzero(np.append(True, entries["doc"][1:] != entries["doc"][:-1])) if len(entries) else np.zeros(0, int)
-        for i, j in zip(edges, np.append(edges[1:], len(entries)), strict=True):
+        _, owner, members = np.unique(entries["trigger"], return_inverse=True, return_counts=True)
+        entries = entries[members[owner] > 1]
+        entries = entries[np.lexsort((entries["tag"], entries["doc"]))]
+        other = (entries["doc"][1:] != entries["doc"][:-1]) | (entries["tag"][1:] != entries["tag"][:-1])
+        edges = np.append(np.flatnonzero(np.append(len(entries) > 0, other)), len(entries))
+        for i, j in zip(edges[:-1], edges[1:], strict=True):
             want = np.zeros(j - i, WANT)
             for k in WANT.names:
                 want[k] = entries[k][i:j]
-            rows.append((1, int(entries["doc"][i]), want.tobytes()))
+            rows.append((1, int(entries["doc"][i]), int(entries["tag"][i]), want.tobytes()))
         if rows:
             yield _batch(schema, list(zip(*rows, strict=True)))
 
 
-#: Windows of dictionary entries: their hashes, place and distance to the trigger.
-WINDOW = np.dtype([("trigger", "<u8"), ("hash", "<u8"), ("doc", "<i8"), ("start", "<i4"), ("n", "<i2"), ("before", "<i2")])
 #: A fetched dictionary entry, followed by its bytes.
-HEAD = np.dtype([("trigger", "<u8"), ("doc", "<i8"), ("start", "<i4"), ("n", "<i2"), ("before", "<i2")])
+HEAD = np.dtype([("trigger", "<u8"), ("doc", "<i8"), ("tag", "<u4"), ("start", "<i4"), ("n", "<i2")])
+#: A window of an entry.
+WINDOW = np.dtype([("doc", "<i8"), ("tag", "<u4"), ("start", "<i4"), ("n", "<i2")])
 
 
 def _fetch(parts: int, size: int):
@@ -217,14 +219,14 @@ def _fetch(parts: int, size: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             heads, bodies = [], []
-            for doc, raw, wants in zip(batch.column("doc_id").to_pylist(), batch.column("text"), batch.column("wants").to_pylist(), strict=True):
+            for doc, tag, raw, wants in zip(batch.column("doc_id").to_pylist(), batch.column("tag").to_pylist(), batch.column("text"), batch.column("wants").to_pylist(), strict=True):
                 text = np.frombuffer((raw.as_py() or "").encode(), np.uint8)
                 want = np.frombuffer(b"".join(wants), WANT)
                 want = want[want["start"].astype(np.int64) + want["n"] + size - 1 <= len(text)]
                 head = np.zeros(len(want), HEAD)
                 for k in WANT.names:
                     head[k] = want[k]
-                head["doc"] = doc
+                head["doc"], head["tag"] = doc, tag
                 heads.append(head)
                 lengths = want["n"].astype(np.int64) + size - 1
                 where = np.repeat(want["start"].astype(np.int64) - np.append(0, np.cumsum(lengths)[:-1]), lengths) + np.arange(lengths.sum())
@@ -249,33 +251,56 @@ def _fetch(parts: int, size: int):
     return run
 
 
+def _dense(keys: np.ndarray) -> np.ndarray:
+    """The rank of each key among the distinct ones."""
+    order = np.argsort(keys)
+    held = keys[order]
+    ranks = np.zeros(len(keys), U64)
+    ranks[order] = np.cumsum(np.append(False, held[1:] != held[:-1]), dtype=U64) if len(keys) else ranks
+    return ranks
+
+
+def suffix_ranks(data: np.ndarray, size: int) -> np.ndarray:
+    """For each place its rank in the order of the suffixes cut to `size` bytes, by doubling; equal ones share a rank.
+
+    Suffixes that end earlier are filled up with zeros.
+    """
+    n = len(data)
+    words = np.append(data, np.zeros(8, np.uint8)).astype(U64)
+    for step in (1, 2, 4):
+        words = (words[:-step] << U64(8 * step)) | words[step:]
+    have = min(8, size)
+    ranks = _dense(words[:n] >> U64(8 * (8 - have)))
+    while have < size:
+        step = min(have, size - have)
+        # place n + k of the filling ranks lowest: 0, as all others are raised by 1
+        ahead = np.append(ranks[step:] + U64(1), np.zeros(min(step, n), U64))
+        ranks = _dense((ranks << U64(32)) | ahead)
+        have += step
+    return ranks
+
+
 def _rank(size: int):
-    schema = {"kind": pa.int32(), "doc_id": pa.int64(), "payload": pa.binary()}
+    schema = {"kind": pa.int32(), "doc_id": pa.int64(), "tag": pa.int64(), "payload": pa.binary()}
 
-    def windows(heads: np.ndarray, body: np.ndarray) -> np.ndarray:
-        """All windows of the entries, each with the hash of its bytes and its distance to the trigger."""
-        lengths = heads["n"].astype(np.int64) + size - 1
-        at = np.append(0, np.cumsum(lengths)[:-1])
+    def rank(held: list) -> Iterator[pa.RecordBatch]:
+        heads = np.concatenate([np.frombuffer(h, HEAD) for h, _ in held])
+        body = np.frombuffer(b"".join(b for _, b in held), np.uint8)
         counts = heads["n"].astype(np.int64)
         owner = np.repeat(np.arange(len(heads)), counts)
-        step = np.arange(counts.sum()) - np.repeat(np.append(0, np.cumsum(counts)[:-1]), counts)
-        out = np.zeros(len(owner), WINDOW)
-        pos = at[owner] + step
-        out["hash"] = K.span_hash(K.prefix_hash(body), pos, pos + size)
-        out["trigger"], out["doc"] = heads["trigger"][owner], heads["doc"][owner]
-        out["start"], out["before"] = heads["start"][owner] + step, heads["before"][owner] - step
-        out["n"] = 1
-        return out
-
-    def rank(now, held) -> Iterator[pa.RecordBatch]:
-        found = np.concatenate([windows(np.frombuffer(h, HEAD), np.frombuffer(b, np.uint8)) for h, b in held])
-        # equal strings have the same trigger, distance and hash; the earliest comes first
-        found = found[np.lexsort((found["start"], found["doc"], found["before"], found["hash"], found["trigger"]))]
-        new = np.ones(len(found), bool)
-        new[1:] = (found["trigger"][1:] != found["trigger"][:-1]) | (found["hash"][1:] != found["hash"][:-1]) | (found["before"][1:] != found["before"][:-1])
+        step = np.arange(len(owner)) - np.repeat(np.append(0, np.cumsum(counts)[:-1]), counts)
+        ranks = suffix_ranks(body, size)[np.append(0, np.cumsum(counts + size - 1)[:-1])[owner] + step]
+        found = np.zeros(len(owner), WINDOW)
+        found["doc"], found["tag"], found["n"] = heads["doc"][owner], heads["tag"][owner], 1
+        found["start"] = heads["start"][owner] + step
+        # windows that no other equals need no place in the corpus
+        shared = np.flatnonzero(np.bincount(ranks.astype(np.int64))[ranks.astype(np.int64)] > 1)
+        found, ranks = found[shared], ranks[shared]
+        order = np.lexsort((found["start"], found["tag"], found["doc"], ranks))
+        found, ranks = found[order], ranks[order]
+        new = np.append(True, ranks[1:] != ranks[:-1])[: len(found)]
         lead = np.flatnonzero(new)[np.cumsum(new) - 1]
-        again = found[(found["doc"] != found["doc"][lead]) | (found["start"] != found["start"][lead])]
-        rows = [(0, d, s) for d, s in _spans(again["doc"], again["start"], again["n"])]
+        rows = [(0, *span) for span in _spans(found[~_same_place(found, lead)])]
         if rows:
             yield _batch(schema, list(zip(*rows, strict=True)))
 
@@ -284,12 +309,12 @@ def _rank(size: int):
         for batch in batches:
             for part, heads, body in zip(batch.column("part").to_pylist(), batch.column("heads"), batch.column("body"), strict=True):
                 if part != now and held:
-                    yield from rank(now, held)
+                    yield from rank(held)
                     held = []
                 now = part
                 held.append((heads.as_py(), body.as_py()))
         if held:
-            yield from rank(now, held)
+            yield from rank(held)
 
     return run
 
@@ -326,23 +351,25 @@ def _cut(size: int, with_text: bool):
     return run
 
 
+def _tag(text: Column) -> Column:
+    """Tells texts of one doc_id apart."""
+    return F.crc32(F.coalesce(text, F.lit("")).cast("binary"))
+
+
 def repeated_spans(docs: DataFrame, size: int = SIZE, gram: int = GRAM, parts: int | None = None) -> DataFrame:
-    """(doc_id, spans): for each document with repeats, blobs of SPAN over its window starts that occurred earlier."""
-    known = docs.select("doc_id", "text").where(F.col("doc_id").isNotNull())
+    """(doc_id, tag, spans): for each text with repeats, blobs of SPAN over its window starts that occurred earlier."""
+    known = docs.select("doc_id", _tag(F.col("text")).alias("tag"), "text").where(F.col("doc_id").isNotNull())
     if parts is None:
         parts = max(8, -(-estimated_bytes(known) // PART_BYTES))
     parsed = materialize(known.mapInArrow(_parse(parts, size, gram), _PARSED), "parse")
     entries = parsed.where("part >= 0").select("part", "payload")
     resolved = materialize(entries.repartition(parts, "part").sortWithinPartitions("part").mapInArrow(_resolve, _RESOLVED), "dictionary")
-    wanted = resolved.where("kind = 1").groupBy("doc_id").agg(F.collect_list("payload").alias("wants"))
-    fetched = known.join(wanted.hint("shuffle_hash"), "doc_id").select("doc_id", "text", "wants").mapInArrow(_fetch(parts, size), "part int, heads binary, body binary")
+    wanted = resolved.where("kind = 1").groupBy("doc_id", "tag").agg(F.collect_list("payload").alias("wants"))
+    fetched = known.join(wanted.hint("shuffle_hash"), ["doc_id", "tag"]).select("doc_id", "tag", "text", "wants").mapInArrow(_fetch(parts, size), "part int, heads binary, body binary")
     ranked = fetched.repartition(parts, "part").sortWithinPartitions("part").mapInArrow(_rank(size), _RESOLVED)
-    spans = (
-        resolved.where("kind = 0").select("doc_id", "payload")
-        .union(parsed.where("part < 0").select("doc_id", "payload"))
-        .union(ranked.select("doc_id", "payload"))
-    )
-    return spans.groupBy("doc_id").agg(F.collect_list("payload").alias("spans"))
+    columns = ["doc_id", "tag", "payload"]
+    spans = resolved.where("kind = 0").select(columns).union(parsed.where("part < 0").select(columns)).union(ranked.select(columns))
+    return spans.groupBy("doc_id", "tag").agg(F.collect_list("payload").alias("spans"))
 
 
 def remove_repeats(docs: DataFrame, size: int = SIZE, gram: int = GRAM, with_text: bool = False, parts: int | None = None) -> DataFrame:
@@ -352,7 +379,8 @@ def remove_repeats(docs: DataFrame, size: int = SIZE, gram: int = GRAM, with_tex
     """
     docs = docs.drop("spans", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept_text")
     spans = materialize(repeated_spans(docs, size, gram, parts), "spans")
-    joined = docs.join(spans.hint("shuffle_hash"), "doc_id", "left").select(*docs.columns, "spans")
+    spans = spans.select(F.col("doc_id").alias("rep_doc"), F.col("tag").alias("rep_tag"), "spans")
+    joined = docs.join(spans.hint("shuffle_hash"), (docs["doc_id"] == spans["rep_doc"]) & (_tag(docs["text"]) == spans["rep_tag"]), "left").select(*[docs[f"`{c}`"] for c in docs.columns], spans["spans"])
     kinds = [f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name != "text"]
     kinds += ["n_bytes long", "n_removed long", "n_spans long", "kept_sha256 string", *(["kept_text string"] if with_text else [])]
     return joined.mapInArrow(_cut(size, with_text), ", ".join(kinds))

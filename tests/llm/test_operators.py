@@ -17,7 +17,7 @@ import brute  # noqa: E402
 from blockflow.llm import fingerprints, htmltext, huffman, licenses, mixing, packing, quality, tokens, toxicity  # noqa: E402
 from blockflow.llm import kernels as K  # noqa: E402
 from blockflow.llm.neardup import near_duplicates  # noqa: E402
-from blockflow.llm.substrings import remove_repeats  # noqa: E402
+from blockflow.llm.substrings import remove_repeats, suffix_ranks  # noqa: E402
 from blockflow.session import materialize  # noqa: E402
 
 tokenizers = pytest.importorskip("tokenizers")
@@ -59,6 +59,24 @@ def test_repeats_over_several_map_batches(spark, docs):
     assert got == {k: v[1] for k, v in brute.repeats(texts()).items()}
 
 
+def test_repeats_of_texts_that_share_a_doc_id(spark):
+    period, other = "abcdefgh ijklm\n" * 20, " ".join(f"unique{k * k}" for k in range(60))
+    frame = spark.createDataFrame([(1, period), (1, other), (1, other), (2, other)], SCHEMA)
+    got = sorted((r.doc_id, r.n_bytes, r.n_removed) for r in remove_repeats(frame).collect())
+    assert got == sorted([(1, 300, 285), (1, len(other), 0), (1, len(other), 0), (2, len(other), len(other))])
+
+
+def test_suffix_ranks_are_the_order_of_cut_suffixes():
+    rnd = np.random.default_rng(3)
+    for size in (1, 5, 8, 11, 100):
+        data = rnd.integers(97, 100, 700).astype(np.uint8)
+        data[400:600] = data[100:300]
+        cut = [(data.tobytes() + bytes(size))[i : i + size] for i in range(len(data))]
+        place = {c: n for n, c in enumerate(sorted(set(cut)))}
+        assert suffix_ranks(data, size).tolist() == [place[c] for c in cut]
+    assert len(suffix_ranks(np.zeros(0, np.uint8), 100)) == 0
+
+
 @pytest.mark.parametrize("name", ["word_bpe_49k.json", "byte_bpe_50k.json"])
 def test_pieces_give_the_ids_of_whole_texts(name):
     import random
