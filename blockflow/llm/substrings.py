@@ -45,6 +45,8 @@ U64 = np.uint64
 SIZE, GRAM = 100, 24
 #: Input bytes (as Spark estimates them) for each partition of the parse.
 PART_BYTES = 12 << 20
+#: Bytes of the dictionary whose suffixes are put in order at once; a trigger with more is taken whole.
+SORTED = 2 << 20
 #: A parse entry; n counts window starts, and (doc, tag) stands for a text.
 ENTRY = np.dtype([("trigger", "<u8"), ("phrase", "<u8"), ("doc", "<i8"), ("tag", "<u4"), ("start", "<i4"), ("n", "<i2"), ("before", "<i2")])
 #: A span of window starts of a document.
@@ -283,26 +285,41 @@ def suffix_ranks(data: np.ndarray, size: int) -> np.ndarray:
 def _rank(size: int):
     schema = {"kind": pa.int32(), "doc_id": pa.int64(), "tag": pa.int64(), "payload": pa.binary()}
 
-    def rank(held: list) -> Iterator[pa.RecordBatch]:
-        heads = np.concatenate([np.frombuffer(h, HEAD) for h, _ in held])
-        body = np.frombuffer(b"".join(b for _, b in held), np.uint8)
+    def repeats(heads: np.ndarray, body: np.ndarray) -> Iterator[tuple[int, int, bytes]]:
+        """Spans of the windows that equal one at an earlier place."""
         counts = heads["n"].astype(np.int64)
         owner = np.repeat(np.arange(len(heads)), counts)
         step = np.arange(len(owner)) - np.repeat(np.append(0, np.cumsum(counts)[:-1]), counts)
-        ranks = suffix_ranks(body, size)[np.append(0, np.cumsum(counts + size - 1)[:-1])[owner] + step]
+        ranks = suffix_ranks(body, size)[np.append(0, np.cumsum(counts + size - 1)[:-1])[owner] + step].astype(np.int64)
+        # windows that no other equals need no place in the corpus
+        shared = np.flatnonzero(np.bincount(ranks)[ranks] > 1)
+        owner, step, ranks = owner[shared], step[shared], ranks[shared]
         found = np.zeros(len(owner), WINDOW)
         found["doc"], found["tag"], found["n"] = heads["doc"][owner], heads["tag"][owner], 1
         found["start"] = heads["start"][owner] + step
-        # windows that no other equals need no place in the corpus
-        shared = np.flatnonzero(np.bincount(ranks.astype(np.int64))[ranks.astype(np.int64)] > 1)
-        found, ranks = found[shared], ranks[shared]
         order = np.lexsort((found["start"], found["tag"], found["doc"], ranks))
         found, ranks = found[order], ranks[order]
         new = np.append(True, ranks[1:] != ranks[:-1])[: len(found)]
         lead = np.flatnonzero(new)[np.cumsum(new) - 1]
-        rows = [(0, *span) for span in _spans(found[~_same_place(found, lead)])]
-        if rows:
-            yield _batch(schema, list(zip(*rows, strict=True)))
+        return _spans(found[~_same_place(found, lead)])
+
+    def rank(held: list) -> Iterator[pa.RecordBatch]:
+        """Equal windows share their trigger, so whole triggers of about SORTED bytes are taken at a time."""
+        heads = np.concatenate([np.frombuffer(h, HEAD) for h, _ in held])
+        body = np.frombuffer(b"".join(b for _, b in held), np.uint8)
+        lengths = heads["n"].astype(np.int64) + size - 1
+        at = np.append(0, np.cumsum(lengths)[:-1])
+        order = np.argsort(heads["trigger"], kind="stable")
+        heads, lengths, at = heads[order], lengths[order], at[order]
+        triggers = np.flatnonzero(np.append(True, heads["trigger"][1:] != heads["trigger"][:-1]))
+        bytes_before = np.append(0, np.cumsum(lengths))
+        edges = np.append(triggers, len(heads))
+        for i, j in K.slices(bytes_before[edges], SORTED):
+            a, b = edges[i], edges[j]
+            where = np.repeat(at[a:b] - bytes_before[a:b] + bytes_before[a], lengths[a:b]) + np.arange(bytes_before[b] - bytes_before[a])
+            rows = [(0, *span) for span in repeats(heads[a:b], body[where])]
+            if rows:
+                yield _batch(schema, list(zip(*rows, strict=True)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         now, held = None, []
