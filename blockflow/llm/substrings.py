@@ -168,7 +168,7 @@ def _parse(parts: int, size: int, gram: int):
 
 
 def _by_part(batches: Iterator[pa.RecordBatch], dtype: np.dtype) -> Iterator[tuple[int, np.ndarray]]:
-    """The payloads of each part together; rows come ordered by part."""
+    """The payloads of each part together; a task gets one part."""
     now, held = None, []
     for batch in batches:
         for part, payload in zip(batch.column("part").to_pylist(), batch.column("payload"), strict=True):
@@ -380,10 +380,10 @@ def repeated_spans(docs: DataFrame, size: int = SIZE, gram: int = GRAM, parts: i
         parts = max(8, -(-estimated_bytes(known) // PART_BYTES))
     parsed = materialize(known.mapInArrow(_parse(parts, size, gram), _PARSED), "parse")
     entries = parsed.where("part >= 0").select("part", "payload")
-    resolved = materialize(entries.repartition(parts, "part").sortWithinPartitions("part").mapInArrow(_resolve, _RESOLVED), "dictionary")
+    resolved = materialize(entries.repartitionById(parts, "part").mapInArrow(_resolve, _RESOLVED), "dictionary")
     wanted = resolved.where("kind = 1").groupBy("doc_id", "tag").agg(F.collect_list("payload").alias("wants"))
     fetched = known.join(wanted.hint("shuffle_hash"), ["doc_id", "tag"]).select("doc_id", "tag", "text", "wants").mapInArrow(_fetch(parts, size), "part int, heads binary, body binary")
-    ranked = fetched.repartition(parts, "part").sortWithinPartitions("part").mapInArrow(_rank(size), _RESOLVED)
+    ranked = fetched.repartitionById(parts, "part").mapInArrow(_rank(size), _RESOLVED)
     columns = ["doc_id", "tag", "payload"]
     spans = resolved.where("kind = 0").select(columns).union(parsed.where("part < 0").select(columns)).union(ranked.select(columns))
     return spans.groupBy("doc_id", "tag").agg(F.collect_list("payload").alias("spans"))
