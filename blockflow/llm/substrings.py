@@ -158,7 +158,8 @@ def _parse(parts: int, size: int, gram: int):
                 yield _batch(schema, [[-1] * len(local), *zip(*local, strict=True)])
             kept = entries[first]
             part = (kept["trigger"] % U64(parts)).astype(np.int64)
-            order = np.argsort(part, kind="stable")
+            # triggers together compress better
+            order = np.lexsort((kept["trigger"], part))
             kept, part = kept[order], part[order]
             edges = np.searchsorted(part, np.arange(parts + 1))
             full = np.flatnonzero(np.diff(edges))
