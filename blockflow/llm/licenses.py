@@ -135,13 +135,30 @@ _HITS = """flatten(transform(filter(lic_rules, r -> contains(lic_norm, r.keyword
     zip_with(regexp_extract_all(lic_norm, r.pattern, 0), split(lic_norm, r.pattern, -1), (m, p) ->
         named_struct('n', r.n, 'label', r.label, 'priority', r.priority, 'weight', r.weight, 'hit', m, 'before', length(p), 'size', length(m)))))"""
 
-#: zip_with pads the last piece, whose hit is null; positions add up within a rule.
-_PLACED = """transform(filter(lic_raw, h -> h.hit is not null), (h, i) -> named_struct('n', h.n, 'label', h.label, 'priority', h.priority, 'weight', h.weight, 'hit', h.hit,
-    'from', aggregate(filter(slice(filter(lic_raw, g -> g.hit is not null), 1, i), g -> g.n = h.n), h.before, (a, g) -> a + g.before + g.size), 'size', h.size))"""
+#: Hits taken together, so that no expression walks all hits of a text for each of them.
+BLOCK = 64
+
+#: Pieces and matches of a rule add up to the text, so a running length modulo the text's is a place in it.
+_SIZES = "transform(lic_raw, h -> cast(h.before + coalesce(h.size, 0) as bigint))"
+_SUMS = f"transform(sequence(0, greatest(size(lic_raw) - 1, 0) div {BLOCK}), j -> aggregate(slice(lic_sizes, cast(j * {BLOCK} + 1 as int), {BLOCK}), 0L, (a, x) -> a + x))"
+_STARTS = "transform(lic_sums, (s, j) -> aggregate(slice(lic_sums, 1, j), 0L, (a, x) -> a + x))"
+
+#: zip_with pads the last piece, whose hit is null.
+_PLACED = f"""filter(transform(lic_raw, (h, i) -> named_struct('n', h.n, 'label', h.label, 'priority', h.priority, 'weight', h.weight, 'hit', h.hit,
+    'from', cast((get(lic_starts, cast(i div {BLOCK} as int)) + aggregate(slice(lic_sizes, cast((i div {BLOCK}) * {BLOCK} + 1 as int), i % {BLOCK}), 0L, (a, x) -> a + x)) % length(lic_norm) + h.before as int),
+    'size', h.size)), h -> h.hit is not null)"""
+
+#: Hits by place, in blocks with the places they span.
+_SORTED = "transform(array_sort(transform(lic_hits, h -> named_struct('from', h.from, 'h', h))), x -> x.h)"
+_BLOCKS = f"""transform(transform(sequence(0, greatest(size(lic_sorted) - 1, 0) div {BLOCK}), j -> slice(lic_sorted, cast(j * {BLOCK} + 1 as int), {BLOCK})), b -> named_struct('hits', b,
+    'low', array_min(transform(b, h -> h.from)), 'high', array_max(transform(b, h -> h.from)), 'end', array_max(transform(b, h -> h.from + h.size))))"""
+
+#: What may hold a hit of a block lies in the blocks that reach into it.
+_NEAR = """transform(lic_blocks, s -> named_struct('hits', s.hits, 'near', flatten(transform(filter(lic_blocks, o -> o.low <= s.high and o.end > s.low), o -> o.hits))))"""
 
 #: Containment: outranked by a hit around it.
-_KEPT = """filter(lic_hits, a -> not exists(lic_hits, b -> (b.n <> a.n or b.from <> a.from) and b.from <= a.from and b.from + b.size >= a.from + a.size
-    and (b.priority > a.priority or (b.priority = a.priority and (b.size > a.size or (b.size = a.size and b.n < a.n))))))"""
+_KEPT = """flatten(transform(lic_near, s -> filter(s.hits, a -> not exists(s.near, b -> (b.n <> a.n or b.from <> a.from) and b.from <= a.from and b.from + b.size >= a.from + a.size
+    and (b.priority > a.priority or (b.priority = a.priority and (b.size > a.size or (b.size = a.size and b.n < a.n))))))))"""
 
 
 def _keyword_gate(norm: Column, keywords: list[str]) -> Column:
@@ -160,8 +177,10 @@ def scan(docs: DataFrame, rules: list[Rule] | None = None) -> DataFrame:
     staged = docs.withColumn("lic_norm", normal_words(F.col("text"))).withColumn("lic_gate", _keyword_gate(F.col("lic_norm"), short))
     staged = staged.withColumn("lic_rules", F.when(F.col("lic_gate"), _rule_table(rules)))
     staged = staged.withColumn("lic_raw", F.expr(f"case when lic_gate then {_HITS} else {none} end"))
-    staged = staged.withColumn("lic_hits", F.expr(_PLACED))
-    return staged.withColumn("lic_kept", F.expr(_KEPT)).drop("lic_gate", "lic_rules", "lic_raw")
+    steps = {"lic_sizes": _SIZES, "lic_sums": _SUMS, "lic_starts": _STARTS, "lic_hits": _PLACED, "lic_sorted": _SORTED, "lic_blocks": _BLOCKS, "lic_near": _NEAR, "lic_kept": _KEPT}
+    for name, step in steps.items():
+        staged = staged.withColumn(name, F.expr(step))
+    return staged.drop("lic_gate", "lic_rules", "lic_raw", *[name for name in steps if name not in ("lic_hits", "lic_kept")])
 
 
 def base_matches(norm: Column) -> dict[str, Column]:
