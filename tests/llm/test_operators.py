@@ -132,6 +132,19 @@ def test_license_scan(spark):
     assert got[4].labels == "" and len(licenses.signature_rules()) > 300
 
 
+def test_license_hits_over_many_blocks(spark):
+    import random
+    import re
+
+    bits = ["licensed under the apache license version 2 0", "under the terms of the gnu general public license v3 or later", "mit license", "plain words", "cc by nc sa", "the", "lgpl", "license gpl"]
+    rnd = random.Random(5)
+    norm = " " + " ".join(rnd.choice(bits) for _ in range(250)) + " "
+    hits = [(r.priority, m.end() - m.start(), -n, m.start(), r.label) for n, r in enumerate(licenses.signature_rules()) if r.keyword in norm for m in re.finditer(r.pattern, norm)]
+    want = sorted((a[3], a[1], a[4]) for a in hits if not any(b[3] <= a[3] and b[3] + b[1] >= a[3] + a[1] and b[:3] > a[:3] for b in hits))
+    row = licenses.license_report(spark.createDataFrame([(1, norm)], SCHEMA)).first()
+    assert len(want) > 128 and sorted((s["start"], s["size"], s["label"]) for s in row.spans) == want
+
+
 def test_quality_rules(spark, empty):
     junk = [(k, " ".join(f"w{i}###" for i in range(80))) for k in range(5)]
     fine = [(10 + k, ". ".join(f"word{i * k} and more{i}" for i in range(40))) for k in range(40)]
