@@ -12,13 +12,13 @@ Sets that are equal become one node first. In a bucket each node is compared wit
 their sizes alone rule a link out; so a bucket of m nodes gives m - 1 pairs, and links merge components. A hub's partners are
 dealt into chunks of bounded size, and its text goes to each chunk once.
 
-Where all nodes of a hub are one component then, nothing is left to find. The other hubs' nodes go on. Two sets that are
-similar enough have one of their rarest shingles in common: with all shingles in one order, rarest first, one of the first
-n - ceil(share n) + 1 of each. Nodes that such shingles connect are a family; boilerplate that many texts share connects
-nobody. The order comes from a sketch of counts of fixed size over the texts at hand. A family is laid out by size class,
+Where all nodes of a hub are one component then, nothing is left to find. The other hubs' nodes get signatures, a byte for
+each coordinate of their sketches, and a hub's nodes of equal or neighbouring size classes are compared by signatures in
+blocks of bounded size: the share of equal bytes of a linked pair lies more than 0.2 below the least similarity with a chance
+of 1e-13. Nodes of different components that such likeness connects are a family. A family is laid out by size class,
 component and hash in blocks of bounded size, and blocks of equal or neighbouring size classes are compared with each other,
 unless both lie in the same component. Only the links that full sets confirm leave a block. So no task sees a whole bucket
-or family, and all comparisons use the full sets of the whole texts.
+or family, and all links come from comparisons of the full sets of the whole texts.
 
 Defined cases: null and empty texts, and texts without words, have empty sets and are linked with nothing; equal texts are
 linked; a row without doc_id is its own class with a null id; an empty table gives an empty result; a doc_id stands for one
@@ -52,8 +52,10 @@ class NearDupConfig:
     share_of: int = 100
     #: Shingles of a block or chunk.
     block: int = 40_000
-    #: Counters of the sketch of shingle counts, as a power of two.
-    count_bits: int = 18
+    #: Nodes of a block of signatures.
+    signed: int = 1024
+    #: How far below the least similarity the likeness of a linked pair's signatures may lie.
+    margin: float = 0.2
 
     @property
     def size(self) -> int:
@@ -222,53 +224,89 @@ def _compared(config: NearDupConfig):
     return run
 
 
-def _counted(config: NearDupConfig):
+def _signed(config: NearDupConfig):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total = np.zeros(1 << config.count_bits, np.int64)
         for batch in batches:
-            for _, values, _ in _sets(config, batch.column("text")):
-                total += np.bincount((values >> U64(64 - config.count_bits)).astype(np.int64), minlength=len(total))
-        place = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(place), pa.array(total[place])], names=["place", "n"])
+            node = batch.column("node")
+            for i, values, at in _sets(config, batch.column("text")):
+                signs = np.ascontiguousarray(K.mix(sketch(values, at, config.size)) >> U64(56)).astype(np.uint8)
+                flat = pa.FixedSizeBinaryArray.from_buffers(pa.binary(config.size), len(signs), [None, pa.py_buffer(signs.tobytes())])
+                yield pa.RecordBatch.from_arrays([node.slice(i, len(signs)), flat.cast(pa.binary())], names=["node", "sign"])
 
     return run
 
 
-def _rarest(config: NearDupConfig, counts: np.ndarray):
+def _like(config: NearDupConfig):
+    least = (config.share / config.share_of - config.margin) * config.size
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            node, root = np.asarray(batch.column("node")), np.asarray(batch.column("root"))
-            for i, values, at in _sets(config, batch.column("text")):
-                owner = np.repeat(np.arange(len(at) - 1), np.diff(at))
-                order = np.lexsort((values, counts[(values >> U64(64 - config.count_bits)).astype(np.int64)], owner))
-                place = np.arange(len(values)) - at[:-1][owner]
-                n = np.diff(at)
-                wanted = n - -(-config.share * n // config.share_of) + 1
-                keep = place < wanted[owner]
-                owner = owner[keep] + i
-                yield pa.RecordBatch.from_arrays([pa.array(values[order][keep].view(np.int64)), pa.array(node[owner]), pa.array(root[owner])], names=["shingle", "node", "root"])
+            a, b = [], []
+            for left, right in zip(batch.column("left"), batch.column("right"), strict=True):
+                x, y = left.values, right.values
+                sx, sy = (np.frombuffer(b"".join(z.field("sign").to_pylist()), np.uint8).reshape(-1, config.size) for z in (x, y))
+                (i, nx, rx), (j, ny, ry) = ([np.asarray(z.field(k)) for k in ("node", "n", "root")] for z in (x, y))
+                low, high = np.minimum(nx[:, None], ny[None, :]), np.maximum(nx[:, None], ny[None, :])
+                meet = (config.share_of * low >= config.share * high) & (rx[:, None] != ry[None, :])
+                for k in np.flatnonzero(meet.any(axis=1)):
+                    at = np.flatnonzero(meet[k])
+                    meet[k, at] = np.count_nonzero(sy[at] == sx[k], axis=1) >= least
+                # of each group that likeness connects in these blocks only a star leaves them
+                keep, other = np.flatnonzero(meet.any(axis=1)), np.flatnonzero(meet.any(axis=0))
+                meet, to_i, to_j = meet[np.ix_(keep, other)], i[keep].copy(), j[other].copy()
+                same, seen = len(i) == len(j) and (i == j).all(), None
+                while len(keep) and seen != (to_i.sum(), to_j.sum()):
+                    seen = (to_i.sum(), to_j.sum())
+                    to_i = np.minimum(to_i, np.where(meet, to_j[None, :], _LAST).min(axis=1))
+                    to_j = np.minimum(to_j, np.where(meet, to_i[:, None], _LAST).min(axis=0))
+                    if same:
+                        to_i = to_j = np.minimum(to_i, to_j)
+                for nodes, to in ((i[keep], to_i), (j[other], to_j)):
+                    a.append(to[to < nodes])
+                    b.append(nodes[to < nodes])
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(z) if z else [], pa.int64()) for z in (a, b)], names=["a", "b"])
 
     return run
 
 
+#: Above all nodes.
+_LAST = np.iinfo(np.int64).max
+
+
+def _classed(nodes: DataFrame, config: NearDupConfig) -> DataFrame:
+    """With cls, the size class; sets that can be similar enough lie in equal or neighbouring ones."""
+    width = np.log(config.share_of / config.share) * (1 + 1e-9)
+    return nodes.withColumn("cls", F.floor(F.ln("n") / F.lit(float(width))))
+
+
+def _meeting(blocks: DataFrame, group: str) -> DataFrame:
+    """(left, right): the held nodes of a group's blocks in equal or neighbouring size classes, unless both blocks are of one component."""
+    thin = blocks.select(group, "cls", "block", "lo", "hi")
+    ahead = thin.select(group, F.explode(F.array("cls", F.col("cls") - 1)).alias("cls"), F.col("cls").alias("other_cls"), F.col("block").alias("other"), F.col("lo").alias("other_lo"), F.col("hi").alias("other_hi"))
+    wanted = thin.join(ahead, [group, "cls"]).where("(other_cls > cls or block <= other) and not (lo = hi and other_lo = other_hi and lo = other_lo)")
+    wanted = wanted.select(group, "cls", "block", "other_cls", "other")
+    left = blocks.select(group, "cls", "block", F.col("held").alias("left"))
+    right = blocks.select(group, F.col("cls").alias("other_cls"), F.col("block").alias("other"), F.col("held").alias("right"))
+    return wanted.join(left, [group, "cls", "block"]).join(right, [group, "other_cls", "other"]).select("left", "right")
+
+
 def _families(open_: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataFrame:
-    """(node, family) of the nodes whose rarest shingles connect different components. open_: node, root, n."""
-    full = open_.join(texts.select(F.col("doc_id").alias("node"), "text"), "node")
-    counts = np.zeros(1 << config.count_bits, np.int64)
-    # the sketch has a fixed number of counters, whatever the input
-    for row in full.select("text").mapInArrow(_counted(config), "place long, n long").groupBy("place").agg(F.sum("n").alias("n")).collect():
-        counts[row["place"]] = row["n"]
-    rare = materialize(full.select("node", "root", "text").mapInArrow(_rarest(config, counts), "shingle long, node long, root long"), "rare")
-    mixed = rare.groupBy("shingle").agg(F.min("node").alias("hub"), F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("shingle", "hub")
-    stars = rare.join(mixed, "shingle").where("hub < node").select(F.col("hub").alias("a"), F.col("node").alias("b"))
-    return connected_components(stars).withColumnRenamed("root", "family")
+    """(node, family) of the nodes whose signatures connect different components. open_: hub, node, root, n."""
+    full = open_.select("node").distinct().join(texts.select(F.col("doc_id").alias("node"), "text"), "node")
+    signs = materialize(full.mapInArrow(_signed(config), "node long, sign binary"), "signatures")
+    placed = materialize(_classed(open_, config), "placed")
+    ways = placed.groupBy("hub", "cls").agg(F.ceil(F.count(F.lit(1)) / config.signed).alias("k"), F.min("root").alias("lo"), F.max("root").alias("hi"))
+    held = placed.join(ways, ["hub", "cls"]).withColumn("block", F.pmod(F.xxhash64("node"), "k")).join(signs, "node")
+    blocks = held.groupBy("hub", "cls", "block").agg(F.collect_list(F.struct("node", "root", "n", "sign")).alias("held"), F.min("root").alias("lo"), F.max("root").alias("hi"))
+    blocks = materialize(blocks, "signed")
+    likely = materialize(_meeting(blocks, "hub").mapInArrow(_like(config), "a long, b long"), "likely")
+    return connected_components(likely).withColumnRenamed("root", "family")
 
 
 def _family_links(open_: DataFrame, texts: DataFrame, config: NearDupConfig) -> DataFrame:
-    """Links across components between the nodes of a family, from comparing its blocks. open_: node, root, n."""
-    width = np.log(config.share_of / config.share) * (1 + 1e-9)
-    placed = open_.join(_families(open_, texts, config), "node").withColumn("cls", F.floor(F.ln("n") / F.lit(float(width))))
-    placed = materialize(placed, "families")
+    """Links across components between the nodes of a family, from comparing its blocks. open_: hub, node, root, n."""
+    families = _families(open_, texts, config)
+    placed = materialize(_classed(open_.select("node", "root", "n").distinct().join(families, "node"), config), "families")
     weight = placed.groupBy("family", "cls", "root").agg(F.sum("n").alias("w"))
     small = weight.where(F.col("w") < config.block).groupBy("family", "cls").agg(F.ceil(F.sum("w") / config.block).alias("k"))
     # a large component has blocks of its own, small ones share blocks
@@ -280,14 +318,7 @@ def _family_links(open_: DataFrame, texts: DataFrame, config: NearDupConfig) ->
     blocked = placed.join(shape, ["family", "cls", "root"]).select("family", "cls", block.alias("block"), "node", "root")
     full = blocked.join(texts.select(F.col("doc_id").alias("node"), "text"), "node")
     blocks = materialize(full.groupBy("family", "cls", "block").agg(F.collect_list(F.struct("node", "root", "text")).alias("held"), F.min("root").alias("lo"), F.max("root").alias("hi")), "blocks")
-    thin = blocks.select("family", "cls", "block", "lo", "hi")
-    ahead = thin.select("family", F.explode(F.array("cls", F.col("cls") - 1)).alias("cls"), F.col("cls").alias("other_cls"), F.col("block").alias("other"), F.col("lo").alias("other_lo"), F.col("hi").alias("other_hi"))
-    wanted = thin.join(ahead, ["family", "cls"]).where("(other_cls > cls or block <= other) and not (lo = hi and other_lo = other_hi and lo = other_lo)")
-    wanted = wanted.select("family", "cls", "block", "other_cls", "other")
-    left = blocks.select("family", "cls", "block", F.col("held").alias("left"))
-    right = blocks.select("family", F.col("cls").alias("other_cls"), F.col("block").alias("other"), F.col("held").alias("right"))
-    dealt = wanted.join(left, ["family", "cls", "block"]).join(right, ["family", "other_cls", "other"]).select("left", "right")
-    return dealt.mapInArrow(_compared(config), "a long, b long")
+    return _meeting(blocks, "family").mapInArrow(_compared(config), "a long, b long")
 
 
 #: Ways that the rows of a class of equal sets are dealt to, so that no task gets all copies of one text.
@@ -317,7 +348,7 @@ def near_duplicates(docs: DataFrame, config: NearDupConfig = NearDupConfig()) ->
     # hubs whose nodes aren't all in one component leave pairs to look at
     rooted = rows.select("hub", "node", "n").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     split = materialize(rooted.groupBy("hub").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("hub"), "split-hubs")
-    open_ = materialize(rooted.join(split, "hub", "left_semi").select("node", "root", "n").distinct(), "open")
+    open_ = materialize(rooted.join(split, "hub", "left_semi").select("hub", "node", "root", "n"), "open")
     if not open_.isEmpty():
         links = links.union(materialize(_family_links(open_, texts, config), "family-links"))
         roots = materialize(connected_components(links), "roots")

@@ -14,9 +14,9 @@ from pyspark.sql import functions as F
 sys.path.insert(0, os.path.dirname(__file__))
 import brute  # noqa: E402
 
-from blockflow.llm import fingerprints, htmltext, huffman, licenses, mixing, packing, quality, tokens, toxicity  # noqa: E402
+from blockflow.llm import fingerprints, htmltext, huffman, licenses, mixing, neardup, packing, quality, tokens, toxicity  # noqa: E402
 from blockflow.llm import kernels as K  # noqa: E402
-from blockflow.llm.neardup import near_duplicates  # noqa: E402
+from blockflow.llm.neardup import NearDupConfig, near_duplicates  # noqa: E402
 from blockflow.llm.substrings import remove_repeats, suffix_ranks  # noqa: E402
 from blockflow.session import materialize  # noqa: E402
 
@@ -49,6 +49,19 @@ def test_near_duplicates(docs):
     assert got == brute.components(texts())
 
 
+def test_families_are_not_connected_by_boilerplate(spark):
+    # each text has a passage in common with the next one, but no two of them are alike; the last two are near-duplicates
+    words = lambda k, n: [f"w{k}x{i}" for i in range(n)]
+    chain = [(k, " ".join([*words(k, 40), *words(k + 1, 40)])) for k in range(30)]
+    rows = [*chain, (30, " ".join(words(300, 200))), (31, " ".join([*words(300, 190), *words(400, 10)]))]
+    texts = spark.createDataFrame(rows, SCHEMA)
+    open_ = spark.createDataFrame([(0, k, k, len(t.split()) - 4) for k, t in rows], "hub long, node long, root long, n long")
+    for config in (NearDupConfig(), NearDupConfig(signed=3)):
+        got = {r.node: r.family for r in neardup._families(open_, texts, config).collect()}
+        assert got == {30: 30, 31: 30}
+        assert {(min(r), max(r)) for r in neardup._family_links(open_, texts, config).collect()} == {(30, 31)}
+
+
 def test_repeats(docs):
     got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in remove_repeats(docs).collect()}
     assert got == brute.repeats(texts())
@@ -409,4 +422,3 @@ def test_base_columns_of_licenses_and_quality(spark):
         if many is not None:
             assert r.n_repeat_words == len({k for i, t in enumerate(triples) if t in many for k in range(i, i + 3)})
         assert r.base_failed == (len(words) < 50 or 100 * r.n_repeat_words > 50 * len(words)) and not (r.kept and r.base_failed)
-
