@@ -422,3 +422,13 @@ def test_base_columns_of_licenses_and_quality(spark):
         if many is not None:
             assert r.n_repeat_words == len({k for i, t in enumerate(triples) if t in many for k in range(i, i + 3)})
         assert r.base_failed == (len(words) < 50 or 100 * r.n_repeat_words > 50 * len(words)) and not (r.kept and r.base_failed)
+
+
+def test_pipeline_mixing_moves_domains(spark):
+    import corpus_pipeline
+
+    d = "/root/testdata/sf0.01"
+    docs = spark.read.parquet(f"{d}/documents.parquet")
+    times = [r["count"] for r in corpus_pipeline.mix_domains(spark, docs, d).groupBy("doc_id").count().collect()]
+    # none is left out; with targets near the shares that the domains have, none was read more than twice
+    assert len(times) == docs.count() and max(times) >= 3
