@@ -55,7 +55,7 @@ _VECTORS = "ev as (select vec_id as id, list_transform(embedding, lambda x: cast
 
 @query("brute_pairs", f"with {_VECTORS} select a.id as id_a, b.id as id_b, round(list_dot_product(a.c, b.c) / (sqrt(list_dot_product(a.c, a.c)) * sqrt(list_dot_product(b.c, b.c))), 6) as s from ee a join ee b on a.id < b.id where round(least(1, list_dot_product(a.c, b.c) / (sqrt(list_dot_product(a.c, a.c)) * sqrt(list_dot_product(b.c, b.c)))), 10) >= 0.3")
 def brute_pairs(spark: SparkSession, d: str) -> DataFrame:
-    return similarity.brute(_embedded(spark, d), "cls", cap=5_000_000, least=0.3).select("id_a", "id_b", F.round("s", 6).alias("s"))
+    return similarity.brute(_embedded(spark, d), "cls", least=0.3).select("id_a", "id_b", F.round("s", 6).alias("s"))
 
 
 @query("ann_recall")

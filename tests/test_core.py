@@ -5,6 +5,7 @@ from __future__ import annotations
 import math
 from datetime import datetime
 
+import numpy as np
 import pyarrow as pa
 import pyarrow.parquet as pq
 import pytest
@@ -138,3 +139,12 @@ def test_components_that_do_not_settle_fail(spark):
     links = spark.createDataFrame([(i, i + 1) for i in range(50)], "a long, b long")
     with pytest.raises(RuntimeError):
         connected_components(links, max_rounds=1)
+
+
+def test_brute_force_refuses_no_number_of_vectors(spark):
+    n = 2100  # over two million pairs
+    v = spark.range(n).select("id", F.array(F.lit(0.0)).alias("shape"), F.array(F.cos("id"), F.sin("id"), F.cos(3 * F.col("id"))).alias("cls"))
+    x = np.array([[math.cos(i), math.sin(i), math.cos(3 * i)] for i in range(n)])
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    want = int(np.triu(x @ x.T >= 0.9999, 1).sum())
+    assert similarity.brute(v, "cls", least=0.9999).count() == want > 0
