@@ -64,7 +64,7 @@ def ann_recall(spark: SparkSession, d: str) -> DataFrame:
     v = materialize(_embedded(spark, d), "vectors")
     queries = v.where("id % 50 = 0")
     near = similarity.nearest(v, queries, 10).select("query", "id")
-    true = similarity.nearest(v, queries, 10, probes=None).select("query", "id")
+    true = materialize(similarity.nearest(v, queries, 10, probes=None).select("query", "id"), "true")
     hit = true.join(near, ["query", "id"], "left_semi").agg(F.count(F.lit(1)).alias("hits"))
     return true.agg(F.count(F.lit(1)).alias("wanted")).crossJoin(F.broadcast(hit)).withColumn("recall", F.round(F.col("hits") / F.col("wanted"), 6))
 

@@ -148,3 +148,20 @@ def test_brute_force_refuses_no_number_of_vectors(spark):
     x /= np.linalg.norm(x, axis=1)[:, None]
     want = int(np.triu(x @ x.T >= 0.9999, 1).sum())
     assert similarity.brute(v, "cls", least=0.9999).count() == want > 0
+
+
+def test_nearest_shuffles_no_pairs(spark, monkeypatch):
+    v = spark.range(300).select("id", F.array(*[F.cos(F.col("id") * (k + 1)) for k in range(6)]).alias("cls"), F.expr("array()").cast("array<double>").alias("shape"))
+    v = v.union(v.where("id % 7 = 0").select(F.col("id") + 1000, "cls", "shape"))
+    q = v.where("id % 50 = 0")
+    for probes in (None, 16):
+        whole = similarity.nearest(v, q, 5, probes=probes)
+        plan = whole._jdf.queryExecution().toString()
+        assert "NestedLoop" not in plan and "Cartesian" not in plan
+        want = whole.collect()
+        with monkeypatch.context() as m:
+            m.setattr(similarity, "SOUGHT", 20)
+            m.setattr(similarity, "ASKED", 3)
+            assert sorted(similarity.nearest(v, q, 5, probes=probes).collect()) == sorted(want)
+    # a twin is nearest
+    assert {r.query: r.id for r in similarity.nearest(v, q, 5, probes=None).where("place = 1").collect()}[0] == 1000
