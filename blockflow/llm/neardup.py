@@ -37,7 +37,7 @@ from pyspark.sql import functions as F
 
 from blockflow.llm import kernels as K
 from blockflow.operators.components import connected_components
-from blockflow.session import materialize
+from blockflow.session import drop_shuffles, materialize
 
 U64 = np.uint64
 
@@ -299,7 +299,9 @@ def _families(open_: DataFrame, texts: DataFrame, config: NearDupConfig) -> Data
     held = placed.join(ways, ["hub", "cls"]).withColumn("block", F.pmod(F.xxhash64("node"), "k")).join(signs, "node")
     blocks = held.groupBy("hub", "cls", "block").agg(F.collect_list(F.struct("node", "root", "n", "sign")).alias("held"), F.min("root").alias("lo"), F.max("root").alias("hi"))
     blocks = materialize(blocks, "signed")
+    drop_shuffles(texts.sparkSession)
     likely = materialize(_meeting(blocks, "hub").mapInArrow(_like(config), "a long, b long"), "likely")
+    drop_shuffles(texts.sparkSession)
     return connected_components(likely).withColumnRenamed("root", "family")
 
 
@@ -318,6 +320,7 @@ def _family_links(open_: DataFrame, texts: DataFrame, config: NearDupConfig) ->
     blocked = placed.join(shape, ["family", "cls", "root"]).select("family", "cls", block.alias("block"), "node", "root")
     full = blocked.join(texts.select(F.col("doc_id").alias("node"), "text"), "node")
     blocks = materialize(full.groupBy("family", "cls", "block").agg(F.collect_list(F.struct("node", "root", "text")).alias("held"), F.min("root").alias("lo"), F.max("root").alias("hi")), "blocks")
+    drop_shuffles(texts.sparkSession)
     return _meeting(blocks, "family").mapInArrow(_compared(config), "a long, b long")
 
 
@@ -338,20 +341,25 @@ def near_duplicates(docs: DataFrame, config: NearDupConfig = NearDupConfig()) ->
     shared = bands.groupBy("key").agg(F.min(F.struct("node", "n")).alias("hub"), F.max("node").alias("last"), F.sum("n").alias("w")).where("hub.node < last")
     # written, so that a bucket with a large share of all nodes can be split where it is joined
     shared = materialize(shared.select("key", F.col("hub.node").alias("hub"), F.col("hub.n").alias("hub_n"), F.ceil(F.col("w") / config.block).alias("ways")), "keys")
+    drop_shuffles(docs.sparkSession)
     # only buckets with two nodes or more matter from here on
     rows = materialize(bands.join(shared, "key").groupBy("hub", "hub_n", "node", "n").agg(F.max("ways").alias("ways")), "buckets")
     in_play = rows.select(F.col("node").alias("doc_id")).distinct()
     texts = materialize(docs.select("doc_id", "text").join(in_play, "doc_id", "left_semi"), "texts")
+    drop_shuffles(docs.sparkSession)
     pairs = rows.where("hub < node").where(_sizes_allow(config, "n", "hub_n")).select("hub", "node", "ways")
     links = materialize(verify(pairs, texts, config), "verified")
+    drop_shuffles(docs.sparkSession)
     roots = materialize(connected_components(links), "roots")
     # hubs whose nodes aren't all in one component leave pairs to look at
     rooted = rows.select("hub", "node", "n").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     split = materialize(rooted.groupBy("hub").agg(F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo < hi").select("hub"), "split-hubs")
     open_ = materialize(rooted.join(split, "hub", "left_semi").select("hub", "node", "root", "n"), "open")
+    drop_shuffles(docs.sparkSession)
     if not open_.isEmpty():
         links = links.union(materialize(_family_links(open_, texts, config), "family-links"))
         roots = materialize(connected_components(links), "roots")
+        drop_shuffles(docs.sparkSession)
     # rows find their class by its digests and one of several ways; only classes with copies need this
     doubled = classes.where("copies > 1").join(roots, "node", "left").select("d1", "d2", "n_shingles", F.coalesce("root", "node").alias("class_root"), F.explode(F.sequence(F.lit(0), F.lit(COPIES - 1))).alias("way"))
     known = sketched.select("doc_id", "n_shingles", "d1", "d2", F.pmod(F.xxhash64("doc_id"), F.lit(COPIES)).cast("int").alias("way"))

@@ -38,7 +38,7 @@ from pyspark.sql import functions as F
 
 from blockflow.llm import kernels as K
 from blockflow.llm.ordered import estimated_bytes
-from blockflow.session import materialize
+from blockflow.session import drop_shuffles, materialize
 
 U64 = np.uint64
 #: Length of a repeated string, and of the trigger strings.
@@ -382,6 +382,7 @@ def repeated_spans(docs: DataFrame, size: int = SIZE, gram: int = GRAM, parts: i
     parsed = materialize(known.mapInArrow(_parse(parts, size, gram), _PARSED), "parse")
     entries = parsed.where("part >= 0").select("part", "payload")
     resolved = materialize(entries.repartitionById(parts, "part").mapInArrow(_resolve, _RESOLVED), "dictionary")
+    drop_shuffles(docs.sparkSession)
     wanted = resolved.where("kind = 1").groupBy("doc_id", "tag").agg(F.collect_list("payload").alias("wants"))
     fetched = known.join(wanted.hint("shuffle_hash"), ["doc_id", "tag"]).select("doc_id", "tag", "text", "wants").mapInArrow(_fetch(parts, size), "part int, heads binary, body binary")
     ranked = fetched.repartitionById(parts, "part").mapInArrow(_rank(size), _RESOLVED)
@@ -397,6 +398,7 @@ def remove_repeats(docs: DataFrame, size: int = SIZE, gram: int = GRAM, with_tex
     """
     docs = docs.drop("spans", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept_text")
     spans = materialize(repeated_spans(docs, size, gram, parts), "spans")
+    drop_shuffles(docs.sparkSession)
     spans = spans.select(F.col("doc_id").alias("rep_doc"), F.col("tag").alias("rep_tag"), "spans")
     joined = docs.join(spans.hint("shuffle_hash"), (docs["doc_id"] == spans["rep_doc"]) & (_tag(docs["text"]) == spans["rep_tag"]), "left").select(*[docs[f"`{c}`"] for c in docs.columns], spans["spans"])
     kinds = [f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name != "text"]

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import os
 import sys
+import time
 import zlib
 
 import numpy as np
@@ -62,6 +63,19 @@ def test_families_are_not_connected_by_boilerplate(spark):
         assert {(min(r), max(r)) for r in neardup._family_links(open_, texts, config).collect()} == {(30, 31)}
 
 
+def shuffle_files(spark):
+    return spark._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles().mkString("\n").count("/shuffle_")
+
+
+def test_shuffles_of_finished_steps_go_while_the_job_runs(spark, docs):
+    found = near_duplicates(docs)
+    until = time.time() + 10
+    while shuffle_files(spark) > 20 and time.time() < until:
+        time.sleep(0.2)
+    assert shuffle_files(spark) <= 20
+    assert found.count() == len(texts())
+
+
 def test_repeats(docs):
     got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, r.kept_sha256) for r in remove_repeats(docs).collect()}
     assert got == brute.repeats(texts())
