@@ -11,10 +11,12 @@ import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
 
+from blockflow.functions.taxonomy import class_sql
 from blockflow.operators import alias, cleaning, dedup, flowvec, similarity
 from blockflow.operators import statistics as S
 from blockflow.operators.components import connected_components
-from blockflow.plans import registry
+from blockflow.plans import graph, registry
+from blockflow.sources.carriers import _sentence_blocks
 
 BLOCK = "array<struct<n:bigint,a:string,b:string,cls:array<bigint>>>"
 
@@ -165,3 +167,29 @@ def test_nearest_shuffles_no_pairs(spark, monkeypatch):
             assert sorted(similarity.nearest(v, q, 5, probes=probes).collect()) == sorted(want)
     # a twin is nearest
     assert {r.query: r.id for r in similarity.nearest(v, q, 5, probes=None).where("place = 1").collect()}[0] == 1000
+
+
+ODD_LINES = ["", "a", "  The quick, brown fox. Jumps!! over?; ", "x\t\ty\x0bz", "\t", "Über straße 42 @home a/b É é ÉCOLE école", "12 ١٢ -- ... __ _ ʰ ǅungla", "İstanbul Kelvin ΣΊΣΥΦΟΣ, Σ", "a b c d \x1c e", "日本語のテキスト。短い,長い", "the THE De la", "😀 😀a, 😀"]
+
+
+def test_block_kernel_agrees_with_the_class_expression(spark):
+    lines = spark.createDataFrame([*enumerate(ODD_LINES), (-1, None)], "k int, line string")
+    tokens = lines.select("k", F.explode(F.expr("filter(transform(split(line, '[.!?,;]+'), x -> trim(x)), x -> x <> '')")).alias("x"))
+    tokens = tokens.selectExpr("k", "lower(substring(x, 1, 1)) as a", "lower(right(x, 1)) as b", "filter(split(x, '\\\\s+'), t -> t <> '') as t")
+    plain = tokens.selectExpr("k", "a", "b", f"transform(t, t -> {class_sql('t')}) as c").collect()
+    want = {}
+    for r in plain:
+        want.setdefault(r["k"], []).append((len(r["c"]), r["a"], r["b"], [r["c"].count(i) for i in range(1, 10)]))
+    got = {r["k"]: r["blocks"] for r in _sentence_blocks(lines, "line").collect()}
+    assert got.pop(-1) is None
+    assert {k: [(x["n"], x["a"], x["b"], x["cls"]) for x in v] for k, v in got.items() if v} == want
+
+
+@pytest.mark.parametrize("name", ["build_corpus"])
+def test_lines_of_documents_are_worked_once(spark, monkeypatch, name):
+    built, plain = [], flowvec.build
+    monkeypatch.setattr(flowvec, "build", lambda *a, **b: built.append(1) or plain(*a, **b))
+    written, write = [], graph.materialize
+    monkeypatch.setattr(graph, "materialize", lambda df, label: written.append(label) or write(df, label))
+    registry.QUERIES[name](spark, "/root/testdata/sf0.001")
+    assert len(built) == 1 and written.count("flows") == 1
