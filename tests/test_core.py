@@ -185,7 +185,7 @@ def test_block_kernel_agrees_with_the_class_expression(spark):
     assert {k: [(x["n"], x["a"], x["b"], x["cls"]) for x in v] for k, v in got.items() if v} == want
 
 
-@pytest.mark.parametrize("name", ["build_corpus"])
+@pytest.mark.parametrize("name", ["build_corpus", "release_manifest"])
 def test_lines_of_documents_are_worked_once(spark, monkeypatch, name):
     built, plain = [], flowvec.build
     monkeypatch.setattr(flowvec, "build", lambda *a, **b: built.append(1) or plain(*a, **b))
