@@ -15,7 +15,7 @@ from blockflow.functions.taxonomy import class_sql
 from blockflow.operators import alias, cleaning, dedup, flowvec, similarity
 from blockflow.operators import statistics as S
 from blockflow.operators.components import connected_components
-from blockflow.plans import graph, registry
+from blockflow.plans import graph, registry, release
 from blockflow.sources.carriers import _sentence_blocks
 
 BLOCK = "array<struct<n:bigint,a:string,b:string,cls:array<bigint>>>"
@@ -193,3 +193,34 @@ def test_lines_of_documents_are_worked_once(spark, monkeypatch, name):
     monkeypatch.setattr(graph, "materialize", lambda df, label: written.append(label) or write(df, label))
     registry.QUERIES[name](spark, "/root/testdata/sf0.001")
     assert len(built) == 1 and written.count("flows") == 1
+
+
+def test_release_files_hold_whole_texts(spark, monkeypatch, tmp_path):
+    monkeypatch.setattr(release, "removed_at_exit", lambda *_: str(tmp_path))
+    d = "/root/testdata/sf0.001"
+    manifest = {(r.name, r.format): r.n_rows for r in registry.QUERIES["release_manifest"](spark, d).collect()}
+    docs = spark.read.parquet(f"{d}/documents.parquet")
+    whole = {tuple(r) for r in docs.collect()}
+    for kind in ("parquet", "json", "csv"):
+        for name in ("full", "deduplicated"):
+            rows = [tuple(r) for r in release.read_file(spark, f"{tmp_path}/{name}.{kind}", kind, docs).collect()]
+            assert len(rows) == manifest[name, kind] > 0 and set(rows) <= whole
+
+
+ODD_VALUES = ["", None, " a ", "a\nb", "a\r\nb\r", 'say "x", \\"y\\', "\\", '"', '""', "#,;\t", "\n", "null", "\u2028\x01é😀", "a,b\n1,2,3\n"]
+
+
+def test_release_keeps_odd_values_in_each_format(spark, tmp_path):
+    rows = [(i, v, w) for i, (v, w) in enumerate(zip(ODD_VALUES, reversed(ODD_VALUES), strict=True))]
+    df = spark.createDataFrame(rows, "id long, text string, source string")
+    release.write_release(spark, str(tmp_path), {"odd": df}, {"odd": "source"})
+    for kind in ("json", "csv"):
+        back = release.read_file(spark, f"{tmp_path}/odd.{kind}", kind, df)
+        assert [tuple(r) for r in back.orderBy("id").collect()] == rows
+
+
+def test_release_notices_values_that_do_not_come_back(spark, monkeypatch, tmp_path):
+    df = spark.createDataFrame([(1, "a\nb"), (2, " c ")], "id long, text string")
+    monkeypatch.setitem(release.FORMATS, "csv", {"header": "true"})
+    with pytest.raises(RuntimeError, match="odd.csv"):
+        release.write_release(spark, str(tmp_path), {"odd": df})
